@@ -2,10 +2,13 @@
 
 from __future__ import annotations
 
-from cutstream.llm import ngram_join
+from cutstream.llm import language, ngram_join, packing, token_files
 
 QUERIES = {
+    "op5_harmonic_packing": packing.op5_harmonic_packing,
     "op6_ngram_jaccard_join": ngram_join.op6_ngram_jaccard_join,
+    "op7_token_files": token_files.op7_token_files,
+    "op10_language_id": language.op10_language_id,
 }
 
 ORACLES = {
