@@ -2,9 +2,11 @@
 
 from __future__ import annotations
 
-from cutstream.llm import language, ngram_join, packing, token_files
+from cutstream.llm import language, ngram_join, packing, phrases, secrets, token_files
 
 QUERIES = {
+    "op3_document_fingerprints": phrases.op3_document_fingerprints,
+    "op4_secret_scan": secrets.op4_secret_scan,
     "op5_harmonic_packing": packing.op5_harmonic_packing,
     "op6_ngram_jaccard_join": ngram_join.op6_ngram_jaccard_join,
     "op7_token_files": token_files.op7_token_files,
