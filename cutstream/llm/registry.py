@@ -2,18 +2,21 @@
 
 from __future__ import annotations
 
-from cutstream.llm import language, ngram_join, packing, phrases, secrets, token_files
+from cutstream.llm import language, licenses, ngram_join, packing, phrases, secrets, token_files, warc
 
 QUERIES = {
+    "op1_license_scan": licenses.op1_license_scan,
     "op3_document_fingerprints": phrases.op3_document_fingerprints,
     "op4_secret_scan": secrets.op4_secret_scan,
     "op5_harmonic_packing": packing.op5_harmonic_packing,
     "op6_ngram_jaccard_join": ngram_join.op6_ngram_jaccard_join,
     "op7_token_files": token_files.op7_token_files,
+    "op8_warc_dictionary": warc.op8_warc_dictionary,
     "op10_language_id": language.op10_language_id,
 }
 
 ORACLES = {
+    "op8_warc_dictionary": warc.ORACLE,
     "op6_ngram_jaccard_join": r"""
 WITH RECURSIVE d AS (
   SELECT doc_id, regexp_extract_all(translate(coalesce(text, ''), 'ABCDEFGHIJKLMNOPQRSTUVWXYZ', 'abcdefghijklmnopqrstuvwxyz'), '[^\x20\x09-\x0D]+') AS w FROM documents),
