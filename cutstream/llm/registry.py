@@ -2,10 +2,11 @@
 
 from __future__ import annotations
 
-from cutstream.llm import language, licenses, ngram_join, packing, phrases, secrets, token_files, warc
+from cutstream.llm import language, licenses, ngram_join, packing, phrases, pseudonyms, secrets, token_files, warc
 
 QUERIES = {
     "op1_license_scan": licenses.op1_license_scan,
+    "op2_pii_pseudonyms": pseudonyms.op2_pii_pseudonyms,
     "op3_document_fingerprints": phrases.op3_document_fingerprints,
     "op4_secret_scan": secrets.op4_secret_scan,
     "op5_harmonic_packing": packing.op5_harmonic_packing,
