@@ -2,7 +2,7 @@
 
 from __future__ import annotations
 
-from cutstream.llm import language, licenses, ngram_join, packing, phrases, pseudonyms, secrets, token_files, warc
+from cutstream.llm import decontaminate, language, licenses, ngram_join, packing, phrases, pseudonyms, secrets, token_files, warc
 
 QUERIES = {
     "op1_license_scan": licenses.op1_license_scan,
@@ -13,6 +13,7 @@ QUERIES = {
     "op6_ngram_jaccard_join": ngram_join.op6_ngram_jaccard_join,
     "op7_token_files": token_files.op7_token_files,
     "op8_warc_dictionary": warc.op8_warc_dictionary,
+    "op9_benchmark_decontamination": decontaminate.op9_benchmark_decontamination,
     "op10_language_id": language.op10_language_id,
 }
 
