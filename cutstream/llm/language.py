@@ -143,7 +143,7 @@ class Model:
         low = h[np.arange(len(h)), best]
         p = 1 / np.exp(-self.sharpness * (h - low[:, None])).sum(axis=1)
         none = n == 0
-        return [UNDETERMINED if z else self.languages[i] for i, z in zip(best.tolist(), none.tolist(), strict=True)], np.where(none, 0.0, p), none | (p < self.least_score) | (low > self.most_entropy)
+        return [UNDETERMINED if z else self.languages[i] for i, z in zip(best.tolist(), none.tolist(), strict=True)], np.where(none, 0.0, p), none | (p < self.least_score) | (low > self.most_entropy * (1 + 4 / np.sqrt(np.maximum(n, 1))))
 
 
 def _codes(sym: np.ndarray, at: np.ndarray, order: int) -> np.ndarray:
@@ -232,8 +232,10 @@ def _calibrate(model: Model, samples: dict[str, list[str]]) -> None:
     if right.any():
         score = 1 / np.exp(-model.sharpness * gap).sum(axis=1)
         low = h.min(axis=1)
-        model.least_score = float(min(1 / len(model.languages) + 0.02, score[right].min()))  # no right calibration row is rejected
-        model.most_entropy = float(low[right].max() * 1.25)
+        # No right calibration row is rejected: a score is too low only where languages tie, and entropy is too high only
+        # towards that of random letters, with more room for short texts.
+        model.least_score = float(min(1 / len(model.languages) + 0.005, score[right].min()))
+        model.most_entropy = float(max(low[right].max() * 1.25, 0.9 * np.log(len(model.alphabet) + 3)))
 
 
 def sample_texts(docs: DataFrame, per_language: int = PER_LANGUAGE) -> dict[str, list[str]]:
