@@ -99,10 +99,8 @@ def fold_ghosts(a: np.ndarray, ghost: np.ndarray, w: np.ndarray, c: np.ndarray,
     return weight, rep[other], a[other], w[other] * 0.5
 
 
-def coarsened(g: Graph, p: PartitionParams, previous: DataFrame | None = None) -> DataFrame:
-    """(batch, blob, stats): each buffer's model, its coarser levels, and its edges to placed vertices; written once."""
-    delta, (scale, most) = p.delta or max(1, g.n), scale_of(g, p)
-    again = previous is not None
+def coarsen_rows(rows: DataFrame, p: PartitionParams, delta: int, most: float, again: bool, parts: int) -> DataFrame:
+    """(batch, blob, stats) from the rows of buffer_rows: one group of rows is one buffer's whole model."""
     extended = p.model == "extended" and not again
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -121,12 +119,16 @@ def coarsened(g: Graph, p: PartitionParams, previous: DataFrame | None = None) -
             levels, maps = kernel.coarsen(fine, p, most, before if again else None)
             sizes = ",".join(f"{x.n}:{len(x.adj) // 2}" for x in levels)
             blob = pickle.dumps((first, true, levels, maps, (a[out] - first, b[out], w[out]), before), protocol=5)
-            yield pa.RecordBatch.from_arrays([pa.array([batch], pa.int64()), pa.array([blob], pa.large_binary() if len(blob) > 1 << 31 else pa.binary()), pa.array([sizes])], ["batch", "blob", "stats"])
+            yield pa.RecordBatch.from_arrays([pa.array([batch], pa.int64()), pa.array([blob], pa.binary()), pa.array([sizes])], ["batch", "blob", "stats"])
+
+    return rows.repartition(parts, "batch").sortWithinPartitions("batch", "kind", "a", "b").mapInArrow(run, "batch long, blob binary, stats string")
+
 
-    rows = buffer_rows(g, delta, previous)
+def coarsened(g: Graph, p: PartitionParams, previous: DataFrame | None = None) -> DataFrame:
+    """Each buffer's model, its coarser levels, and its edges to placed vertices; all buffers at once, written once."""
+    delta, (_, most) = p.delta or max(1, g.n), scale_of(g, p)
     parts = max(1, min(-(-g.n // delta), int(g.nodes.sparkSession.conf.get("spark.sql.shuffle.partitions"))))
-    grouped = rows.repartition(parts, "batch").sortWithinPartitions("batch", "kind", "a", "b")
-    return materialise(grouped.mapInArrow(run, "batch long, blob binary, stats string"), "coarse")
+    return materialise(coarsen_rows(buffer_rows(g, delta, previous), p, delta, most, previous is not None, parts), "coarse")
 
 
 def place_buffer(blob: bytes, state: kernel.Blocks, block_of: np.ndarray, p: PartitionParams, first: int = 0) -> tuple[int, np.ndarray, bool]:
@@ -207,32 +209,39 @@ def driver_loop(g: Graph, p: PartitionParams, coarse: DataFrame) -> DataFrame:
     for step in range(steps):
         low, high = step * p.lanes, (step + 1) * p.lanes - 1
         lanes = min(p.lanes, -(-g.n // delta) - low)
-        blobs = coarse.where(F.col("batch").between(low, high)).select("batch", F.lit(-1).cast("long").alias("a"), F.lit(-1).alias("block"), F.lit(0.0).alias("w"), "blob")
+        conn = None
         if step:
             done = spark.read.schema(kind).parquet(at).select(F.col("pos").alias("b"), "block")
             conn = back.where(F.col("batch").between(low, high)).join(done, "b").groupBy("batch", "a", "block").agg(F.sum("w").alias("w"))
-            blobs = blobs.unionByName(conn.withColumn("blob", F.lit(None).cast("binary")))
-        now = loads.copy()
-
-        def run(batches: Iterator[pa.RecordBatch], now=now, lanes=lanes) -> Iterator[pa.RecordBatch]:
-            for batch, t in runs(batches, "batch"):
-                blob = next(x for x in t.column("blob").to_pylist() if x is not None)
-                start, true, levels, maps, _, _ = pickle.loads(blob)
-                conn: list[dict[int, float]] = [{} for _ in range(len(true))]
-                for u, i, x in zip(*(t.column(c).to_pylist() for c in ("a", "block", "w")), strict=True):
-                    if u >= 0:
-                        conn[u - start][i] = x
-                state = _Lane(p, scale, most, now, lanes)
-                block, fits = kernel.multilevel(levels, maps, conn, state, p)
-                for out, weight in zip(_assigned(start, block, batch, fits), (true[i : i + ROWS] for i in range(0, len(true), ROWS)), strict=True):
-                    yield out.append_column("weight", pa.array(weight))
-
-        blobs.repartition(lanes, "batch").sortWithinPartitions("batch", "a", "block").mapInArrow(run, kind).write.mode("append").partitionBy("batch_id").parquet(at)
+        placed = place_step(coarse.where(F.col("batch").between(low, high)), conn, loads, lanes, p, scale, most)
+        placed.write.mode("append").partitionBy("batch_id").parquet(at)
         for r in spark.read.schema(kind).parquet(at).where(F.col("batch_id").between(low, high)).groupBy("block").agg(F.sum("weight").alias("c")).collect():  # k rows
             loads[r.block] += r.c
     return spark.read.schema(kind).parquet(at).select("pos", "block", "batch_id", "fits")
 
 
+def place_step(coarse: DataFrame, conn: DataFrame | None, loads: np.ndarray, lanes: int, p: PartitionParams, scale: float, most: float) -> DataFrame:
+    """Blocks of a step's buffers, a group each: coarse(batch, blob), conn(batch, a, block, w) to placed vertices."""
+    rows = coarse.select("batch", F.lit(-1).cast("long").alias("a"), F.lit(-1).alias("block"), F.lit(0.0).alias("w"), "blob")
+    if conn is not None:
+        rows = rows.unionByName(conn.withColumn("blob", F.lit(None).cast("binary")))
+    now = loads.copy()
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch, t in runs(batches, "batch"):
+            blob = next(x for x in t.column("blob").to_pylist() if x is not None)
+            start, true, levels, maps, _, _ = pickle.loads(blob)
+            near: list[dict[int, float]] = [{} for _ in range(len(true))]
+            for u, i, x in zip(*(t.column(c).to_pylist() for c in ("a", "block", "w")), strict=True):
+                if u >= 0:
+                    near[u - start][i] = x
+            block, fits = kernel.multilevel(levels, maps, near, _Lane(p, scale, most, now, lanes), p)
+            for out, weight in zip(_assigned(start, block, batch, fits), (true[i : i + ROWS] for i in range(0, len(true), ROWS)), strict=True):
+                yield out.append_column("weight", pa.array(weight))
+
+    return rows.repartition(lanes, "batch").sortWithinPartitions("batch", "a", "block").mapInArrow(run, ASSIGNMENT + ", weight double")
+
+
 class _Lane(kernel.Blocks):
     """Blocks as one of several lanes sees them: its share of the free room, its own additions counted for all lanes."""
 
