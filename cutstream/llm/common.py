@@ -2,18 +2,21 @@
 
 from __future__ import annotations
 
+import contextlib
+import ctypes
 import tempfile
 import uuid
 from collections.abc import Iterable, Iterator
 
 import numpy as np
 import pyarrow as pa
+import pyarrow.compute as pc
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 _MASK = (1 << 64) - 1
-#: Characters of text handled at once by the vectorised kernels; a longer document is one batch by itself.
-BATCH_CHARS = 1 << 20
+#: Bytes of text handled at once by the vectorised kernels; a longer document is one batch by itself.
+BATCH_BYTES = 1 << 18
 
 
 def shared_dir(spark: SparkSession) -> str:
@@ -104,7 +107,7 @@ _POWERS: list[np.ndarray] = [np.ones(1, np.uint64), np.ones(1, np.uint64)]
 
 def _powers(n: int) -> list[np.ndarray]:
     if len(_POWERS[0]) < n:
-        n = max(n, 1 << 21)
+        n = max(n, 1 << 19)
         for k, m in enumerate((_POWER, _INVERSE)):
             x = np.full(n, m, np.uint64)
             x[0] = 1
@@ -145,18 +148,24 @@ def word_hashes(data: np.ndarray, starts: np.ndarray, ends: np.ndarray) -> np.nd
     return mix((total[ends] - total[starts]) * down[starts] + (ends - starts).astype(np.uint64))
 
 
-def batched(batches: Iterable[pa.RecordBatch], column: str = "text", chars: int = BATCH_CHARS) -> Iterator[tuple[pa.RecordBatch, list[str]]]:
-    """Slices of Arrow batches with about `chars` characters of text each; null texts are empty."""
+def batched(batches: Iterable[pa.RecordBatch], column: str = "text", size: int = BATCH_BYTES) -> Iterator[tuple[pa.RecordBatch, list[str]]]:
+    """Slices of Arrow batches with about `size` bytes of text each; null texts are empty. Only a slice becomes strings."""
     for batch in batches:
-        texts = [t or "" for t in batch.column(column).to_pylist()]
-        begin = size = 0
-        for i, t in enumerate(texts):
-            if size and size + len(t) > chars:
-                yield batch.slice(begin, i - begin), texts[begin:i]
-                begin, size = i, 0
-            size += len(t)
-        if begin < len(texts):
-            yield batch.slice(begin), texts[begin:]
+        n = pc.fill_null(pc.binary_length(batch.column(column)), 0).to_numpy(zero_copy_only=False).astype(np.int64)
+        total, begin = np.cumsum(n), 0
+        while begin < len(n):
+            end = max(begin + 1, int(np.searchsorted(total, (total[begin - 1] if begin else 0) + size, "right")))
+            part = batch.slice(begin, end - begin)
+            yield part, [t or "" for t in part.column(column).to_pylist()]
+            begin = end
+    trim()
+
+
+def trim() -> None:
+    """Give freed memory back to the system: Python workers live on after a task and would keep its peak."""
+    pa.default_memory_pool().release_unused()
+    with contextlib.suppress(OSError, AttributeError):  # only where the C library has it
+        ctypes.CDLL(None).malloc_trim(0)
 
 
 def utf8(text: str) -> bytes:

@@ -18,8 +18,8 @@ import regex
 from cutstream.llm.common import _powers, mix, table64
 
 VOCABULARY = "byte_bpe_50k.json"
-CACHE_WORDS = 2_000_000
-_SLOTS = 1 << 22
+CACHE_WORDS = 1_000_000
+_SLOTS = 1 << 21
 _TOP = 0x2060
 #: Characters outside the array split: controls, and what lies beyond the ranges whose classes are settled.
 _ODD = regex.compile(r"[\x00-\x08\x0E-\x1F\x7F-\x9F\u0530-\u200F\u2028-\u202F\u205F-\U0010FFFF]")
