@@ -25,11 +25,12 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
-from cutstream.llm.common import BROADCAST_ROWS, batched, bounded_broadcast, connected, joined, materialise, mix, utf8, word_hashes, words_of
+from cutstream.llm.common import BROADCAST_ROWS, batched, bounded_broadcast, connected, joined, materialise, mix, remove, scratch_path, trim, utf8, word_hashes, words_of
 
+#: Least number of classes of a sketch; a large set has one for each four to eight shingles.
 CLASSES = 128
 REGION_ROWS = 8192
-BLOCK_ROWS = 4096
+BLOCK_ROWS = 2048
 
 
 def shingle_sets(texts: list[str], k: int) -> list[np.ndarray]:
@@ -58,8 +59,40 @@ def digest(s: np.ndarray) -> bytes:
     return hashlib.blake2b(s.tobytes(), digest_size=16).digest()
 
 
-def sketch(s: np.ndarray) -> np.ndarray:
-    return np.minimum(np.bincount(s & (CLASSES - 1), minlength=CLASSES), 255).astype(np.uint8)
+def classes_of(n: int) -> int:
+    return max(CLASSES, 1 << max(0, (n // 4).bit_length() - 1))
+
+
+def sketch(s: np.ndarray, classes: int = 0) -> np.ndarray:
+    """Counts of the hashes by their low bits, 255 at most; halves of a sketch add up to that of half the classes."""
+    classes = classes or classes_of(len(s))
+    return np.minimum(np.bincount(s & (classes - 1), minlength=classes), 255).astype(np.uint8)
+
+
+class Sketches:
+    """Sketches of sets in order of size, compared at the coarser of two resolutions."""
+
+    def __init__(self, raw: list[bytes]):
+        parts = [np.frombuffer(x, np.uint8) for x in raw]
+        self.width = np.array([len(x) for x in parts])
+        self.row = np.zeros(len(parts), np.int64)
+        self.full: dict[int, np.ndarray] = {}
+        self.half: dict[int, np.ndarray] = {}
+        for w in np.unique(self.width).tolist():
+            own = np.flatnonzero(self.width == w)
+            self.row[own] = np.arange(len(own))
+            self.full[w] = np.stack([parts[i] for i in own.tolist()]).astype(np.int16)
+            self.half[w] = np.minimum(self.full[w][:, : w // 2] + self.full[w][:, w // 2 :], 255)
+
+    def gaps(self, i: int, others: np.ndarray) -> np.ndarray:
+        """Lower bounds of the symmetric differences between set i and others that are as large or up to twice as large."""
+        w = int(self.width[i])
+        mine, out = self.full[w][self.row[i]], np.zeros(len(others), np.int64)
+        for table, width in ((self.full, w), (self.half, 2 * w)):
+            at = np.flatnonzero(self.width[others] == width)
+            if len(at):
+                out[at] = np.abs(table[width][self.row[others[at]]] - mine).sum(axis=1, dtype=np.int64)
+        return out
 
 
 def is_link(both: int, a: int, b: int, percent: int) -> bool:
@@ -148,7 +181,7 @@ def pivot_join(sets: list[np.ndarray], percent: int, pivots: int = 12) -> list[i
             break
     distance = np.stack(windows)
     root = np.array([forest.find(i) for i in range(m)])
-    counts = np.stack([sketch(s) for s in sets]).astype(np.int16)
+    counts = np.stack([sketch(s, CLASSES) for s in sets]).astype(np.int16)
     order = np.argsort(size, kind="stable")
     for at, x in enumerate(order.tolist()):
         others = order[at + 1 :]
@@ -190,13 +223,18 @@ def _groups(batches: Iterator[pa.RecordBatch], keys: list[str]) -> Iterator[pa.T
             last = key
     if held:
         yield pa.Table.from_batches(held)
+    trim()
 
 
 def components(spark: SparkSession, docs: DataFrame, k: int = 3, percent: int = 90) -> DataFrame:
     """(doc_id, n_shingles, component_id) for every row of docs."""
-    signed = materialise(spark, signatures(docs, k, percent), "signatures")
+    wide = scratch_path(spark, "signatures")
+    signatures(docs, k, percent).write.parquet(wide)
+    signed = spark.read.parquet(wide)
     one = signed.where("n > 0").groupBy("c").agg(F.min("doc_id").alias("rep"), F.first("n").alias("n"), F.first("win").alias("win"), F.first("sk").alias("sk"))
     classes = materialise(spark, one.withColumn("k", F.monotonically_increasing_id()), "classes")
+    signed = materialise(spark, signed.select("doc_id", "n", "c"), "documents")
+    remove(spark, wide)
 
     # Home cells: every class is in one, together with all others whose first shingle is the same.
     home = classes.select("k", "c", "rep", F.element_at("win", 1).alias("home"))
@@ -217,44 +255,58 @@ def components(spark: SparkSession, docs: DataFrame, k: int = 3, percent: int =
     links = connected(spark, labels.select(F.col("k").alias("a"), F.col("label").alias("b"))) if _repeated(labels) else labels.select(F.col("k").alias("id"), F.col("label").alias("root"))
 
     # Closing pass: cells of the boundary windows that hold more than one component.
-    named = materialise(spark, classes.join(links, F.col("k") == F.col("id"), "left").select("k", "c", "rep", "n", "sk", "win", F.coalesce("root", "k").alias("label")), "named")
+    named = classes.join(bounded_broadcast(links), F.col("k") == F.col("id"), "left").select("k", "c", "rep", "n", "sk", "win", F.coalesce("root", "k").alias("label"))
     cell = Window.partitionBy("s")
     cells = named.select(F.explode("win").alias("s"), "k", "label").select("k", F.min("k").over(cell).alias("anchor"), (F.min("label").over(cell) != F.max("label").over(cell)).alias("mixed")).where("mixed")
     anchored = materialise(spark, cells.select("anchor", "k").distinct(), "anchored")
     sized = anchored.join(anchored.groupBy("anchor").agg(F.count("*").alias("m")), "anchor").withColumn("nb", F.ceil(F.col("m") / F.lit(BLOCK_ROWS)).cast("int")).withColumn("b", F.pmod(F.xxhash64("k"), F.col("nb")).cast("int"))
     blocks = sized.select("anchor", "k", "b", F.explode(F.sequence(F.lit(0), F.col("nb") - 1)).alias("j")).select("anchor", "k", "b", F.least("b", "j").alias("lo"), F.greatest("b", "j").alias("hi"))
-    tasks = blocks.join(named.select("k", "n", "sk", "label"), "k").repartition("anchor", "lo", "hi").sortWithinPartitions("anchor", "lo", "hi", "n")
+    tasks = blocks.withColumn("task", F.xxhash64("anchor", "lo", "hi")).join(named.select("k", "n", "sk", "label"), "k").repartition("task").sortWithinPartitions("task", "n")
 
     def close(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for t in _groups(batches, ["anchor", "lo", "hi"]):
+        for t in _groups(batches, ["task"]):
             n, ids, label, b = (t.column(x).to_numpy() for x in ("n", "k", "label", "b"))
-            counts = np.frombuffer(b"".join(t.column("sk").to_pylist()), np.uint8).reshape(-1, CLASSES).astype(np.int16)
+            counts = Sketches(t.column("sk").to_pylist())
             cross = t.column("lo")[0] != t.column("hi")[0]
             for i in range(len(n) - 1):
                 stop = np.searchsorted(n, n[i] * 100 // percent, "right")
                 others = np.arange(i + 1, stop)
                 others = others[(label[others] != label[i]) & ((b[others] != b[i]) | (not cross))]
                 if len(others):
-                    gap = np.abs(counts[others] - counts[i]).sum(axis=1).astype(np.int64)
-                    others = others[(100 + percent) * gap <= (100 - percent) * (n[others] + n[i])]
+                    others = others[(100 + percent) * counts.gaps(i, others) <= (100 - percent) * (n[others] + n[i])]
                 if len(others):
-                    yield pa.RecordBatch.from_arrays([pa.array(np.minimum(ids[i], ids[others])), pa.array(np.maximum(ids[i], ids[others]))], ["a", "b"])
-
-    pairs = materialise(spark, tasks.mapInArrow(close, "a long, b long").distinct(), "pairs")
-    wanted = materialise(spark, pairs.select(F.explode(F.array("a", "b")).alias("k")).distinct().join(named.select("k", "c", "rep", "label"), "k"), "wanted")
-    sets = materialise(spark, fetch_sets(docs, wanted, k, "label long"), "sets")
+                    own = pa.array(np.full(len(others), t.column("task")[0].as_py()))
+                    yield pa.RecordBatch.from_arrays([own, pa.array(np.minimum(ids[i], ids[others])), pa.array(np.maximum(ids[i], ids[others]))], ["task", "a", "b"])
+
+    # A pair is verified in one task, to which each set goes once however many pairs it has there.
+    # Of the tasks that name a pair, that with the most pairs takes it, so that few tasks need a set.
+    named_pairs = materialise(spark, tasks.mapInArrow(close, "task long, a long, b long"), "named-pairs")
+    sizes = named_pairs.groupBy("task").agg(F.count("*").alias("m"))
+    pairs = materialise(spark, named_pairs.join(sizes, "task").groupBy("a", "b").agg(F.max(F.struct("m", "task")).getField("task").alias("task")), "pairs")
+    members = materialise(spark, pairs.select("task", F.explode(F.array("a", "b")).alias("k")).distinct(), "members")
+    wanted = materialise(spark, named.select("k", "c", "rep", "label").join(bounded_broadcast(members.select("k").distinct()), "k", "left_semi"), "wanted")
+    sets = fetch_sets(docs, wanted, k, "label long").join(bounded_broadcast(members), "k")
+    rows = sets.select("task", "k", "label", "set").unionByName(pairs.select("task", F.col("a").alias("k"), F.col("b").alias("label"), F.lit(None).cast("binary").alias("set")))
 
     def verify(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for batch in batches:
-            hit = []
-            for x, y in zip(batch.column("sa").to_pylist(), batch.column("sb").to_pylist(), strict=True):
-                p, q = np.frombuffer(x, np.int64), np.frombuffer(y, np.int64)
-                hit.append(is_link(len(np.intersect1d(p, q, assume_unique=True)), len(p), len(q), percent))
-            yield pa.RecordBatch.from_arrays([batch.column(x).filter(pa.array(hit, pa.bool_())) for x in ("la", "lb")], ["a", "b"])
-
-    left = sets.select(F.col("k").alias("a"), F.col("set").alias("sa"), F.col("label").alias("la"))
-    right = sets.select(F.col("k").alias("b"), F.col("set").alias("sb"), F.col("label").alias("lb"))
-    found = pairs.join(left, "a").join(right, "b").select("la", "lb", "sa", "sb").mapInArrow(verify, "a long, b long")
+        for t in _groups(batches, ["task"]):
+            members, todo = {}, []
+            for x, y, raw in zip(*(t.column(i).to_pylist() for i in ("k", "label", "set")), strict=True):
+                if raw is None:
+                    todo.append((x, y))
+                else:
+                    members[x] = (y, np.frombuffer(raw, np.int64))
+            number = {label: i for i, label in enumerate({m[0] for m in members.values()})}
+            forest, links = _Forest(len(number)), []
+            for x, y in todo:
+                (lx, p), (ly, q) = members[x], members[y]
+                if forest.find(number[lx]) != forest.find(number[ly]) and is_link(len(np.intersect1d(p, q, assume_unique=True)), len(p), len(q), percent):
+                    forest.join(number[lx], number[ly])
+                    links.append((lx, ly))
+            if links:
+                yield pa.RecordBatch.from_arrays([pa.array(z, pa.int64()) for z in zip(*links, strict=True)], ["a", "b"])
+
+    found = rows.repartition("task").sortWithinPartitions("task", F.col("set").isNull()).mapInArrow(verify, "a long, b long")
     roots = connected(spark, found)
 
     final = named.select("c", "rep", "label").join(bounded_broadcast(roots), F.col("label") == F.col("id"), "left").select("c", "rep", F.coalesce("root", "label").alias("root"))
