@@ -8,26 +8,27 @@ import numpy as np
 import pandas as pd
 from pyspark.sql import SparkSession
 from pyspark.sql.functions import pandas_udf, udtf
+from pyspark.sql.types import DoubleType, LongType, StructType
 
 
-@pandas_udf("double")
+@pandas_udf(DoubleType())
 def cosine(a: pd.Series, b: pd.Series) -> pd.Series:
     x, y = np.stack(a.to_list()).astype(float), np.stack(b.to_list()).astype(float)
     return pd.Series((x * y).sum(1) / np.maximum(np.linalg.norm(x, axis=1) * np.linalg.norm(y, axis=1), 1e-300))
 
 
-@pandas_udf("double")
+@pandas_udf(DoubleType())
 def geometric_mean(x: pd.Series) -> float:
     """Values below 1 count as 1, as a cut of no edge does in comparisons."""
     return float(np.exp(np.log(np.maximum(x.to_numpy(float), 1.0)).mean()))
 
 
-@pandas_udf("double")
+@pandas_udf(DoubleType())
 def imbalance(loads: pd.Series) -> float:
     return float(loads.max() / loads.mean() - 1)
 
 
-@udtf(returnType="pos long, nbr long")
+@udtf(returnType=StructType().add("pos", LongType()).add("nbr", LongType()))
 class AdjacencyLines:
     """Half-edges of one adjacency line: adjacency_lines(pos, text), neighbours counted from 1."""
 
@@ -36,7 +37,7 @@ class AdjacencyLines:
             yield pos, int(x) - 1
 
 
-@udtf(returnType="a long, b long")
+@udtf(returnType=StructType().add("a", LongType()).add("b", LongType()))
 class NeighbourPairs:
     """All pairs of a sorted list of at most `cap` members: neighbour_pairs(list, cap)."""
 
