@@ -27,8 +27,8 @@ from pyspark.sql import functions as F
 
 from cutstream.llm.common import BROADCAST_ROWS, batched, bounded_broadcast, connected, joined, materialise, mix, remove, scratch_path, trim, utf8, word_hashes, words_of
 
-#: Least number of classes of a sketch; a large set has one for each four to eight shingles.
-CLASSES = 128
+#: Least number of classes of a sketch (a set has one for each four to eight shingles), and the largest count it keeps.
+CLASSES, MOST = 32, 15
 REGION_ROWS = 8192
 BLOCK_ROWS = 2048
 
@@ -64,16 +64,26 @@ def classes_of(n: int) -> int:
 
 
 def sketch(s: np.ndarray, classes: int = 0) -> np.ndarray:
-    """Counts of the hashes by their low bits, 255 at most; halves of a sketch add up to that of half the classes."""
+    """Counts of the hashes by their low bits, MOST at most; halves of a sketch add up to that of half the classes."""
     classes = classes or classes_of(len(s))
-    return np.minimum(np.bincount(s & (classes - 1), minlength=classes), 255).astype(np.uint8)
+    return np.minimum(np.bincount(s & (classes - 1), minlength=classes), MOST).astype(np.uint8)
+
+
+def packed(counts: np.ndarray) -> bytes:
+    """Two counts a byte."""
+    return (counts[0::2] | (counts[1::2] << 4)).tobytes()
+
+
+def unpacked(raw: bytes) -> np.ndarray:
+    x = np.frombuffer(raw, np.uint8)
+    return np.stack([x & 15, x >> 4], axis=1).ravel()
 
 
 class Sketches:
     """Sketches of sets in order of size, compared at the coarser of two resolutions."""
 
     def __init__(self, raw: list[bytes]):
-        parts = [np.frombuffer(x, np.uint8) for x in raw]
+        parts = [unpacked(x) for x in raw]
         self.width = np.array([len(x) for x in parts])
         self.row = np.zeros(len(parts), np.int64)
         self.full: dict[int, np.ndarray] = {}
@@ -82,7 +92,7 @@ class Sketches:
             own = np.flatnonzero(self.width == w)
             self.row[own] = np.arange(len(own))
             self.full[w] = np.stack([parts[i] for i in own.tolist()]).astype(np.int16)
-            self.half[w] = np.minimum(self.full[w][:, : w // 2] + self.full[w][:, w // 2 :], 255)
+            self.half[w] = np.minimum(self.full[w][:, : w // 2] + self.full[w][:, w // 2 :], MOST)
 
     def gaps(self, i: int, others: np.ndarray) -> np.ndarray:
         """Lower bounds of the symmetric differences between set i and others that are as large or up to twice as large."""
@@ -109,7 +119,7 @@ def signatures(docs: DataFrame, k: int, percent: int) -> DataFrame:
             offsets = np.zeros(len(sets) + 1, np.int32)
             np.cumsum(sizes, out=offsets[1:])
             flat = np.concatenate([s[:w] for s, w in zip(sets, sizes, strict=True)])
-            yield pa.RecordBatch.from_arrays([rows.column("doc_id").cast(pa.int64()), pa.array([len(s) for s in sets], pa.int64()), pa.array([digest(s) for s in sets], pa.binary()), pa.ListArray.from_arrays(pa.array(offsets), pa.array(flat)), pa.array([sketch(s).tobytes() for s in sets], pa.binary())], ["doc_id", "n", "c", "win", "sk"])
+            yield pa.RecordBatch.from_arrays([rows.column("doc_id").cast(pa.int64()), pa.array([len(s) for s in sets], pa.int64()), pa.array([digest(s) for s in sets], pa.binary()), pa.ListArray.from_arrays(pa.array(offsets), pa.array(flat)), pa.array([packed(sketch(s)) for s in sets], pa.binary())], ["doc_id", "n", "c", "win", "sk"])
 
     return docs.select("doc_id", "text").mapInArrow(run, "doc_id long, n long, c binary, win array<long>, sk binary")
 
@@ -181,7 +191,7 @@ def pivot_join(sets: list[np.ndarray], percent: int, pivots: int = 12) -> list[i
             break
     distance = np.stack(windows)
     root = np.array([forest.find(i) for i in range(m)])
-    counts = np.stack([sketch(s, CLASSES) for s in sets]).astype(np.int16)
+    counts = np.stack([sketch(s, 128) for s in sets]).astype(np.int16)
     order = np.argsort(size, kind="stable")
     for at, x in enumerate(order.tolist()):
         others = order[at + 1 :]
