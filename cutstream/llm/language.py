@@ -184,7 +184,7 @@ def fit(samples: dict[str, list[str]], order: int = ORDER) -> Model:
 
     width = len(languages)
     below, below_codes = np.zeros((0, 0)), np.zeros(0, np.uint64)
-    symbols = len(model.alphabet) + 3
+    symbols = len(model.alphabet) + 2  # the blank and all other letters
     for m in range(1, order + 1):
         union = np.unique(np.concatenate([t[m - 1][0] for t in tables]))
         contexts = np.unique(union >> np.uint64(8))

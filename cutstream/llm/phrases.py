@@ -66,8 +66,9 @@ def _level(symbols: np.ndarray, names: np.ndarray | None, starts: np.ndarray, le
     label = _toss(_toss(label, starts), starts)
     begin = np.zeros(len(label), bool)
     begin[1:-1] = (label[1:-1] > label[:-2]) & (label[1:-1] >= label[2:])
-    begin[starts] = True
-    begin[(starts + 1)[starts + 1 < len(begin)]] = False  # a text's second symbol has too little to its left
+    # No phrase begins at a text's second symbol, whose left is too short, or its last, whose right is another text.
+    begin[(starts + 1)[starts + 1 < len(begin)]] = False
+    begin[np.append(starts[1:], len(begin)) - 1] = False
     begin[starts] = True
     phrase = np.flatnonzero(begin)
     ends = np.append(phrase[1:], len(label))

@@ -1,7 +1,7 @@
 """WARC archives of pages with a Zstandard dictionary: written in every task, then read back.
 
 Each archive is one file: a skippable frame (magic 0x184D2A5D) that holds the dictionary, then one frame a record. The
-dictionary is built from a bounded sample of the payloads to be archived (`SAMPLE` pages whose ids hash lowest). Of the
+dictionary is built from a bounded sample of the records to be archived (those of `SAMPLE` pages whose ids hash lowest). Of the
 records whose payloads are equal and of at least `least` bytes, those of the largest page_id are responses; the others
 are revisits that name it and carry no payload. Each record has its payload's length and SHA-1, checked on reading.
 
@@ -39,9 +39,9 @@ def sha1_base32(payload: bytes) -> str:
     return base64.b32encode(hashlib.sha1(payload).digest()).decode()
 
 
-def train(payloads: list[bytes], size: int = DICTIONARY_BYTES) -> bytes:
-    """A dictionary of at most `size` bytes; where too little is there to train on, the payloads' own beginning bytes."""
-    full = [p for p in payloads if p]
+def train(samples: list[bytes], size: int = DICTIONARY_BYTES) -> bytes:
+    """A dictionary of at most `size` bytes; where too little is there to train on, the samples' own beginning bytes."""
+    full = [p for p in samples if p]
     try:
         return zstandard.train_dictionary(size, full).as_bytes()
     except (zstandard.ZstdError, ValueError):
@@ -115,8 +115,9 @@ def write(spark: SparkSession, pages: DataFrame, uri: str, least: int = 0) -> Da
     shared = materialise(spark, keys.where(F.col("n") >= least).groupBy("sha", "n").agg(F.max("page_id").alias("first"), F.count("*").alias("m")).where("m > 1 and first is not null").select(F.col("sha").alias("same"), "first"), "payloads")
     n = page.count()
     pick = F.pmod(F.xxhash64("page_id", F.lit("dictionary")), F.lit(1 << 40))
-    near = page.where(pick < F.lit(int((1 << 40) * min(1.0, 1.5 * SAMPLE / max(1, n))))).select(pick.alias("u"), "html").limit(2 * SAMPLE).collect()
-    dictionary = spark.sparkContext.broadcast(train([r.html.encode("utf-8", "surrogatepass") for r in sorted(near, key=lambda r: (r.u, r.html))[:SAMPLE]]))
+    near = page.where(pick < F.lit(int((1 << 40) * min(1.0, 1.5 * SAMPLE / max(1, n))))).select(pick.alias("u"), "page_id", "url", "html").limit(2 * SAMPLE).collect()
+    samples = [(r.page_id, r.url, r.html.encode("utf-8", "surrogatepass")) for r in sorted(near, key=lambda r: (r.u, r.html))[:SAMPLE]]
+    dictionary = spark.sparkContext.broadcast(train([record("response", i, url, p, sha1_base32(p), None) for i, url, p in samples]))
     named = page.withColumn("sha", F.sha1(F.col("html").cast("binary"))).join(bounded_broadcast(shared), F.expr("sha = same"), "left")
     rows = named.select("page_id", "url", "html", F.when(~F.col("page_id").eqNullSafe(F.col("first")), F.col("first")).alias("refers_to"))
 
