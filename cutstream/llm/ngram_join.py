@@ -7,8 +7,8 @@ its own shingles, ties fall to the lowest hash (its home cell), and a pair withi
 Inside a cell, documents are pivots: a pivot's distances to all others give windows |d(x, p) - d(y, p)| <= radius that
 discard pairs, members within the radius join the pivot's component at once, and the rest recurses under the next pivot.
 A large cell is first split to blocks; what a block cannot see is left to the closing pass, which takes every pair of
-documents in different components that share any cell, filters it by sizes and by a class-count sketch (both lower bounds
-of the symmetric difference, hence lossless), and verifies it on whole sets.
+documents in different components that share any cell and filters it by sizes and by a class-count sketch (both lower bounds
+of the symmetric difference, hence lossless); what passes forms regions that join by pivots on whole sets once more.
 
 Null or blank texts have the empty set and are linked with nothing. Equal sets form one class before any join, so copies
 are never expanded to pairs. Rows that repeat a doc_id are separate rows; a component is named by its smallest doc_id.
@@ -27,7 +27,7 @@ from pyspark.sql import functions as F
 
 from cutstream.llm.common import BROADCAST_ROWS, batched, bounded_broadcast, connected, joined, materialise, mix, remove, scratch_path, trim, utf8, word_hashes, words_of
 
-#: Least number of classes of a sketch (a set has one for each four to eight shingles), and the largest count it keeps.
+#: Least number of classes of a sketch (a set has one for each two to four shingles), and the largest count it keeps.
 CLASSES, MOST = 32, 15
 REGION_ROWS = 8192
 BLOCK_ROWS = 2048
@@ -60,7 +60,7 @@ def digest(s: np.ndarray) -> bytes:
 
 
 def classes_of(n: int) -> int:
-    return max(CLASSES, 1 << max(0, (n // 4).bit_length() - 1))
+    return max(CLASSES, 1 << max(0, (n // 2).bit_length() - 1))
 
 
 def sketch(s: np.ndarray, classes: int = 0) -> np.ndarray:
@@ -156,15 +156,20 @@ class _Forest:
             self.up[max(a, b)] = min(a, b)
 
 
-def pivot_join(sets: list[np.ndarray], percent: int, pivots: int = 12) -> list[int]:
-    """Local component (index of its first member) of each set: recursive pivots, triangle windows, exact overlaps."""
+def pivot_join(sets: list[np.ndarray], percent: int, labels: list[int] | None = None, pivots: int = 12) -> list[int]:
+    """Local component (index of its first member) of each set: recursive pivots, triangle windows, exact overlaps.
+
+    Sets of equal labels, if given, are in one component already.
+    """
     m = len(sets)
     size = np.array([len(s) for s in sets], np.int64)
     ends = np.cumsum(size)
     begins = ends - size
     _, codes = np.unique(np.concatenate(sets), return_inverse=True)
     mark = np.zeros(codes.max() + 1, bool)
-    forest = _Forest(m)
+    forest, first = _Forest(m), {}
+    for i, x in enumerate(labels or ()):
+        forest.join(first.setdefault(x, i), i)
     radius = (100 - percent) / 100
 
     def overlaps(p: int, others: np.ndarray) -> np.ndarray:
@@ -276,47 +281,40 @@ def components(spark: SparkSession, docs: DataFrame, k: int = 3, percent: int =
     def close(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for t in _groups(batches, ["task"]):
             n, ids, label, b = (t.column(x).to_numpy() for x in ("n", "k", "label", "b"))
-            counts = Sketches(t.column("sk").to_pylist())
-            cross = t.column("lo")[0] != t.column("hi")[0]
+            counts, near = Sketches(t.column("sk").to_pylist()), _Forest(len(n))
+            cross, hit = t.column("lo")[0] != t.column("hi")[0], np.zeros(len(n), bool)
             for i in range(len(n) - 1):
                 stop = np.searchsorted(n, n[i] * 100 // percent, "right")
                 others = np.arange(i + 1, stop)
                 others = others[(label[others] != label[i]) & ((b[others] != b[i]) | (not cross))]
                 if len(others):
                     others = others[(100 + percent) * counts.gaps(i, others) <= (100 - percent) * (n[others] + n[i])]
-                if len(others):
-                    own = pa.array(np.full(len(others), t.column("task")[0].as_py()))
-                    yield pa.RecordBatch.from_arrays([own, pa.array(np.minimum(ids[i], ids[others])), pa.array(np.maximum(ids[i], ids[others]))], ["task", "a", "b"])
-
-    # A pair is verified in one task, to which each set goes once however many pairs it has there.
-    # Of the tasks that name a pair, that with the most pairs takes it, so that few tasks need a set.
-    named_pairs = materialise(spark, tasks.mapInArrow(close, "task long, a long, b long"), "named-pairs")
-    sizes = named_pairs.groupBy("task").agg(F.count("*").alias("m"))
-    pairs = materialise(spark, named_pairs.join(sizes, "task").groupBy("a", "b").agg(F.max(F.struct("m", "task")).getField("task").alias("task")), "pairs")
-    members = materialise(spark, pairs.select("task", F.explode(F.array("a", "b")).alias("k")).distinct(), "members")
-    wanted = materialise(spark, named.select("k", "c", "rep", "label").join(bounded_broadcast(members.select("k").distinct()), "k", "left_semi"), "wanted")
-    sets = fetch_sets(docs, wanted, k, "label long").join(bounded_broadcast(members), "k")
-    rows = sets.select("task", "k", "label", "set").unionByName(pairs.select("task", F.col("a").alias("k"), F.col("b").alias("label"), F.lit(None).cast("binary").alias("set")))
-
-    def verify(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for t in _groups(batches, ["task"]):
-            members, todo = {}, []
-            for x, y, raw in zip(*(t.column(i).to_pylist() for i in ("k", "label", "set")), strict=True):
-                if raw is None:
-                    todo.append((x, y))
-                else:
-                    members[x] = (y, np.frombuffer(raw, np.int64))
-            number = {label: i for i, label in enumerate({m[0] for m in members.values()})}
-            forest, links = _Forest(len(number)), []
-            for x, y in todo:
-                (lx, p), (ly, q) = members[x], members[y]
-                if forest.find(number[lx]) != forest.find(number[ly]) and is_link(len(np.intersect1d(p, q, assume_unique=True)), len(p), len(q), percent):
-                    forest.join(number[lx], number[ly])
-                    links.append((lx, ly))
+                for x in others.tolist():
+                    near.join(i, x)
+                hit[others] = True
+                hit[i] |= len(others) > 0
+            groups: dict[int, list[int]] = {}
+            for i in np.flatnonzero(hit).tolist():
+                groups.setdefault(near.find(i), []).append(int(ids[i]))
+            if groups:
+                lists = [sorted(x) for x in groups.values()]
+                names = [int.from_bytes(hashlib.blake2b(np.array(x).tobytes(), digest_size=8).digest(), "little", signed=True) for x in lists]
+                yield pa.RecordBatch.from_arrays([pa.array(names, pa.int64()), pa.array(lists, pa.list_(pa.int64()))], ["region", "ks"])
+
+    # What may still be linked forms regions again, each of which joins by pivots on whole sets; a region that several
+    # cells find is joined once.
+    last = materialise(spark, tasks.mapInArrow(close, "region long, ks array<long>").groupBy("region").agg(F.first("ks").alias("ks")), "last-regions")
+    members = materialise(spark, last.select("region", F.explode("ks").alias("k")).join(named.select("k", "c", "rep", "label"), "k"), "members")
+
+    def rejoin(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for t in _groups(batches, ["region"]):
+            labels = t.column("label").to_pylist()
+            up = pivot_join([np.frombuffer(s, np.int64) for s in t.column("set").to_pylist()], percent, labels)
+            links = {(labels[i], labels[r]) for i, r in enumerate(up) if labels[i] != labels[r]}
             if links:
-                yield pa.RecordBatch.from_arrays([pa.array(z, pa.int64()) for z in zip(*links, strict=True)], ["a", "b"])
+                yield pa.RecordBatch.from_arrays([pa.array(z, pa.int64()) for z in zip(*sorted(links), strict=True)], ["a", "b"])
 
-    found = rows.repartition("task").sortWithinPartitions("task", F.col("set").isNull()).mapInArrow(verify, "a long, b long")
+    found = fetch_sets(docs, members, k, "region long, label long").repartition("region").sortWithinPartitions("region").mapInArrow(rejoin, "a long, b long")
     roots = connected(spark, found)
 
     final = named.select("c", "rep", "label").join(bounded_broadcast(roots), F.col("label") == F.col("id"), "left").select("c", "rep", F.coalesce("root", "label").alias("root"))
