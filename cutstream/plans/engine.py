@@ -100,7 +100,7 @@ def fold_ghosts(a: np.ndarray, ghost: np.ndarray, w: np.ndarray, c: np.ndarray,
 
 
 def coarsen_rows(rows: DataFrame, p: PartitionParams, delta: int, most: float, again: bool, parts: int) -> DataFrame:
-    """(batch, blob, stats) from the rows of buffer_rows: one group of rows is one buffer's whole model."""
+    """(batch, blob, stats, weight of the model) from the rows of buffer_rows: one group of rows is one buffer's whole model."""
     extended = p.model == "extended" and not again
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -119,9 +119,9 @@ def coarsen_rows(rows: DataFrame, p: PartitionParams, delta: int, most: float, a
             levels, maps = kernel.coarsen(fine, p, most, before if again else None)
             sizes = ",".join(f"{x.n}:{len(x.adj) // 2}" for x in levels)
             blob = pickle.dumps((first, true, levels, maps, (a[out] - first, b[out], w[out]), before), protocol=5)
-            yield pa.RecordBatch.from_arrays([pa.array([batch], pa.int64()), pa.array([blob], pa.binary()), pa.array([sizes])], ["batch", "blob", "stats"])
+            yield pa.RecordBatch.from_arrays([pa.array([batch], pa.int64()), pa.array([blob], pa.binary()), pa.array([sizes]), pa.array([float(weight.sum())])], ["batch", "blob", "stats", "weight"])
 
-    return rows.repartition(parts, "batch").sortWithinPartitions("batch", "kind", "a", "b").mapInArrow(run, "batch long, blob binary, stats string")
+    return rows.repartition(parts, "batch").sortWithinPartitions("batch", "kind", "a", "b").mapInArrow(run, "batch long, blob binary, stats string, weight double")
 
 
 def coarsened(g: Graph, p: PartitionParams, previous: DataFrame | None = None) -> DataFrame:
@@ -201,23 +201,28 @@ def driver_loop(g: Graph, p: PartitionParams, coarse: DataFrame) -> DataFrame:
     """
     spark = g.nodes.sparkSession
     (scale, most), delta = scale_of(g, p), p.delta or max(1, g.n)
-    steps = -(-(-(-g.n // delta)) // p.lanes)
+    buffers = -(-g.n // delta)
+    weight = {r.batch: r.weight for r in coarse.select("batch", "weight").collect()}  # a number for each buffer
     at = scratch.path(spark, "assigned")
     loads = np.zeros(p.k)
     kind = "pos long, block int, batch_id long, fits boolean, weight double"
     back = materialise(g.edges.select(F.floor(F.col("dst") / delta).cast("long").alias("batch"), F.col("dst").alias("a"), F.col("src").alias("b"), F.col("weight").alias("w")).where(F.col("batch") > F.floor(F.col("b") / delta)), "backward")
-    for step in range(steps):
-        low, high = step * p.lanes, (step + 1) * p.lanes - 1
-        lanes = min(p.lanes, -(-g.n // delta) - low)
+    low = 0
+    while low < buffers:
+        lanes = min(p.lanes, buffers - low)
+        while lanes > 1 and np.floor(np.maximum(most - loads, 0) / lanes).sum() < max(weight[b] for b in range(low, low + lanes)):
+            lanes -= 1  # a lane's share of the free room must hold its model, ghosts included
+        high = low + lanes - 1
         conn = None
-        if step:
+        if low:
             done = spark.read.schema(kind).parquet(at).select(F.col("pos").alias("b"), "block")
             conn = back.where(F.col("batch").between(low, high)).join(done, "b").groupBy("batch", "a", "block").agg(F.sum("w").alias("w"))
         placed = place_step(coarse.where(F.col("batch").between(low, high)), conn, loads, lanes, p, scale, most)
         placed.write.mode("append").partitionBy("batch_id").parquet(at)
         for r in spark.read.schema(kind).parquet(at).where(F.col("batch_id").between(low, high)).groupBy("block").agg(F.sum("weight").alias("c")).collect():  # k rows
             loads[r.block] += r.c
-    return spark.read.schema(kind).parquet(at).select("pos", "block", "batch_id", "fits")
+        low = high + 1
+    return spark.read.schema(kind).parquet(at).select("pos", "block", "batch_id", "fits") if buffers else spark.createDataFrame([], ASSIGNMENT)
 
 
 def place_step(coarse: DataFrame, conn: DataFrame | None, loads: np.ndarray, lanes: int, p: PartitionParams, scale: float, most: float) -> DataFrame:

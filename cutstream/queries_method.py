@@ -163,7 +163,7 @@ def initial_tiny(s, d):
     lm = g.nodes.select(F.col("pos").alias("fine"), F.floor(F.col("pos") / 8).cast("long").alias("coarse"))
     sizes = lm.groupBy(F.col("coarse").alias("key")).agg(F.count("*").cast("double").alias("weight"))
     tiny = Graph.from_edges(B.contract(g.edges, lm), extra=sizes.select("key"), weights=sizes)
-    return E.greedy(tiny, PartitionParams(k=K, eps=0.1)).assignment.select("pos", "block")
+    return E.greedy(tiny, PartitionParams(k=K, eps=0.5)).assignment.select("pos", "block")
 
 
 def _bmp(graph, k=8, unit=True, **changes):
@@ -402,7 +402,7 @@ ORACLES = {
     "cdg2_docline": greedy_sql(_D, 8, "capacity_discount", 2),
     "pgg_tradeflow": greedy_sql(_TRADE, 4),
     "bmp_delta1_docline": greedy_sql(_D, 8),
-    "initial_tiny": greedy_sql(_TINY, K, eps="1.1", weight="size"),
+    "initial_tiny": greedy_sql(_TINY, K, eps="1.5", weight="size"),
     "bmp_invariants": f"SELECT * FROM (VALUES {_VARIANTS}) t(graph, variant, covers, in_range, feasible, loads_add_up, cut_twice)",
     "engines_agree": "SELECT true AS same, true AS lanes_feasible",
     "control_runs": f"{_RUNS} SELECT * FROM runs",
