@@ -252,25 +252,23 @@ class _Lane(kernel.Blocks):
 
     def __init__(self, p: PartitionParams, scale: float, most: float, loads: np.ndarray, lanes: int):
         super().__init__(p, scale, most, loads)
-        self.base, self.lanes, self.real = loads.copy(), lanes, loads.copy()
-        self.room = np.floor(np.maximum(most - loads, 0) / lanes) if lanes > 1 else most - loads
-        self.most_real = loads + self.room
+        self.base, self.lanes, self.real = loads.tolist(), lanes, loads.tolist()
+        room = np.floor(np.maximum(most - loads, 0) / lanes) if lanes > 1 else most - loads
+        self.most_real = (loads + room).tolist()
 
     def add(self, i: int, c: float) -> None:
         self.real[i] += c
-        self.load[i] = self.base[i] + self.lanes * (self.real[i] - self.base[i])
-        self.penalty[i] = self._penalty(float(self.load[i]))
+        super().add(i, self.base[i] + self.lanes * (self.real[i] - self.base[i]) - self.load[i])
 
     def best_of_all(self, conn: dict[int, float], c: float) -> int:
-        s = -c * self.penalty if self.p.objective != "capacity_discount" else np.zeros(self.p.k)
-        for i, x in conn.items():
-            s[i] = self.score(x, c, i)
-        s[self.real + c > self.most_real] = -np.inf
-        best = s.max()
-        if best == -np.inf:
-            return -1
-        ties = np.flatnonzero(s == best)
-        return int(ties[np.argmin(self.load[ties])])
+        """As above, but each block has a room of its own, so all are looked at."""
+        best, score = -1, 0.0
+        for i in range(self.p.k):
+            if self.real[i] + c <= self.most_real[i]:
+                s = self.score(conn.get(i, 0.0), c, i)
+                if best < 0 or s > score or (s == score and self.load[i] < self.load[best]):
+                    best, score = i, s
+        return best
 
 
 def partition_buffered(g: Graph, p: PartitionParams) -> PartitionResult:
@@ -314,7 +312,9 @@ def place_greedy(g: Graph, p: PartitionParams, previous: DataFrame | None = None
     """One pass of a one-vertex-at-a-time greedy in one ordered task; previous: blocks of the pass before."""
     scale, most = scale_of(g, p)
     n = g.n
-    rows = half_edges(g).select("pos", "nbr", "weight", F.lit(-1).alias("block"))
+    # In the first pass only earlier neighbours have blocks, so each edge goes to its later end alone.
+    first = g.nodes.select("pos", F.lit(-1).cast("long").alias("nbr"), "weight").unionByName(g.edges.select(F.col("dst").alias("pos"), F.col("src").alias("nbr"), "weight"))
+    rows = (first if previous is None else half_edges(g)).select("pos", "nbr", "weight", F.lit(-1).alias("block"))
     if previous is not None:
         rows = rows.unionByName(previous.join(g.nodes.select("pos", "weight"), "pos").select(F.lit(-1).cast("long").alias("pos"), F.col("pos").alias("nbr"), "weight", "block"))
 

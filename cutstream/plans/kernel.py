@@ -5,6 +5,7 @@ Graphs are adjacency arrays; loops are plain Python over lists because each step
 
 from __future__ import annotations
 
+import heapq
 from dataclasses import dataclass
 
 import numpy as np
@@ -126,46 +127,61 @@ def coarsen(g: Level, p: PartitionParams, lmax: float, within: np.ndarray | None
 
 
 class Blocks:
-    """Loads of k blocks, their penalties, and the choice of the best block."""
+    """Loads of k blocks, their penalties, and the choice of the best block.
 
-    def __init__(self, p: PartitionParams, scale: float, most: float, loads: np.ndarray | None = None):
+    A block without a connection is never better than the least loaded one, so only connected blocks and that one are
+    scored: the choice does not depend on k. A heap finds the least loaded block; its stale entries are skipped.
+    """
+
+    def __init__(self, p: PartitionParams, scale: float, most: float, loads=None):
         self.p, self.scale, self.most = p, scale * p.gamma, most
-        self.load = np.zeros(p.k) if loads is None else loads.astype(np.float64).copy()
-        self.table = self.scale * np.power(np.arange(4096) * (most / 4095), p.gamma - 1) if p.power == "table" else None
-        self.penalty = np.array([self._penalty(x) for x in self.load.tolist()])
+        self.load = [0.0] * p.k if loads is None else [float(x) for x in loads]
+        self.table = (self.scale * np.power(np.arange(4096) * (most / 4095), p.gamma - 1)).tolist() if p.power == "table" else None
+        self.discount, self.root = p.objective == "capacity_discount", p.gamma == 1.5 and p.power == "exact"
+        self.penalty = [self._penalty(x) for x in self.load]
+        self._fill()
+
+    def _fill(self) -> None:
+        self.heap = [(x, i) for i, x in enumerate(self.load)]
+        heapq.heapify(self.heap)
 
     def _penalty(self, load: float) -> float:
-        if self.p.objective == "capacity_discount":
+        if self.discount:
             return 1 - load / self.most if self.most else 0.0
         if load <= 0:
             return 0.0
         if self.table is not None:
-            return float(self.table[min(4095, int(load / self.most * 4095))])
-        return self.scale * (load**0.5 if self.p.gamma == 1.5 else load ** (self.p.gamma - 1))
+            return self.table[min(4095, int(load / self.most * 4095))]
+        return self.scale * (load**0.5 if self.root else load ** (self.p.gamma - 1))
 
     def add(self, i: int, c: float) -> None:
-        self.load[i] += c
-        self.penalty[i] = self._penalty(float(self.load[i]))
+        self.load[i] = x = self.load[i] + c
+        self.penalty[i] = self._penalty(x)
+        heapq.heappush(self.heap, (x, i))
+        if len(self.heap) > 8 * self.p.k + 64:
+            self._fill()
 
     def score(self, conn: float, c: float, i: int) -> float:
-        return conn * self.penalty[i] if self.p.objective == "capacity_discount" else conn - c * self.penalty[i]
+        return conn * self.penalty[i] if self.discount else conn - c * self.penalty[i]
+
+    def least(self) -> int:
+        """The least loaded block, the lowest of equals."""
+        while self.heap[0][0] != self.load[self.heap[0][1]]:
+            heapq.heappop(self.heap)
+        return self.heap[0][1]
 
     def best_of_all(self, conn: dict[int, float], c: float) -> int:
         """Feasible block of the best score; ties to the lower load, then the lower number; -1 if none has room."""
-        if self.p.objective == "capacity_discount":
-            s = np.zeros(self.p.k)
-            for i, x in conn.items():
-                s[i] = x * self.penalty[i]
-        else:
-            s = -c * self.penalty
-            for i, x in conn.items():
-                s[i] = x - c * self.penalty[i]
-        s[self.load + c > self.most] = -np.inf
-        best = s.max()
-        if best == -np.inf:
+        load, most, best = self.load, self.most - c, self.least()
+        if load[best] > most:
             return -1
-        ties = np.flatnonzero(s == best)
-        return int(ties[0]) if len(ties) == 1 else int(ties[np.argmin(self.load[ties])])
+        score = self.score(conn.get(best, 0.0), c, best)
+        for i, x in conn.items():
+            if load[i] <= most and i != best:
+                s = self.score(x, c, i)
+                if s > score or (s == score and (load[i], i) < (load[best], best)):
+                    best, score = i, s
+        return best
 
 
 def first_blocks(g: Level, conn: list[dict[int, float]], state: Blocks, start: np.ndarray | None = None) -> np.ndarray:
