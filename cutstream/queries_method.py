@@ -200,6 +200,14 @@ def engines_agree(s, d):
     return one.join(two, "pos").agg((F.count_if(F.col("a") != F.col("b")) == 0).alias("same")).crossJoin(M.balance(g.nodes, three, 8, 0.03, g.n).select(F.col("feasible").alias("lanes_feasible")))
 
 
+def bmp_distributed(s, d):
+    """Coarsened by DataFrame rounds to 200 vertices at most, refined by a replayed pass."""
+    from cutstream.plans.distributed import partition_distributed
+
+    g = Graph.load(s, d, "rgg")
+    return M.summary(g, partition_distributed(g, PartitionParams(k=8, delta=256), 200).assignment, 8, 0.03).select("cut", "cut_pct", "max_load", "lmax", "feasible")
+
+
 def hierarchy(s, d):
     """Levels of each buffer's hierarchy."""
     g = Graph.load(s, d, "fkforest")
@@ -284,6 +292,7 @@ QUERIES = {
     "bmp_tradeflow_weighted": _bmp("tradeflow", 4, unit=False, eps=0.1),
     "bmp_power_table": _bmp("docline", power="table"),
     "bmp_bisected_start": _bmp("docline", initial="recursive_bisection"),
+    "bmp_distributed": bmp_distributed,
     "bmp_invariants": bmp_invariants,
     "engines_agree": engines_agree,
     "hierarchy_stats": hierarchy,

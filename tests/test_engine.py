@@ -116,3 +116,11 @@ def test_plans(spark, sf):
     g = Graph.load(spark, sf, "docline")
     assert "BroadcastHashJoin" in explain_text(M.attach_blocks(g.edges, E.place_hash(g, 4), vertices=g.n))
     assert "BroadcastHashJoin" not in explain_text(M.attach_blocks(g.edges, E.place_hash(g, 4), "merge"))
+
+
+def test_distributed_coarsening(rgg):
+    from cutstream.plans.distributed import partition_distributed
+
+    p = PartitionParams(k=8, delta=256)
+    out = partition_distributed(rgg, p, 200).assignment
+    assert out.select("pos").distinct().count() == rgg.n and cut(rgg, out) < cut(rgg, E.place_penalty_gain(rgg, p))
