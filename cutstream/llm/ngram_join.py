@@ -27,10 +27,10 @@ from pyspark.sql import functions as F
 
 from cutstream.llm.common import BROADCAST_ROWS, batched, bounded_broadcast, connected, joined, materialise, mix, remove, scratch_path, trim, utf8, word_hashes, words_of
 
-#: Least number of classes of a sketch (a set has one for each two to four shingles), and the largest count it keeps.
-CLASSES, MOST = 32, 15
+#: Least number of classes of a sketch (a large set has one for each four to eight shingles), and the largest count it keeps.
+CLASSES, MOST = 64, 15
 REGION_ROWS = 8192
-BLOCK_ROWS = 2048
+BLOCK_ROWS = 4096
 
 
 def shingle_sets(texts: list[str], k: int) -> list[np.ndarray]:
@@ -60,7 +60,7 @@ def digest(s: np.ndarray) -> bytes:
 
 
 def classes_of(n: int) -> int:
-    return max(CLASSES, 1 << max(0, (n // 2).bit_length() - 1))
+    return max(CLASSES, 1 << max(0, (n // 4).bit_length() - 1))
 
 
 def sketch(s: np.ndarray, classes: int = 0) -> np.ndarray:
@@ -276,13 +276,15 @@ def components(spark: SparkSession, docs: DataFrame, k: int = 3, percent: int =
     anchored = materialise(spark, cells.select("anchor", "k").distinct(), "anchored")
     sized = anchored.join(anchored.groupBy("anchor").agg(F.count("*").alias("m")), "anchor").withColumn("nb", F.ceil(F.col("m") / F.lit(BLOCK_ROWS)).cast("int")).withColumn("b", F.pmod(F.xxhash64("k"), F.col("nb")).cast("int"))
     blocks = sized.select("anchor", "k", "b", F.explode(F.sequence(F.lit(0), F.col("nb") - 1)).alias("j")).select("anchor", "k", "b", F.least("b", "j").alias("lo"), F.greatest("b", "j").alias("hi"))
-    tasks = blocks.withColumn("task", F.xxhash64("anchor", "lo", "hi")).join(named.select("k", "n", "sk", "label"), "k").repartition("task").sortWithinPartitions("task", "n")
+    slim = blocks.select(F.xxhash64("anchor", "lo", "hi").alias("task"), "k", "b", (F.col("lo") != F.col("hi")).alias("cross"))
+    tasks = slim.join(named.select("k", F.col("n").cast("int").alias("n"), "sk", "label"), "k").repartition("task").sortWithinPartitions("task", "n")
 
     def close(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for t in _groups(batches, ["task"]):
             n, ids, label, b = (t.column(x).to_numpy() for x in ("n", "k", "label", "b"))
+            n = n.astype(np.int64)
             counts, near = Sketches(t.column("sk").to_pylist()), _Forest(len(n))
-            cross, hit = t.column("lo")[0] != t.column("hi")[0], np.zeros(len(n), bool)
+            cross, hit = t.column("cross")[0].as_py(), np.zeros(len(n), bool)
             for i in range(len(n) - 1):
                 stop = np.searchsorted(n, n[i] * 100 // percent, "right")
                 others = np.arange(i + 1, stop)
