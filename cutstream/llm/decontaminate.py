@@ -6,6 +6,12 @@ nothing). A randomised SVD of the benchmark's passages, computed over partitions
 features by rank numbers are gathered), gives the latent space. A corpus passage is projected to it and compared with every
 item by cosine; the norm is that of the whole passage, so text outside the benchmark's space counts against it.
 
+The cosine orders the passages of a candidate and is reported, but does not choose candidates: it loses items whose words
+are all common (in a group of copies that holds a third of the rows, or a table of one row; their cosine is 0), long items
+and short ones beside rare words. Candidates come by an exact count: an item of L words of which at most M may be missing
+needs all but M of any of its words in the text around the passage. Its rarest words (at least M + 1) are counted there,
+whatever they weigh, so no pair that the next test accepts is lost.
+
 A candidate leaks if the longest common subsequence of words between item and passage (with half a passage before and
 after) covers `SHARE` of the item, and of its answer (the last sentence, or the last quarter where that is too short)
 `ANSWER_SHARE`. Items of under `SHORT` words must be there whole. A null or empty text has no leak; a null or empty item
@@ -29,8 +35,11 @@ from cutstream.llm.common import batched, materialise, utf8, word_hashes
 BITS = 18
 FEATURES = 1 << BITS
 STEP, RANK, EXTRA, ITERATIONS = 32, 256, 16, 2
-COSINE, SHARE, ANSWER_SHARE, SHORT = 0.25, 0.7, 0.5, 8
+SHARE, ANSWER_SHARE, SHORT = 0.7, 0.5, 8
 MOST_COMMON = 1 / 3
+#: The exact way counts words in at most these shares of the documents, and the rarest others where they are too few. Each
+#: share by itself loses nothing; a passage must have enough words by all of them, which leaves few to compare in full.
+RARE = (1 / 50, 1 / 10)
 #: Items that share one latent space (so RANK dimensions lose none of them), and items searched in one pass.
 SPACE_ITEMS, PASS_ITEMS = 256, 4096
 
@@ -151,6 +160,68 @@ class Items:
     place: np.ndarray
     basis: np.ndarray
     idf: np.ndarray
+    anchors: list[Anchors]
+
+
+@dataclass
+class Anchors:
+    """Counted words of each item: sorted hashes, the items of each hash, and how many each item needs around a passage."""
+
+    keys: np.ndarray
+    begin: np.ndarray
+    who: np.ndarray
+    need: np.ndarray
+    reach: np.ndarray
+    known: np.ndarray
+
+
+def least_common(n: int) -> int:
+    """Words that the common subsequence with an item of n words must have."""
+    return n if n < SHORT else next(m for m in range(int(SHARE * n), n + 1) if m / n >= SHARE)
+
+
+def margin_of(n: int) -> int:
+    """Words before and after a passage that are held against an item of n words; a long item needs as much text."""
+    return max(STEP, n - STEP)
+
+
+def anchors_of(words: list[np.ndarray], df: np.ndarray, n: int, rare: float) -> Anchors:
+    pairs, need = [], np.full(len(words), np.iinfo(np.int32).max, np.int32)  # an item without words is never found
+    for i, w in enumerate(words):
+        if len(w):
+            often = df[feature(w)]
+            missing = len(w) - least_common(len(w))
+            count = max(missing + 1, int((often <= n * rare).sum()))
+            need[i] = count - missing
+            pairs += [(x, i) for x in np.unique(w[np.argsort(often, kind="stable")[:count]]).tolist()]
+    pairs.sort()
+    keys, begin = np.unique(np.array([x for x, _ in pairs], np.uint64), return_index=True)
+    known = np.zeros(FEATURES, bool)
+    known[feature(keys)] = True
+    reach = np.array([-(-margin_of(len(w)) // STEP) for w in words], np.int64)
+    return Anchors(keys, np.append(begin, len(pairs)), np.array([i for _, i in pairs], np.int64), need, reach, known)
+
+
+def enough_words(h: np.ndarray, f: np.ndarray, block: np.ndarray, first: np.ndarray, end: np.ndarray, a: Anchors) -> np.ndarray:
+    """Whether the text around each block (of its text's blocks first to end) has as many counted words as each item needs."""
+    n, items = len(first), len(a.need)
+    at = np.flatnonzero(a.known[f])
+    if not len(at):
+        return np.zeros((n, items), bool)
+    key = np.minimum(np.searchsorted(a.keys, h[at]), len(a.keys) - 1)
+    same = a.keys[key] == h[at]
+    at, key = at[same], key[same]
+    each = a.begin[key + 1] - a.begin[key]
+    within = np.arange(each.sum()) - np.repeat(np.cumsum(each) - each, each)
+    who = a.who[np.repeat(a.begin[key], each) + within]
+    total = np.zeros((n + 1, items), np.int32)
+    np.cumsum(np.bincount(np.repeat(block[at], each) * items + who, minlength=n * items).reshape(n, items), axis=0, out=total[1:])
+    out, here = np.zeros((n, items), bool), np.arange(n)
+    for reach in np.unique(a.reach):
+        own = np.flatnonzero(a.reach == reach)
+        part = total if len(own) == items else total[:, own]
+        out[:, own] = part[np.minimum(end, here + 2 + reach)] - part[np.maximum(first, here - reach)] >= a.need[own]
+    return out
 
 
 def answer_of(text: str) -> str:
@@ -179,16 +250,17 @@ def prepare(spark: SparkSession, docs: DataFrame, benchmark: DataFrame) -> Itera
     named = benchmark.where("length(trim(text)) > 0").select(F.col("item_id").cast("long").alias("item_id"), "text").distinct()
     items = materialise(spark, named.withColumn("space", F.floor((F.row_number().over(Window.orderBy("item_id", "text")) - 1) / SPACE_ITEMS)), "items")
     spaces = [r.space for r in items.select("space").distinct().orderBy("space").collect()]
-    idf = inverse_frequencies(*document_frequencies(docs)) if spaces else None
+    df, n = document_frequencies(docs) if spaces else (np.zeros(FEATURES, np.int64), 0)
+    idf = inverse_frequencies(df, n)
     out: list[Items] = []
     for space in spaces:
         own = items.where(F.col("space") == space).select("item_id", "text")
         place, basis = latent_space(own, idf)
-        if basis.size:
-            rows = own.orderBy("item_id", "text").collect()  # at most SPACE_ITEMS
-            texts = [r.text for r in rows]
-            out.append(Items([r.item_id for r in rows], _split(texts), _split([answer_of(t) for t in texts]), project(texts, place, basis, idf), place, basis, idf))
-        if len(out) * SPACE_ITEMS >= PASS_ITEMS or (out and space == spaces[-1]):
+        rows = own.orderBy("item_id", "text").collect()  # at most SPACE_ITEMS
+        texts = [r.text for r in rows]
+        words = _split(texts)
+        out.append(Items([r.item_id for r in rows], words, _split([answer_of(t) for t in texts]), project(texts, place, basis, idf), place, basis, idf, [anchors_of(words, df, n, x) for x in RARE]))
+        if len(out) * SPACE_ITEMS >= PASS_ITEMS or space == spaces[-1]:
             yield out
             out = []
 
@@ -227,7 +299,7 @@ def leaks(texts: list[str], items: Items, words: tuple[np.ndarray, np.ndarray] |
     at = items.place[f]
     keep = np.flatnonzero((at >= 0) & (w > 0))
     vector = np.zeros((base[-1], items.basis.shape[1]), np.float32)
-    if len(keep):
+    if len(keep) and items.basis.shape[1]:
         own = block[keep]
         begin = np.flatnonzero(np.concatenate([[True], own[1:] != own[:-1]]))
         vector[own[begin]] = np.add.reduceat(w[keep][:, None] * items.basis[at[keep]], begin, axis=0)
@@ -239,11 +311,16 @@ def leaks(texts: list[str], items: Items, words: tuple[np.ndarray, np.ndarray] |
     both /= np.sqrt(np.maximum(square, 1e-9))[:, None].astype(np.float32)
     found: dict[tuple[int, int], tuple[float, float, float]] = {}
     cosine = both @ items.latent.T
-    for p, i in np.argwhere(cosine >= COSINE).tolist():
+    counted = np.logical_and.reduce([enough_words(h, f, block, base[:-1][text], base[1:][text], a) for a in items.anchors])
+    at, item_of = np.nonzero(counted)
+    order = np.lexsort((-cosine[at, item_of], item_of, text[at]))  # so no later passage is better than a whole copy
+    for p, i in zip(at[order].tolist(), item_of[order].tolist(), strict=True):
         t, c = int(text[p]), float(cosine[p, i])
+        if found.get((t, i), (0, 0, 0))[:2] == (1, 1):
+            continue
         start = int(first[t]) + (p - int(base[t])) * STEP
         item, answer = items.words[i], items.answers[i]
-        margin = max(STEP, len(item) - STEP)  # a long item is held against as much text
+        margin = margin_of(len(item))
         near = h[max(int(first[t]), start - margin) : min(int(first[t + 1]), start + 2 * STEP + margin)]
         share = common_subsequence(item, near) / max(1, len(item))
         if share < (SHARE if len(item) >= SHORT else 1):

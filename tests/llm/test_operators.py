@@ -369,6 +369,20 @@ def test_paraphrase_and_answer(spark):
     assert got == {(1, 7)}  # 3 lacks the answer, 4 most of the item
 
 
+def test_leaks_of_common_words(spark):
+    r = random.Random(19)
+    word = lambda: "".join(r.choice("abcdefghijklmnop") for _ in range(6))
+    fill = lambda n: " ".join(word() for _ in range(n))
+    hot, other = fill(24), fill(30)
+    bench = spark.createDataFrame([(1, hot), (2, other), (3, "!?")], "item_id long, text string")
+    find = lambda rows: {(x.doc_id, x.item_id) for x in decontaminate.search(spark, spark.createDataFrame(rows, "doc_id long, text string"), bench).collect()}
+    rows = [(i, f"{fill(60)} {hot} {fill(60)}" if i % 5 < 2 else fill(90)) for i in range(60)]  # in two fifths of the rows
+    assert find([*rows, (60, fill(9) + " " + other)]) == {(i, 1) for i in range(60) if i % 5 < 2} | {(60, 2)}
+    assert find([(1, hot)]) == {(1, 1)}
+    assert find([(i, f"{fill(20)} {hot}") for i in range(3)]) == {(i, 1) for i in range(3)}
+    assert decontaminate.clean(spark, spark.createDataFrame([(1, hot), (2, hot), (3, fill(9))], "doc_id long, text string"), bench).collect()[0].doc_id == 3
+
+
 def test_common_subsequence():
     r = random.Random(3)
     for _ in range(50):
