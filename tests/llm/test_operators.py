@@ -383,6 +383,19 @@ def test_leaks_of_common_words(spark):
     assert decontaminate.clean(spark, spark.createDataFrame([(1, hot), (2, hot), (3, fill(9))], "doc_id long, text string"), bench).collect()[0].doc_id == 3
 
 
+def test_leaks_of_long_and_short_items(spark):
+    r = random.Random(23)
+    word = lambda: "".join(r.choice("abcdefghijklmnop") for _ in range(6))
+    fill = lambda n: " ".join(word() for _ in range(n))
+    usual = [word() for _ in range(12)]
+    short, long_ = " ".join(usual[:3]), fill(2000)
+    rows = [(1, f"{fill(45)} {long_} {fill(70)}"), (2, f"{fill(80)} {short} {fill(80)}"), (3, f"{fill(90)} {usual[0]} {usual[2]} {fill(90)}"), (4, " ".join(long_.split()[:900]))]
+    rows += [(i, f"{fill(60)} {r.choice(usual)} {fill(40)} {r.choice(usual)}") for i in range(10, 60)]
+    bench = spark.createDataFrame([(1, long_), (2, short)], "item_id long, text string")
+    got = decontaminate.search(spark, spark.createDataFrame(rows, "doc_id long, text string"), bench).collect()
+    assert {(x.doc_id, x.item_id, x.item_share, x.answer_share) for x in got} == {(1, 1, 1, 1), (2, 2, 1, 1)}
+
+
 def test_common_subsequence():
     r = random.Random(3)
     for _ in range(50):
