@@ -1,7 +1,8 @@
 """Licence scan by sentence rules: normalised sentences become known sentence ids, id sequences match ordered rules.
 
-A sentence is what stands between full stops, question or exclamation marks before white space, or line ends. It is
-normalised to lower-case ASCII words and digits with single blanks; a sentence id is given where one of its phrases stands
+A sentence is what stands between full stops, question or exclamation marks before white space, or line ends. A line that
+ends within a sentence goes on in the next ones, so a phrase may run over line ends of a paragraph (up to an empty line); it
+belongs to the line in which it begins and its span ends where the line does in which it ends. It is normalised to lower-case ASCII words and digits with single blanks; a sentence id is given where one of its phrases stands
 in it as whole words. The ids of a document, in order, are matched against the rules: longer rules first, each id used
 once, other sentences allowed between a rule's ids up to `GAP`. Null or empty text: no licence. Repeated rows are equal.
 """
@@ -9,6 +10,7 @@ once, other sentences allowed between a rule's ids up to `GAP`. Null or empty te
 from __future__ import annotations
 
 import re
+from bisect import bisect_right
 from collections.abc import Iterator
 
 import pyarrow as pa
@@ -69,31 +71,61 @@ RULES: list[tuple[str, tuple[str, ...]]] = [
     ("LicenseRef-proprietary", ("reserved",)),
 ]
 GAP = 6
+_WRAP = re.compile(r"\r\n?|\n")
 _SPLIT = re.compile(r"[.!?]+(?=\s|$)|[\r\n]+")
 _OTHER = re.compile(r"[^a-z0-9]+")
 _GRANT = re.compile(r"\b(?:" + "|".join(VERBS) + ")" + FILLER + r" (" + "|".join(sorted((n for names in NAMES.values() for n in names), key=len, reverse=True)) + r")\b")
 _OF_NAME = {n: k for k, names in NAMES.items() for n in names}
 _PHRASES = [(re.compile(r"\b(?:" + "|".join(p) + r")\b"), k) for k, p in SENTENCES.items()]
-_QUICK = re.compile("licen[cs]|reserved|permission|redistribut|public|warranty|endorse|later", re.IGNORECASE)
+#: What stands in every phrase and before every granted name: the longest word of each, so nothing known is passed over.
+_QUICK = re.compile("|".join(sorted({max(p.split(), key=len) for p in (*VERBS, *(x for xs in SENTENCES.values() for x in xs))})), re.IGNORECASE | re.ASCII)
 
 
 def sentence_ids(text: str) -> list[tuple[int, int, int, str]]:
     """(sentence number, start, end, id) of the recognised sentences, in order."""
     if not _QUICK.search(text):
         return []
-    out, at = [], 0
-    for number, m in enumerate([*_SPLIT.finditer(text), None]):
+    out: list[tuple[int, int, int, str]] = []
+    held: list[tuple[int, int, int]] = []  # number, start, end of the lines of one sentence
+    at, number = 0, 0
+    for m in [*_SPLIT.finditer(text), None]:
         end = m.start() if m else len(text)
-        raw = text[at:end]
-        if raw and _QUICK.search(raw):
-            plain = _OTHER.sub(" ", raw.lower()).strip()
-            for g in _GRANT.finditer(plain):
-                out.append((number, at, end, f"grant:{_OF_NAME[g.group(1)]}"))
-            out += [(number, at, end, k) for p, k in _PHRASES if p.search(plain)]
+        blank = not text[at:end].strip()
+        if not blank:
+            held.append((number, at, end))
+        if held and (blank or not (m and _WRAP.fullmatch(m.group()))):
+            out += _joined_ids(text, held)
+            held = []
         at = m.end() if m else end
+        number += 1
     return out
 
 
+def _joined_ids(text: str, lines: list[tuple[int, int, int]]) -> list[tuple[int, int, int, str]]:
+    """sentence_ids of the lines of one sentence."""
+    if not _QUICK.search(text, lines[0][1], lines[-1][2]):
+        return []
+    plain, begins = "", []
+    for _, a, b in lines:
+        own = _OTHER.sub(" ", text[a:b].lower()).strip()
+        plain += " " * bool(plain and own)
+        begins.append(len(plain))
+        plain += own
+    hits = [(m, f"grant:{_OF_NAME[m.group(1)]}") for m in _GRANT.finditer(plain)]
+    # A phrase counts once in each line, as it did in each sentence.
+    seen: dict[tuple[int, str], tuple[int, int, int, str]] = {}
+    out = []
+    for m, k in hits + [(m, k) for p, k in _PHRASES for m in p.finditer(plain)]:
+        i, j = bisect_right(begins, m.start()) - 1, bisect_right(begins, m.end() - 1) - 1
+        found = (lines[i][0], lines[i][1], lines[j][2], k)
+        if k.startswith("grant:"):
+            out.append((i, found))
+        elif (i, k) not in seen:
+            seen[i, k] = found
+            out.append((i, found))
+    return [x for _, x in sorted(out, key=lambda x: x[0])]
+
+
 def match_rules(ids: list[tuple[int, int, int, str]]) -> list[tuple[str, int, int]]:
     """(licence, start, end) of each rule that applies; every recognised sentence serves one rule at most."""
     used, out = set(), []
@@ -108,8 +140,11 @@ def match_rules(ids: list[tuple[int, int, int, str]]) -> list[tuple[str, int, in
                     break
                 chain.append(i)
                 i += 1
-            if len(chain) < len(sequence):
+            if not chain:
                 break
+            if len(chain) < len(sequence):
+                first = chain[0] + 1  # a later start may have the whole sequence
+                continue
             used.update(chain)
             out.append((name, ids[chain[0]][1], ids[chain[-1]][2]))
             first = chain[0] + 1

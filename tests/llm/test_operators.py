@@ -90,6 +90,25 @@ def test_licence_sentences_and_rules(spark, docs, sf):
         assert got[i] == ",".join(sorted(v for k, v in phrases_.items() if k in plain(t or "")))
 
 
+def test_licences_of_every_verb_wrapped_lines_and_late_sequences():
+    found = lambda t: [m[0] for m in licenses.match_rules(licenses.sentence_ids(t))]
+    for verb in licenses.VERBS:
+        for name, ways in licenses.NAMES.items():
+            assert found(f"{verb.capitalize()} {ways[-1]}.") == [name]
+    for t, name in (("Distributed under Apache 2.0.", "Apache-2.0"), ("Released under GPLv3.", "GPL-3.0-only"), ("Available under CC BY 4.0.", "CC-BY-4.0"), ("Covered by MPL 2.0.", "MPL-2.0"), ("Published under CC0 1.0.", "CC0-1.0")):
+        assert found(t) == [name]
+    for phrases_ in licenses.SENTENCES.values():
+        for p in phrases_:
+            assert licenses.sentence_ids(p.upper()) and licenses.sentence_ids(p.replace(" ", "\n"))
+    gap = "Other words. " * 9
+    bsd = "Redistribution and use in source and binary forms, with or without modification, are permitted. "
+    rest = "Redistributions of source code must retain the above copyright notice. Redistributions in binary form must reproduce the above copyright notice. "
+    assert found(bsd + gap + bsd + rest) == ["BSD-2-Clause"]
+    assert found("Released under GPLv3. " + gap + "Released under GPLv3. Or (at your option) any later version.") == ["GPL-3.0-only", "GPL-3.0-or-later"]
+    assert found("This file is licensed under the\r\nApache License,\nVersion 2.0.\nMore.") == ["Apache-2.0"]
+    assert found("It is covered by\n\nMPL 2.0.") == found("It is covered by\n \nMPL 2.0.") == []
+
+
 # ---------------------------------------------------------------- 2 pseudonyms
 
 
