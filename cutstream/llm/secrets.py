@@ -3,7 +3,8 @@
 Spans of the three base kinds (assign, access, hex) always stay. Every other candidate, a run of 16 or more token
 characters with a letter and a digit or a value after a credential word, is scored by a small network in numpy: learned
 character vectors, one convolution over 24 characters of left context, the candidate and 16 of right context, pooled
-apart over the context and over the candidate. A candidate longer than the window is scored window by window and keeps
+apart over the context and over the candidate. Where a base span overlaps a candidate, the parts outside are candidates;
+overlapping candidates are all scored, and those that are secrets become one span. A candidate longer than the window is scored window by window and keeps
 its highest score. The network is fitted on labelled findings made from stated formats (`labelled`, a bounded number),
 its scores are calibrated on findings it has not seen, and its threshold is the highest that keeps the wanted recall
 there. Fitting is seeded and takes a few seconds on the driver; the weights (about 20 KB) go to the tasks.
@@ -36,6 +37,8 @@ HEX = re.compile(r"[0-9a-f]{24,}")
 RUN = re.compile(r"[A-Za-z0-9+/_=-]{16,}")
 #: Fixed credential words of the network's second kind of candidate.
 CREDENTIAL = re.compile(r"(?:pwd|passphrase|bearer|credential|private_?key|auth_?key)[\"']?\x20*[:=]?\x20*[\"']?([A-Za-z0-9+/_.=-]{8,})", re.IGNORECASE | re.ASCII)
+#: The same at every place, so that a credential word inside another's value has a value too.
+_CREDENTIAL_AT = re.compile(f"(?={CREDENTIAL.pattern})", CREDENTIAL.flags)
 _ASSIGN_WORDS = ("passw", "secret", "token", "api")
 _CREDENTIAL_WORDS = ("pwd", "passphrase", "bearer", "credential", "private", "auth")
 
@@ -56,14 +59,32 @@ def base_spans(text: str) -> list[tuple[int, int, str]]:
 
 
 def candidates(text: str, taken: list[tuple[int, int, str]]) -> list[tuple[int, int]]:
-    """Spans for the network: those of its patterns that no base span overlaps."""
-    found = [(m.start(), m.end()) for m in RUN.finditer(text) if any(c.isdigit() for c in m.group()) and any(c.isalpha() for c in m.group())]
+    """Spans for the network, which may overlap each other: those of its patterns, and of each what no base span covers."""
+    base = sorted((a, b) for a, b, _ in taken)
+    found = {s for m in RUN.finditer(text) for s in _outside(*m.span(), base, 16) if any(c.isdigit() for c in text[slice(*s)]) and any(c.isalpha() for c in text[slice(*s)])}
     low = text.lower()
     if any(w in low for w in _CREDENTIAL_WORDS):
-        found += [m.span(1) for m in CREDENTIAL.finditer(text)]
+        found |= {s for m in _CREDENTIAL_AT.finditer(text) for s in _outside(*m.span(1), base, 8)}
+    return sorted(found)
+
+
+def _outside(a: int, b: int, base: list[tuple[int, int]], least: int) -> list[tuple[int, int]]:
+    """The parts of a to b, of at least `least` characters, that no span of base (sorted) covers."""
+    out = []
+    for x, y in base:
+        if x < b and y > a:
+            out.append((a, x))
+            a = y
+    return [(x, y) for x, y in [*out, (a, b)] if y - x >= least]
+
+
+def merged(spans: list[tuple[int, int]]) -> list[tuple[int, int]]:
+    """Spans that overlap as one, so that nothing that a candidate covers stays outside."""
     out: list[tuple[int, int]] = []
-    for a, b in sorted(set(found)):
-        if not any(a < y and x < b for x, y, _ in taken) and not (out and a < out[-1][1]):
+    for a, b in sorted(spans):
+        if out and a < out[-1][1]:
+            out[-1] = (out[-1][0], max(b, out[-1][1]))
+        else:
             out.append((a, b))
     return out
 
@@ -212,8 +233,11 @@ def find(texts: list[str], net: Network) -> list[list[tuple[int, int, str]]]:
             for w in windows(t, a, b):
                 parts.append(w)
                 owner.append((i, a, b))
-    for who in dict.fromkeys(o for o, s in zip(owner, net.scores(parts).tolist(), strict=True) if s >= net.threshold):
-        base[who[0]].append((who[1], who[2], "generic"))
+    found: dict[int, list[tuple[int, int]]] = {}
+    for i, a, b in dict.fromkeys(o for o, s in zip(owner, net.scores(parts).tolist(), strict=True) if s >= net.threshold):
+        found.setdefault(i, []).append((a, b))
+    for i, spans in found.items():
+        base[i] += [(a, b, "generic") for a, b in merged(spans)]
     return [sorted(x, key=lambda s: (s[0], KINDS.index(s[2]))) for x in base]
 
 

@@ -231,6 +231,19 @@ def test_network_on_new_findings():
     assert (score[real] >= net.threshold).mean() > 0.95 and (score[~real] >= net.threshold).mean() < 0.03
 
 
+def test_candidates_beside_base_spans_and_each_other():
+    net, r = secrets.fitted(), random.Random(31)
+    token = "".join(r.choice("ABCDEFGHJKLMNPQRSTUVWXYZabcdefghijkmnopqrstuvwxyz23456789") for _ in range(40))
+    hex_ = "".join(r.choice("0123456789abcdef") for _ in range(24))
+    for text in (f"see commit-{hex_}/{token} now", f"the id={hex_}_{token} now", f"and {token}-{hex_} now"):
+        spans = secrets.find([text], net)[0]
+        assert {k for *_, k in spans} == {"hex", "generic"} and token not in secrets.redacted(text, spans) and hex_ not in secrets.redacted(text, spans)
+    for text, value in (("set auth_key=Zx81kd92jfQwErTyUi here", "Zx81kd92jfQwErTyUi"), ("the bearer credential: q8Zk3Lw9TnX4vB7r here", "q8Zk3Lw9TnX4vB7r")):
+        a = text.index(value)
+        assert (a, a + len(value)) in secrets.candidates(text, []) and value not in secrets.redacted(text, secrets.find([text], net)[0])
+    assert secrets.merged([(5, 9), (1, 6), (9, 12), (2, 3)]) == [(1, 9), (9, 12)]
+
+
 # ---------------------------------------------------------------- 5, 7 tokens
 
 
