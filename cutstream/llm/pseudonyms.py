@@ -1,9 +1,9 @@
 """Format-preserving pseudonyms of personal numbers, dates and addresses, in DataFrame functions only.
 
 One expression finds candidates in a text; each is validated by its kind (Luhn digit, shape of North American phone numbers, octets up
-to 255, real calendar dates from 1900 to 2299, US number ranges) and, if valid, goes through a keyed Feistel network on its
+to 255, real calendar dates from 1900 to 2299, US numbers of areas 001 to 899 without 666) and, if valid, goes through a keyed Feistel network on its
 own format: characters are added position by position within their class (digits, letters, first digits of phone blocks),
-dates permute within 400 Gregorian years as a pair of remainders (189 x 773 days), addresses within 32 bits, cards get a
+dates permute within 400 Gregorian years as a pair of remainders (189 x 773 days), US numbers within all valid ones, addresses within 32 bits, cards get a
 fresh check digit. A network is a bijection, so equal values get equal pseudonyms in all documents and different ones
 stay different. What is not valid stays as it is. The mail domain stays.
 
@@ -23,6 +23,7 @@ KINDS = ("card", "phone", "ip", "date", "ssn", "email")
 FORMATS = (
     r"(?<![A-Za-z0-9._%+-])[A-Za-z0-9._%+-]{1,64}+@[A-Za-z0-9-]+(?:\.[A-Za-z0-9-]+)+",
     r"(?:\+1[ .-]?|(?<![0-9]))\([0-9]{3}\)[ .-]?[0-9]{3}[ .-][0-9]{4}(?![0-9])",
+    r"(?:\+1[ .-]?|(?<![0-9A-Za-z_])(?<![0-9A-Za-z][.+-])(?:1[ .-])?)[0-9]{3}[ .-][0-9]{3}[ .-][0-9]{4}(?![0-9_]|[.-][0-9])",
     r"(?<![0-9A-Za-z.])[0-9]{1,3}(?:\.[0-9]{1,3}){3}(?![0-9A-Za-z]|\.[0-9])",
     r"(?<![0-9A-Za-z/-])[0-9]{4}-[0-9]{2}-[0-9]{2}(?![0-9/-])",
     r"(?<![0-9A-Za-z.])[0-9]{2}\.[0-9]{2}\.[0-9]{4}(?![0-9]|\.[0-9])",
@@ -30,6 +31,8 @@ FORMATS = (
     r"(?<![0-9A-Za-z])(?:[0-9]{13,19}|[0-9]{4}([ -])[0-9]{4}\1[0-9]{4}\1[0-9]{1,7})(?![0-9A-Za-z])",
 )
 PATTERN = "|".join(FORMATS)
+#: A phone number in parts: what stands before it, area, separator, exchange, separator, line.
+_PHONE = r"^((?:\+?1[ .-]?)?\(?)([0-9]{3})(\)?[ .-]?)([0-9]{3})([ .-])([0-9]{4})$"
 _FIRST_DAY, _DAYS, _A, _B = "1900-01-01", 146097, 189, 773
 #: Character classes: first code and number of codes.
 _CLASSES = {"d": (48, 10), "n": (50, 8), "m": (49, 8), "a": (97, 26), "A": (65, 26)}
@@ -121,8 +124,7 @@ def _card(m: Column, key: str) -> Column:
 
 
 def _phone(m: Column, key: str) -> Column:
-    shape = r"^(.*\()([0-9]{3})(\)[ .-]?)([0-9]{3})([ .-])([0-9]{4})$"
-    g = lambda i: F.regexp_extract(m, shape, i)
+    g = lambda i: F.regexp_extract(m, _PHONE, i)
     ten = F.concat(g(2), g(4), g(6))
     return F.when(ten.rlike("^[0-9]{3}[2-9]"), _let(permuted(ten, F.lit("dddndddddd"), key, "phone"), lambda p: F.concat(g(1), F.substring(p, 1, 3), g(3), F.substring(p, 4, 3), g(5), F.substring(p, 7, 4))))
 
@@ -141,9 +143,13 @@ def _date(m: Column, key: str, form: str) -> Column:
 
 
 def _ssn(m: Column, key: str) -> Column:
-    nine = F.regexp_replace(m, "-", "")
-    valid = m.rlike("^(?!000|666|9)[0-9]{3}-(?!00)[0-9]{2}-(?!0000)[0-9]{4}$") & nine.rlike("^[1-8]")
-    return F.when(valid, _let(permuted(nine, F.lit("mdddddddd"), key, "ssn"), lambda p: F.concat_ws("-", F.substring(p, 1, 3), F.substring(p, 4, 2), F.substring(p, 6, 4))))
+    """Areas 001 to 899 without 666 and, as one number, groups 01 to 99 with serials 0001 to 9999 permute as a pair."""
+    part = lambda at, n: F.substring(m, at, n).cast("int")
+    valid = m.rlike("^(?!000|666|9)[0-9]{3}-(?!00)[0-9]{2}-(?!0000)[0-9]{4}$")
+    area = part(1, 3) - F.when(part(1, 3) > 666, 2).otherwise(1)
+    padded = lambda x, n: F.lpad(x.cast("string"), n, "0")
+    text = lambda p: F.concat_ws("-", padded(p["a"] + F.when(p["a"] >= 665, 2).otherwise(1), 3), padded(F.floor(p["b"] / 9999) + 1, 2), padded(p["b"] % 9999 + 1, 4))
+    return F.when(valid, _let(permuted_pair(area, (part(5, 2) - 1) * 9999 + part(8, 4) - 1, 898, 99 * 9999, key, "ssn"), text))
 
 
 def _email(m: Column, key: str) -> Column:
@@ -156,7 +162,7 @@ def pseudonym(m: Column, key: str) -> Column:
     """(kind, text) of one candidate; kind is null where it is not valid."""
     made = [
         ("email", m.contains("@"), _email(m, key)),
-        ("phone", m.contains("("), _phone(m, key)),
+        ("phone", m.rlike(_PHONE), _phone(m, key)),
         ("ip", m.rlike(r"^[0-9]{1,3}(?:\.[0-9]{1,3}){3}$"), _ip(m, key)),
         ("date", m.rlike("^[0-9]{4}-[0-9]{2}-[0-9]{2}$"), _date(m, key, "yyyy-MM-dd")),
         ("date", m.rlike(r"^[0-9]{2}\.[0-9]{2}\.[0-9]{4}$"), _date(m, key, "dd.MM.yyyy")),

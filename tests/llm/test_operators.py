@@ -158,6 +158,22 @@ def test_dates_and_addresses_are_permuted(spark):
     assert len({r.text for r in pseudonyms.pseudonymise(ips, "key").collect()}) == 3000
 
 
+def test_all_valid_us_numbers_and_phone_forms(spark):
+    made = lambda rows: {r.doc_id: r for r in pseudonyms.pseudonymise(spark.createDataFrame(list(enumerate(rows)), "doc_id long, text string"), "key").collect()}
+    given = [f"{a:03}-{1 + a % 99:02}-{1 + 7 * a:04}" for a in range(1, 900) if a != 666] + [f"{a}-01-{b:04}" for a in ("012", "665", "667") for b in (1, 2, 9999)]
+    got = made(given)
+    valid = re.compile("(?!000|666|9)[0-9]{3}-(?!00)[0-9]{2}-(?!0000)[0-9]{4}")
+    assert all(valid.fullmatch(r.text) and r.n_ssn == 1 and r.text != given[i] for i, r in got.items()) and len({r.text for r in got.values()}) == len(set(given))
+    bad = ["000-12-3456", "666-12-3456", "900-12-3456", "123-00-4567", "123-45-0000"]
+    assert [made(bad)[i].text for i in range(5)] == bad
+    ten = feistel("5557130199", "dddndddddd", "key", "phone")
+    forms = ["{}-{}-{}", "{}.{}.{}", "{} {} {}", "+1 {} {} {}", "+1-{}-{}-{}", "1-{}-{}-{}", "+1 ({}) {}-{}", "call {}-{}-{}.", "({} {}-{})"]
+    got = made([f.format("555", "713", "0199") for f in forms])
+    assert [(got[i].text, got[i].n_phone) for i in range(len(forms))] == [(f.format(ten[:3], ten[3:6], ten[6:]), 1) for f in forms]
+    other = ["12-555-713-0199", "555-713-01990", "555-713-0199-22", "10.555.713.0199", "555-113-0199", "id_555-713-0199"]
+    assert [(made(other)[i].text, made(other)[i].n_phone) for i in range(len(other))] == [(t, 0) for t in other]
+
+
 def test_pseudonym_plan_is_native(spark, sf):
     plan = registry.QUERIES["op2_pii_pseudonyms"](spark, sf)._jdf.queryExecution().toString()
     assert "Python" not in plan and "Arrow" not in plan and "Exchange" not in plan
