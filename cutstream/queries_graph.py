@@ -17,6 +17,7 @@ RAW = {
     "copurchase": "SELECT x.p AS a, y.p AS b, 1.0 AS w FROM (SELECT DISTINCT l_orderkey o, l_partkey p FROM lineitem) x JOIN (SELECT DISTINCT l_orderkey o, l_partkey p FROM lineitem) y ON x.o = y.o AND x.p < y.p",
     "orderpart": f"SELECT DISTINCT l_orderkey AS a, l_partkey + {K} AS b, 1.0 AS w FROM lineitem",
     "fkforest": f"SELECT n_regionkey AS a, n_nationkey + {K} AS b, 1.0 AS w FROM nation UNION ALL SELECT c_nationkey + {K}, c_custkey + 2 * {K}, 1.0 FROM customer UNION ALL SELECT o_custkey + 2 * {K}, o_orderkey + 3 * {K}, 1.0 FROM orders",
+    "docline_star": "SELECT min(d) OVER (PARTITION BY line) AS a, d AS b, 1.0 AS w FROM l",
     "docline": """SELECT x.d AS a, y.d AS b, 1.0 AS w FROM (SELECT * FROM l JOIN (SELECT line FROM l GROUP BY line HAVING count(*) BETWEEN 2 AND 20) USING (line)) x
         JOIN l y ON x.line = y.line AND x.d < y.d""",
     "docsource": f"SELECT doc_id AS a, CAST(regexp_extract(source, '([0-9]+)$', 1) AS BIGINT) + {K} AS b, 1.0 AS w FROM documents UNION ALL SELECT doc_id, ascii(lang) * 256 + ascii(substr(lang, 2, 1)) + 2 * {K}, 1.0 FROM documents",
@@ -43,6 +44,7 @@ RAW["rgg_random"] = _NEAR.format(f"({_POINTS})")
 RAW["rgg"] = _NEAR.format(f"(SELECT row_number() OVER (ORDER BY px, id) - 1 AS id, px, py FROM ({_POINTS}))")
 #: Leading common table expressions that some raw edges need.
 PRELUDE = {"docline": "l AS (SELECT DISTINCT doc_id AS d, line FROM (SELECT doc_id, unnest(string_split(text, chr(10))) AS line FROM documents) WHERE length(line) >= 20), "}
+PRELUDE["docline_star"] = PRELUDE["docline"]
 
 
 def edge_cte(name: str) -> str:

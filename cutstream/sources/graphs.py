@@ -79,6 +79,14 @@ def docline(spark: SparkSession, d: str, least: int = 20, low: int = 2, high: in
     return few.select("s", F.posexplode("s").alias("i", "a")).select("a", F.explode(F.slice("s", F.col("i") + 2, F.size("s"))).alias("b"), F.lit(1.0).alias("weight"))
 
 
+def docline_star(spark: SparkSession, d: str, least: int = 20) -> DataFrame:
+    """Every line shared by documents, however many: each is linked to the smallest of them, so edges grow with the lines."""
+    lines = load_table(spark, d, "documents").select("doc_id", F.explode(F.split("text", "\n")).alias("line")).where(F.length("line") >= least)
+    keyed = lines.select("doc_id", F.xxhash64("line").alias("h1"), F.crc32(F.col("line").cast("binary")).alias("h2")).distinct()
+    first = keyed.groupBy("h1", "h2").agg(F.min("doc_id").alias("a"), F.count("*").alias("n")).where("n > 1").select("h1", "h2", "a")
+    return keyed.join(first, ["h1", "h2"]).select("a", F.col("doc_id").alias("b"), F.lit(1.0).alias("weight")).where("a <> b")
+
+
 def docsource(spark: SparkSession, d: str) -> DataFrame:
     docs = load_table(spark, d, "documents")
     source = docs.select(F.col("doc_id").alias("a"), (F.regexp_extract("source", "([0-9]+)$", 1).cast("long") + KIND).alias("b"), F.lit(1.0).alias("weight"))
@@ -202,7 +210,7 @@ def chords(spark: SparkSession, x: int = 10, seed: int = 5) -> DataFrame:
 
 Builder = Callable[[SparkSession, str], DataFrame]
 BUILDERS: dict[str, Builder] = {
-    f.__name__: f for f in (copurchase, orderpart, fkforest, fkstar, docline, docsource, weblink, userprop, userflow, cosession, convchain, tradeflow, benchleak, knn)
+    f.__name__: f for f in (copurchase, orderpart, fkforest, fkstar, docline, docline_star, docsource, weblink, userprop, userflow, cosession, convchain, tradeflow, benchleak, knn)
 } | {
     "rgg": lambda s, d: rgg(s, 10),
     "rgg_random": lambda s, d: rgg(s, 10, "random"),

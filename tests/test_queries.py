@@ -32,3 +32,13 @@ def test_entry(spark):
     import __spark_entry__
 
     assert __spark_entry__.entry(spark).count() == 8
+
+
+def test_lines_of_many_documents_stay_linked(spark, tmp_path):
+    from cutstream.sources import graphs
+
+    line = "a line that thirty documents have"
+    spark.createDataFrame([(i, f"{line}\nown words {i}") for i in range(30)], "doc_id long, text string").write.parquet(f"{tmp_path}/documents.parquet")
+    got = sorted((r.src, r.dst) for r in graphs.edges(spark, str(tmp_path), "docline_star").collect())
+    assert got == [(0, i) for i in range(1, 30)]
+    assert graphs.edges(spark, str(tmp_path), "docline").count() == 0  # its twin has the cap too
