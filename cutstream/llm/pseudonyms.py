@@ -1,13 +1,18 @@
 """Format-preserving pseudonyms of personal numbers, dates and addresses, in DataFrame functions only.
 
-One expression finds candidates in a text; each is validated by its kind (Luhn digit, shape of North American phone numbers, octets up
-to 255, real calendar dates from 1900 to 2299, US numbers of areas 001 to 899 without 666) and, if valid, goes through a keyed Feistel network on its
-own format: characters are added position by position within their class (digits, letters, first digits of phone blocks),
-dates permute within 400 Gregorian years as a pair of remainders (189 x 773 days), US numbers within all valid ones, addresses within 32 bits, cards get a
-fresh check digit. A network is a bijection, so equal values get equal pseudonyms in all documents and different ones
-stay different. What is not valid stays as it is. The mail domain stays.
-
-Nulls: a null text stays null with zero counts. Everything is row-local: no shuffle, no state, no Python on executors.
+One expression finds candidates in a text; each is validated by its kind (Luhn digit of cards, mod-97 digits of IBANs, shape
+of North American phone numbers, octets up to 255, groups of IPv6 addresses, real calendar dates from 1900 to 2299, US
+numbers of areas 001 to 899 without 666) and, if valid, goes through a keyed Feistel network on its own format: characters
+are added position by position within their class (digits, letters, first digits of phone blocks), dates permute within 400
+Gregorian years as a pair of remainders (189 x 773 days), US numbers within all valid ones, addresses within 32 or 128 bits,
+cards and IBANs get fresh check digits. Dates with slashes are month first; those that can only be day first permute among
+themselves, by walking the cycle of the network until the day is above 12 again. A network is a bijection on what its test
+accepts, so pseudonyms pass the same test, equal values get equal pseudonyms in all documents and different ones stay
+different (an IPv6 address is written in full). What is not valid stays as it is. The mail domain and the country of an IBAN
+stay; an area code of a phone is valid (2 to 9 first) after the permutation where it was so before.
+
+Nulls: a null text stays null with zero counts. Repeated rows are equal. Everything is row-local: no shuffle, no state, no
+Python on executors.
 """
 
 from __future__ import annotations
@@ -18,24 +23,30 @@ from pyspark.sql import functions as F
 #: Key of the registered query. A pipeline passes its own secret.
 DEMO_KEY = "cutstream-demonstration-key"
 ROUNDS = 8
-KINDS = ("card", "phone", "ip", "date", "ssn", "email")
+KINDS = ("card", "phone", "ip", "date", "ssn", "email", "iban", "ipv6")
+#: Steps of a cycle walk; two in three dates need one, and a walk of so many does not occur.
+WALK = 96
 #: Candidate formats, tried in this order at each place.
 FORMATS = (
     r"(?<![A-Za-z0-9._%+-])[A-Za-z0-9._%+-]{1,64}+@[A-Za-z0-9-]+(?:\.[A-Za-z0-9-]+)+",
     r"(?:\+1[ .-]?|(?<![0-9]))\([0-9]{3}\)[ .-]?[0-9]{3}[ .-][0-9]{4}(?![0-9])",
     r"(?:\+1[ .-]?|(?<![0-9A-Za-z_])(?<![0-9A-Za-z][.+-])(?:1[ .-])?)[0-9]{3}[ .-][0-9]{3}[ .-][0-9]{4}(?![0-9_]|[.-][0-9])",
     r"(?<![0-9A-Za-z.])[0-9]{1,3}(?:\.[0-9]{1,3}){3}(?![0-9A-Za-z]|\.[0-9])",
+    r"(?<![0-9A-Za-z:.])(?:[0-9A-Fa-f]{1,4}:){7}[0-9A-Fa-f]{1,4}(?![0-9A-Za-z:])",
+    r"(?<![0-9A-Za-z:.])[0-9A-Fa-f]{3,4}(?::[0-9A-Fa-f]{1,4}){0,5}::(?:[0-9A-Fa-f]{1,4}(?::[0-9A-Fa-f]{1,4}){0,5})?(?![0-9A-Za-z:])",
+    r"(?<![0-9A-Za-z])[A-Z]{2}[0-9]{2}(?:[A-Z0-9]{11,30}|(?: [A-Z0-9]{4}){2,7}(?: [A-Z0-9]{1,3})?)(?![0-9A-Za-z])",
+    r"(?<![0-9A-Za-z/.])[0-9]{1,2}/[0-9]{1,2}/[0-9]{4}(?![0-9A-Za-z/])",
     r"(?<![0-9A-Za-z/-])[0-9]{4}-[0-9]{2}-[0-9]{2}(?![0-9/-])",
     r"(?<![0-9A-Za-z.])[0-9]{2}\.[0-9]{2}\.[0-9]{4}(?![0-9]|\.[0-9])",
     r"(?<![0-9A-Za-z-])[0-9]{3}-[0-9]{2}-[0-9]{4}(?![0-9A-Za-z-])",
-    r"(?<![0-9A-Za-z])(?:[0-9]{13,19}|[0-9]{4}([ -])[0-9]{4}\1[0-9]{4}\1[0-9]{1,7})(?![0-9A-Za-z])",
+    r"(?<![0-9A-Za-z])(?:[0-9]{13,19}|[0-9]{4}([ -])[0-9]{4}\1[0-9]{4}\1[0-9]{1,7}|[0-9]{4}([ -])[0-9]{6}\2[0-9]{5})(?![0-9A-Za-z])",
 )
 PATTERN = "|".join(FORMATS)
 #: A phone number in parts: what stands before it, area, separator, exchange, separator, line.
 _PHONE = r"^((?:\+?1[ .-]?)?\(?)([0-9]{3})(\)?[ .-]?)([0-9]{3})([ .-])([0-9]{4})$"
 _FIRST_DAY, _DAYS, _A, _B = "1900-01-01", 146097, 189, 773
 #: Character classes: first code and number of codes.
-_CLASSES = {"d": (48, 10), "n": (50, 8), "m": (49, 8), "a": (97, 26), "A": (65, 26)}
+_CLASSES = {"d": (48, 10), "n": (50, 8), "z": (48, 2), "h": (97, 16), "a": (97, 26), "A": (65, 26)}
 
 
 def _let(value: Column, use) -> Column:
@@ -119,14 +130,17 @@ def _card(m: Column, key: str) -> Column:
         own = F.substring(d, F.lit(1), n - 1)
         return _let(permuted(own, F.repeat(F.lit("d"), n - 1), key, "card"), lambda p: F.concat(p, F.pmod(F.lit(10) - F.pmod(luhn_sum(F.concat(p, F.lit("0"))), F.lit(10)), F.lit(10)).cast("string")))
 
-    grouped = lambda p: F.when(sep == "", p).otherwise(F.concat(F.substring(p, 1, 4), sep, F.substring(p, 5, 4), sep, F.substring(p, 9, 4), sep, F.substring(p, 13, 19)))
+    fours = lambda p: F.concat(F.substring(p, 1, 4), sep, F.substring(p, 5, 4), sep, F.substring(p, 9, 4), sep, F.substring(p, 13, 19))
+    uneven = lambda p: F.concat(F.substring(p, 1, 4), sep, F.substring(p, 5, 6), sep, F.substring(p, 11, 5))
+    grouped = lambda p: F.when(sep == "", p).when(m.rlike("^[0-9]{4}[ -][0-9]{6}"), uneven(p)).otherwise(fours(p))
     return F.when(luhn_sum(digits) % 10 == 0, _let(make(digits), grouped))
 
 
 def _phone(m: Column, key: str) -> Column:
     g = lambda i: F.regexp_extract(m, _PHONE, i)
     ten = F.concat(g(2), g(4), g(6))
-    return F.when(ten.rlike("^[0-9]{3}[2-9]"), _let(permuted(ten, F.lit("dddndddddd"), key, "phone"), lambda p: F.concat(g(1), F.substring(p, 1, 3), g(3), F.substring(p, 4, 3), g(5), F.substring(p, 7, 4))))
+    classes = F.concat(F.when(ten.rlike("^[2-9]"), "n").otherwise("z"), F.lit("ddndddddd"))
+    return F.when(ten.rlike("^[0-9]{3}[2-9]"), _let(permuted(ten, classes, key, "phone"), lambda p: F.concat(g(1), F.substring(p, 1, 3), g(3), F.substring(p, 4, 3), g(5), F.substring(p, 7, 4))))
 
 
 def _ip(m: Column, key: str) -> Column:
@@ -136,10 +150,68 @@ def _ip(m: Column, key: str) -> Column:
     return F.when(valid, _let(permuted_pair(o[0] * 256 + o[1], o[2] * 256 + o[3], 65536, 65536, key, "ip"), text))
 
 
+def _ipv6(m: Column, key: str) -> Column:
+    """All eight groups of four hex digits, as letters a to p while they permute."""
+    halves = F.split(F.lower(m), "::")
+    groups = lambda x: F.filter(F.split(x, ":"), lambda g: g != "")
+    left, right = groups(halves[0]), F.when(F.size(halves) > 1, groups(F.element_at(halves, -1))).otherwise(F.array().cast("array<string>"))
+    given = F.size(left) + F.size(right)
+    whole = F.concat(left, F.array_repeat(F.lit("0"), F.greatest(F.lit(0), 8 - given)), right)
+    digits = F.array_join(F.transform(whole, lambda g: F.lpad(g, 4, "0")), "")
+    moved = permuted(F.translate(digits, "0123456789abcdef", "abcdefghijklmnop"), F.repeat(F.lit("h"), F.lit(32)), key, "ipv6")
+    text = lambda p: F.concat_ws(":", *[F.substring(p, 4 * i + 1, 4) for i in range(8)])
+    return F.when(F.when(F.size(halves) > 1, given <= 7).otherwise(given == 8), _let(F.translate(moved, "abcdefghijklmnop", "0123456789abcdef"), text))
+
+
+def _mod97(text: Column) -> Column:
+    """Remainder of digits and capitals (10 to 35) read as one number."""
+
+    def step(r: Column, c: Column) -> Column:
+        code = F.ascii(c)
+        return F.when(code < 65, (r * 10 + code - 48) % 97).otherwise((r * 100 + code - 55) % 97)
+
+    return F.aggregate(F.filter(F.split(text, ""), lambda c: c != ""), F.lit(0), step)
+
+
+def _iban(m: Column, key: str) -> Column:
+    """Country and length stay; each character of the account permutes within its class; check digits 02 to 98."""
+    plain = F.translate(m, " ", "")
+    country, check, own = F.substring(plain, 1, 2), F.substring(plain, 3, 2), F.substring(plain, F.lit(5), F.length(plain))
+    valid = (F.length(plain) >= 15) & (F.length(plain) <= 34) & (check >= "02") & (check <= "98") & (_mod97(F.concat(own, country, check)) == 1)
+    classes = F.regexp_replace(F.regexp_replace(own, "[0-9]", "d"), "[A-Z]", "A")
+    checked = lambda p: F.concat(country, F.lpad((98 - _mod97(F.concat(p, country, F.lit("00")))).cast("string"), 2, "0"), p)
+    spaced = lambda p: F.when(m.contains(" "), F.rtrim(F.regexp_replace(p, "(.{4})", "$1 "))).otherwise(p)
+    return F.when(valid, _let(_let(permuted(own, classes, key, "iban"), checked), spaced))
+
+
+def _moved_day(day: Column, key: str) -> Column:
+    """Days since the first one, permuted within 400 years."""
+    return _let(permuted_pair(F.floor(day / _B), day % _B, _A, _B, key, "date"), lambda p: (p["a"] * _B + p["b"]).cast("int"))
+
+
+def _on(day: Column) -> Column:
+    return F.date_add(F.lit(_FIRST_DAY).cast("date"), day)
+
+
 def _date(m: Column, key: str, form: str) -> Column:
     day = F.datediff(F.try_to_timestamp(m, F.lit(form)), F.lit(_FIRST_DAY).cast("date"))
-    made = _let(permuted_pair(F.floor(day / _B), day % _B, _A, _B, key, "date"), lambda p: F.date_format(F.date_add(F.lit(_FIRST_DAY).cast("date"), (p["a"] * _B + p["b"]).cast("int")), form))
-    return F.when((day >= 0) & (day < _DAYS), made)
+    return F.when((day >= 0) & (day < _DAYS), F.date_format(_on(_moved_day(day, key)), form))
+
+
+def _slashed(m: Column, key: str) -> Column:
+    """Month first where that is a date; else day first, among the dates whose day is above 12. A date written without a
+    leading zero gets none."""
+    parts = F.split(m, "/")
+    padded = F.concat_ws("/", F.lpad(parts[0], 2, "0"), F.lpad(parts[1], 2, "0"), parts[2])
+    day = lambda form: F.datediff(F.try_to_timestamp(padded, F.lit(form)), F.lit(_FIRST_DAY).cast("date"))
+    within = lambda d: (d >= 0) & (d < _DAYS)
+    us, eu = day("MM/dd/yyyy"), day("dd/MM/yyyy")
+    walk = lambda d: F.aggregate(F.sequence(F.lit(1), F.lit(WALK)), _moved_day(d, key), lambda x, _: F.when(F.dayofmonth(_on(x)) > 12, x).otherwise(_moved_day(x, key)))
+    short = m.rlike("^[0-9]/|/[0-9]/")
+    text = lambda d, wide, narrow: F.when(short, F.date_format(d, narrow)).otherwise(F.date_format(d, wide))
+    first = _let(_on(_moved_day(us, key)), lambda d: text(d, "MM/dd/yyyy", "M/d/yyyy"))
+    other = _let(_on(walk(eu)), lambda d: text(d, "dd/MM/yyyy", "d/M/yyyy"))
+    return F.when(within(us), first).when(within(eu) & (F.dayofmonth(_on(eu)) > 12), other)
 
 
 def _ssn(m: Column, key: str) -> Column:
@@ -166,7 +238,10 @@ def pseudonym(m: Column, key: str) -> Column:
         ("ip", m.rlike(r"^[0-9]{1,3}(?:\.[0-9]{1,3}){3}$"), _ip(m, key)),
         ("date", m.rlike("^[0-9]{4}-[0-9]{2}-[0-9]{2}$"), _date(m, key, "yyyy-MM-dd")),
         ("date", m.rlike(r"^[0-9]{2}\.[0-9]{2}\.[0-9]{4}$"), _date(m, key, "dd.MM.yyyy")),
+        ("date", m.contains("/"), _slashed(m, key)),
         ("ssn", m.rlike("^[0-9]{3}-[0-9]{2}-[0-9]{4}$"), _ssn(m, key)),
+        ("ipv6", m.contains(":"), _ipv6(m, key)),
+        ("iban", m.rlike("^[A-Z]{2}[0-9]{2}"), _iban(m, key)),
     ]
     value, kind = None, None
     for name, test, new in made:
@@ -190,4 +265,5 @@ def pseudonymise(docs: DataFrame, key: str) -> DataFrame:
 
 
 def op2_pii_pseudonyms(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Every document with pseudonyms."""
     return pseudonymise(spark.read.parquet(f"{sf_dir}/documents.parquet"), DEMO_KEY)
