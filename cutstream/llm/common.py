@@ -20,9 +20,14 @@ BATCH_BYTES = 1 << 18
 
 
 def shared_dir(spark: SparkSession) -> str:
-    """Folder that the driver and all executors see: spark.checkpoint.dir, or a temporary one where it is unset (tests)."""
+    """Folder that the driver and all executors see: spark.checkpoint.dir, or a temporary one where it is unset (tests).
+
+    A temporary folder is this machine's own, so it is refused unless the master is local.
+    """
     found = spark.conf.get("spark.checkpoint.dir", None) or spark.sparkContext.getConf().get("spark.checkpoint.dir")
     if not found:
+        if not spark.sparkContext.master.startswith("local"):
+            raise ValueError("spark.checkpoint.dir must name a folder that the driver and all executors share")
         found = "file://" + tempfile.mkdtemp(prefix="cutstream-")
         spark.conf.set("spark.checkpoint.dir", found)
     return found.rstrip("/")
@@ -50,33 +55,33 @@ def documents(spark: SparkSession, sf_dir: str) -> DataFrame:
     return spark.read.parquet(f"{sf_dir}/documents.parquet")
 
 
-def ordered_cells(df: DataFrame, key: str, cells: int = 1 << 14) -> tuple[list[int], int, int]:
-    """Cut points for a balanced ordering of an integer key, without a sort of the data.
+def ordered_cuts(df: DataFrame, key: str) -> list[int]:
+    """Ascending cut points that deal an integer key to about four buckets a shuffle partition, whatever its range.
 
-    The key range is cut into equal cells; their counts (at most `cells` numbers) come to the driver and neighbouring
-    cells are merged to buckets of nearly equal rows. Returns (bucket of each cell, lowest key, cell width).
+    They are approximate quantiles over all rows (a bounded summary per task, merged), so an outlying id moves no other row.
     """
-    spark = df.sparkSession
-    low, high, n = df.agg(F.min(key), F.max(key), F.count("*")).first()
-    if low is None:
-        return [0], 0, 1
-    width = max(1, -(-(high - low + 1) // cells))
-    count = (high - low) // width + 1
-    buckets = 4 * int(spark.conf.get("spark.sql.shuffle.partitions"))
-    per = max(1, -(-n // buckets))
-    found = dict(df.where(F.col(key).isNotNull()).groupBy(F.floor((F.col(key) - low) / F.lit(width)).cast("long").alias("c")).count().collect())
-    out, rows = [], 0
-    for c in range(count):
-        out.append(rows // per)
-        rows += found.get(c, 0)
-    return out, low, width
-
-
-def bucket_column(key: str, layout: tuple[list[int], int, int]):
-    """The bucket of a key under ordered_cells; null keys go to bucket -1, before all others."""
-    of_cell, low, width = layout
-    table = F.array(*[F.lit(x) for x in of_cell]) if len(of_cell) < 64 else F.from_json(F.lit(str(of_cell)), "array<int>")
-    return F.when(F.col(key).isNull(), F.lit(-1)).otherwise(F.element_at(table, (F.floor((F.col(key) - low) / F.lit(width)) + 1).cast("int")))
+    buckets = 4 * int(df.sparkSession.conf.get("spark.sql.shuffle.partitions"))
+    shares = [i / buckets for i in range(1, buckets)]
+    found = df.agg(F.percentile_approx(F.col(key).cast("long"), shares, 20 * buckets)).first()[0]
+    return sorted(set(found or ()))
+
+
+def bucket_column(key: str, cuts: list[int]):
+    """Number of cut points at or below a key, by a binary search in the plan; null keys go to bucket -1, before all others."""
+    if not cuts:
+        return F.when(F.col(key).isNull(), F.lit(-1)).otherwise(F.lit(0))
+    table = F.from_json(F.lit(str(cuts)), "array<bigint>")
+    low, high = F.lit(0), F.lit(len(cuts))
+    start = F.struct(low.alias("lo"), high.alias("hi"))
+
+    def halve(at, _):
+        middle = F.shiftright(at["lo"] + at["hi"], 1)
+        below = F.get(table, middle) <= F.col(key)
+        open_ = at["lo"] < at["hi"]
+        return F.struct(F.when(open_ & below, middle + 1).otherwise(at["lo"]).alias("lo"), F.when(open_ & ~below, middle).otherwise(at["hi"]).alias("hi"))
+
+    steps = F.array(*[F.lit(0)] * len(cuts).bit_length())
+    return F.when(F.col(key).isNull(), F.lit(-1)).otherwise(F.aggregate(steps, start, halve, lambda at: at["lo"]))
 
 
 # ---------------------------------------------------------------- vectorised hashing

@@ -21,7 +21,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from cutstream.llm.common import _powers, batched, bucket_column, mix, ordered_cells, table64, utf8
+from cutstream.llm.common import _powers, batched, bucket_column, mix, ordered_cuts, table64, utf8
 
 BASE, ENOUGH, KEEP = 3, 8, 64
 _NAME = table64(29)
@@ -155,8 +155,8 @@ def with_edits(spark: SparkSession, docs: DataFrame) -> DataFrame:
     first bucket's to the last), so each task has its rows' followers. Rows of equal doc_id follow in text order, null
     ids come first. The text is shuffled once.
     """
-    layout = ordered_cells(docs, "doc_id")
-    dealt = docs.select(F.col("doc_id").cast("long").alias("doc_id"), "text", bucket_column("doc_id", layout).alias("bucket"))
+    cuts = ordered_cuts(docs, "doc_id")
+    dealt = docs.select(F.col("doc_id").cast("long").alias("doc_id"), "text", bucket_column("doc_id", cuts).alias("bucket"))
     heads = sorted(dealt.groupBy("bucket").agg(F.min("doc_id").alias("head")).collect(), key=lambda r: r.bucket)
     guests = spark.createDataFrame([(r.head, heads[i - 1].bucket) for i, r in enumerate(heads)], "head long, before int")
     twice = F.array(F.struct("bucket", F.lit(False).alias("guest")), F.struct(F.col("before").alias("bucket"), F.lit(True).alias("guest")))
@@ -186,4 +186,5 @@ def with_edits(spark: SparkSession, docs: DataFrame) -> DataFrame:
 
 
 def op3_document_fingerprints(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Fingerprints of every document and of its edited text."""
     return with_edits(spark, spark.read.parquet(f"{sf_dir}/documents.parquet"))

@@ -22,7 +22,7 @@ from pyspark import TaskContext
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from cutstream.llm.common import batched, bucket_column, ordered_cells, scratch_path
+from cutstream.llm.common import batched, bucket_column, ordered_cuts, scratch_path
 from cutstream.llm.tokens import default_vocabulary, encoder
 
 END_ID = 2
@@ -65,8 +65,8 @@ def write(spark: SparkSession, docs: DataFrame, uri: str, vocabulary: str, end_i
     """Write docs as shards; returns (shard, documents, ids, base) in order, a few numbers for each shard."""
     folder, kind = local_path(uri), np.dtype(dtype)
     os.makedirs(folder, exist_ok=True)
-    layout = ordered_cells(docs, "doc_id")
-    dealt = docs.select("doc_id", "text", bucket_column("doc_id", layout).alias("bucket"))
+    cuts = ordered_cuts(docs, "doc_id")
+    dealt = docs.select("doc_id", "text", bucket_column("doc_id", cuts).alias("bucket"))
     sorted_ = dealt.repartition("bucket").sortWithinPartitions("bucket", "doc_id", "text")
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -122,5 +122,6 @@ def read(spark: SparkSession, uri: str, shards: list[tuple[int, int, int, int]],
 
 
 def op7_token_files(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Offsets of every document, read back from the files."""
     uri = scratch_path(spark, "token-files")
     return read(spark, uri, write(spark, spark.read.parquet(f"{sf_dir}/documents.parquet"), uri, default_vocabulary()))

@@ -178,6 +178,7 @@ def read(files: DataFrame) -> DataFrame:
 
 
 def op8_warc_dictionary(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Every page's record, read back from the archives."""
     return read(write(spark, spark.read.parquet(f"{sf_dir}/pages.parquet"), scratch_path(spark, "warc")))
 
 
