@@ -1,7 +1,7 @@
 """Secret scanning: fixed patterns, plus a character convolutional network over every candidate and its context.
 
 Spans of the three base kinds (assign, access, hex) always stay. Every other candidate, a run of 16 or more token
-characters with a letter and a digit or a value after a credential word, is scored by a small network in numpy: learned
+characters with a letter and a digit, one of 20 or more with small and capital letters, or a value after a credential word, is scored by a small network in numpy: learned
 character vectors, one convolution over 24 characters of left context, the candidate and 16 of right context, pooled
 apart over the context and over the candidate. Where a base span overlaps a candidate, the parts outside are candidates;
 overlapping candidates are all scored, and those that are secrets become one span. A candidate longer than the window is scored window by window and keeps
@@ -19,6 +19,7 @@ import hashlib
 import random
 import re
 import string
+from bisect import bisect_right
 from collections.abc import Iterator
 from functools import lru_cache
 
@@ -60,21 +61,30 @@ def base_spans(text: str) -> list[tuple[int, int, str]]:
 
 def candidates(text: str, taken: list[tuple[int, int, str]]) -> list[tuple[int, int]]:
     """Spans for the network, which may overlap each other: those of its patterns, and of each what no base span covers."""
-    base = sorted((a, b) for a, b, _ in taken)
-    found = {s for m in RUN.finditer(text) for s in _outside(*m.span(), base, 16) if any(c.isdigit() for c in text[slice(*s)]) and any(c.isalpha() for c in text[slice(*s)])}
+    base = merged([(a, b) for a, b, _ in taken])
+    found = {s for m in RUN.finditer(text) for s in _outside(*m.span(), base, 16) if _mixed(text[slice(*s)])}
     low = text.lower()
     if any(w in low for w in _CREDENTIAL_WORDS):
         found |= {s for m in _CREDENTIAL_AT.finditer(text) for s in _outside(*m.span(1), base, 8)}
     return sorted(found)
 
 
+def _mixed(run: str) -> bool:
+    """Whether a run has letters and digits, or is long and has letters of both cases."""
+    if any(c.isdigit() for c in run):
+        return any(c.isalpha() for c in run)
+    return len(run) >= 20 and not run.islower() and not run.isupper() and any(c.islower() for c in run)
+
+
 def _outside(a: int, b: int, base: list[tuple[int, int]], least: int) -> list[tuple[int, int]]:
-    """The parts of a to b, of at least `least` characters, that no span of base (sorted) covers."""
+    """The parts of a to b, of at least `least` characters, that no span of base (sorted, disjoint) covers."""
     out = []
-    for x, y in base:
-        if x < b and y > a:
-            out.append((a, x))
-            a = y
+    for i in range(bisect_right(base, a, key=lambda s: s[1]), len(base)):
+        x, y = base[i]
+        if x >= b:
+            break
+        out.append((a, x))
+        a = y
     return [(x, y) for x, y in [*out, (a, b)] if y - x >= least]
 
 
@@ -163,6 +173,7 @@ def labelled(n: int, seed: int) -> list[tuple[str, int, int, bool]]:
         lambda: pick(alnum, 20, 64), lambda: pick(b64, 30, 60) + r.choice(["", "=", "=="]), lambda: word(2, 4) + "_" + pick(alnum, 24, 40),
         lambda: word(2, 3) + "_live_" + pick(alnum, 20, 32), lambda: "-".join([word(3, 5), pick(string.digits, 8, 12), pick(alnum, 20, 28)]),
         lambda: "eyJ" + pick(alnum + "_-", 40, 120), lambda: pick("0123456789abcdef", 16, 23), lambda: pick(string.ascii_uppercase + string.digits, 18, 40),
+        lambda: pick(string.ascii_letters, 22, 44),
     ]
     names = ["key", "pwd", "passphrase", "bearer", "credential", "private_key", "auth_key", "access", "pass", "client"]
     plain = [
@@ -170,7 +181,8 @@ def labelled(n: int, seed: int) -> list[tuple[str, int, int, bool]]:
         lambda: "-".join(pick("0123456789abcdef", k, k) for k in (8, 4, 4, 4, 12)), lambda: pick("=-_", 1, 1) * r.randint(16, 40) + "a1", lambda: word(8, 9) + word(8, 9) + str(r.randint(1, 2030)),
         lambda: f"{r.randint(1990, 2030)}-{r.randint(1, 12):02}-{r.randint(1, 28):02}T{r.randint(0, 23):02}-{r.randint(0, 59):02}", lambda: "".join(word(3, 8).capitalize() for _ in range(4)) + str(r.randint(0, 99)),
         lambda: "your_" + word(3, 6) + "_goes_here_" + str(r.randint(1, 9)), lambda: r.choice("xX0") * r.randint(16, 30) + "1a", lambda: word(3, 6) + "-" + "-".join(str(r.randint(0, 99)) for _ in range(5)) + "-" + word(3, 6),
-        lambda: word(5, 9) + "/" + word(5, 9) + "_" + pick(string.digits, 4, 8),
+        lambda: word(5, 9) + "/" + word(5, 9) + "_" + pick(string.digits, 4, 8), lambda: "".join(word(3, 9).capitalize() for _ in range(r.randint(4, 6))),
+        lambda: word(4, 8) + "".join(word(4, 9).capitalize() for _ in range(3)), lambda: "/".join(word(3, 9).capitalize() for _ in range(4)), lambda: "-".join(word(3, 9).capitalize() for _ in range(4)),
     ]
     out = []
     for i in range(n):
@@ -288,4 +300,5 @@ def redact(spark: SparkSession, docs: DataFrame) -> DataFrame:
 
 
 def op4_secret_scan(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Secrets of every document."""
     return scan(spark, spark.read.parquet(f"{sf_dir}/documents.parquet"))
