@@ -1,14 +1,26 @@
-"""Jaccard metric-space join of documents on word shingles, exact, by pivots, Voronoi cells and triangle windows.
+"""Jaccard metric-space join of documents on word shingles, exact, by pivots, Voronoi regions and triangle windows.
 
 Distance is 1 - Jaccard. Documents of a corpus are almost all at distance 1 from any sampled document, so document pivots
-cannot split a whole corpus; singleton sets {s} can. Level 0 takes every shingle s as a pivot: the nearest pivots of x are
-its own shingles, ties fall to the lowest hash (its home cell), and a pair within the radius may differ in at most
-(1 - t)|x| of them, so x is replicated to its first floor((1 - t)|x|) + 1 cells and no further (the boundary window).
-Inside a cell, documents are pivots: a pivot's distances to all others give windows |d(x, p) - d(y, p)| <= radius that
-discard pairs, members within the radius join the pivot's component at once, and the rest recurses under the next pivot.
-A large cell is first split to blocks; what a block cannot see is left to the closing pass, which takes every pair of
-documents in different components that share any cell and filters it by sizes and by a class-count sketch (both lower bounds
-of the symmetric difference, hence lossless); what passes forms regions that join by pivots on whole sets once more.
+cannot split a whole corpus; sets of a few shingles are points of the same space and can. Three levels follow each other:
+
+1. Pivots {s}, for every shingle s. A document's nearest pivots are its own shingles; equal distances are ordered by how
+   common a shingle is, then by hash (the commonest are counted first, `frequent`). The region of {s} takes the documents
+   that have s in their boundary window: a pair within the radius may differ in at most (1 - t)|x| shingles of x, so one of
+   the first floor((1 - t)|x|) + 1 is common to both. Rare shingles come first, so a passage that many documents have, or a
+   frequent phrase, opens no region for them.
+2. A region with more than `BLOCK_ROWS` documents outside its prevailing component takes pivots {s, s'}: the shingles that a
+   document lacks before s count against its window, so the next common one stands within a window that is one longer. Two
+   different sets within the radius share t / (1 - t) shingles or more, which allows pivots of so many shingles; `DEPTH`
+   is the number of such steps.
+3. What is left joins by documents as pivots (`pivot_join`): members within the radius of a pivot are in its component at
+   once, the others go to the region of their nearest pivot and, where the distances to two pivots differ by no more than
+   two radii, to both; regions recurse as long as they shrink, and the rest compares the pairs that the windows
+   |d(x, p) - d(y, p)| <= radius of all pivots leave.
+
+Before all that, documents whose least hash is the same (chance: their Jaccard) join by documents as pivots, in blocks of
+bounded bytes. That settles most copies, so later regions only look at those with several components. In a region where one
+component prevails, its members are not compared with each other: the others are dealt to each block of all. Sizes and
+class-count sketches (lower bounds of the symmetric difference) discard pairs without their sets.
 
 Null or blank texts have the empty set and are linked with nothing. Equal sets form one class before any join, so copies
 are never expanded to pairs. Rows that repeat a doc_id are separate rows; a component is named by its smallest doc_id.
@@ -22,15 +34,19 @@ from collections.abc import Iterator
 
 import numpy as np
 import pyarrow as pa
-from pyspark.sql import DataFrame, SparkSession, Window
+from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from cutstream.llm.common import BROADCAST_ROWS, batched, bounded_broadcast, connected, joined, materialise, mix, remove, scratch_path, trim, utf8, word_hashes, words_of
 
 #: Least number of classes of a sketch (a large set has one for each four to eight shingles), and the largest count it keeps.
 CLASSES, MOST = 64, 15
-REGION_ROWS = 8192
-BLOCK_ROWS = 4096
+#: Rows and bytes of sets that one task joins at once: of equal least hashes, and of a region's block.
+REGION_ROWS, BLOCK_ROWS, BLOCK_BYTES = 8192, 1024, 1 << 26
+#: Further shingles that pivots of a crowded region get.
+DEPTH = 1
+#: The commonest shingles, which are ordered last. Any list gives right results; it only makes regions even.
+COMMON, COMMON_OF_TASK, COMMON_ROWS = 1 << 16, 1 << 14, 16
 
 
 def shingle_sets(texts: list[str], k: int) -> list[np.ndarray]:
@@ -109,34 +125,104 @@ def is_link(both: int, a: int, b: int, percent: int) -> bool:
     return both > 0 and 100 * both >= percent * (a + b - both)
 
 
-def signatures(docs: DataFrame, k: int, percent: int) -> DataFrame:
-    """(doc_id, n, c, win, sk): set size, digest of the set, the boundary window of cells, the class-count sketch."""
+def frequent(docs: DataFrame, k: int) -> tuple[np.ndarray, np.ndarray]:
+    """(ascending hashes, counts) of at most COMMON shingles that the most documents have, counted over all documents.
+
+    A task keeps a bounded table, from which the rarest fall out when it is full, and hands on its commonest.
+    """
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        keys, counts, held, n = np.zeros(0, np.int64), np.zeros(0), [], 0
+
+        def folded() -> tuple[np.ndarray, np.ndarray]:
+            u, at = np.unique(np.concatenate([keys, *held]), return_inverse=True)
+            c = np.bincount(at, np.concatenate([counts, np.ones(n)]), len(u))
+            if len(u) > 8 * COMMON_OF_TASK:
+                own = c > max(1, np.partition(c, -4 * COMMON_OF_TASK)[-4 * COMMON_OF_TASK])
+                u, c = u[own], c[own]
+            return u, c
+
+        for _, texts in batched(batches):
+            sets = shingle_sets(texts, k)
+            held += sets
+            n += sum(len(x) for x in sets)
+            if n > 1 << 20:
+                keys, counts = folded()
+                held, n = [], 0
+        keys, counts = folded()
+        top = np.argsort(-counts, kind="stable")[:COMMON_OF_TASK]
+        top = top[counts[top] > 3]
+        yield pa.RecordBatch.from_arrays([pa.array(keys[top]), pa.array(counts[top].astype(np.int64))], ["s", "n"])
+
+    found = docs.select("text").mapInArrow(run, "s long, n long").groupBy("s").agg(F.sum("n").alias("n")).where(F.col("n") >= COMMON_ROWS)
+    rows = found.orderBy(F.desc("n"), "s").limit(COMMON).collect()  # a bounded list
+    rows.sort(key=lambda r: r.s)
+    return np.array([r.s for r in rows], np.int64), np.array([r.n for r in rows], np.int64)
+
+
+def rare_first(sets: list[np.ndarray], sizes: list[int], common: tuple[np.ndarray, np.ndarray]) -> list[np.ndarray]:
+    """The first sizes[i] shingles of each set, the rarest first, equally rare ones by hash."""
+    keys, counts = common
+    if not len(keys):
+        return [s[:w] for s, w in zip(sets, sizes, strict=True)]
+    flat = np.concatenate(sets)
+    at = np.minimum(np.searchsorted(keys, flat), len(keys) - 1)
+    often = np.where(keys[at] == flat, counts[at], 0)
+    out, a = [], 0
+    for s, w in zip(sets, sizes, strict=True):
+        f = often[a : a + len(s)]
+        a += len(s)
+        out.append(s[np.lexsort((s, f))[:w]] if f.any() else s[:w])
+    return out
+
+
+def signatures(docs: DataFrame, k: int, percent: int, common: tuple[np.ndarray, np.ndarray]) -> DataFrame:
+    """(doc_id, t, n, c, home, win, sk): hash of the text, set size, digest of the set, its least hash, the boundary window
+    with DEPTH shingles more (a set of fewer has them all), the class-count sketch."""
+    shared = docs.sparkSession.sparkContext.broadcast(common)
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for rows, texts in batched(batches):
             sets = shingle_sets(texts, k)
-            sizes = [len(s) * (100 - percent) // 100 + 1 if len(s) else 0 for s in sets]
+            windows = rare_first(sets, [len(s) * (100 - percent) // 100 + 1 + DEPTH if len(s) else 0 for s in sets], shared.value)
             offsets = np.zeros(len(sets) + 1, np.int32)
-            np.cumsum(sizes, out=offsets[1:])
-            flat = np.concatenate([s[:w] for s, w in zip(sets, sizes, strict=True)])
-            yield pa.RecordBatch.from_arrays([rows.column("doc_id").cast(pa.int64()), pa.array([len(s) for s in sets], pa.int64()), pa.array([digest(s) for s in sets], pa.binary()), pa.ListArray.from_arrays(pa.array(offsets), pa.array(flat)), pa.array([packed(sketch(s)) for s in sets], pa.binary())], ["doc_id", "n", "c", "win", "sk"])
-
-    return docs.select("doc_id", "text").mapInArrow(run, "doc_id long, n long, c binary, win array<long>, sk binary")
+            np.cumsum([len(w) for w in windows], out=offsets[1:])
+            columns = [
+                rows.column("doc_id").cast(pa.int64()),
+                rows.column("t"),
+                pa.array([len(s) for s in sets], pa.int64()),
+                pa.array([digest(s) for s in sets], pa.binary()),
+                pa.array([int(s[0]) if len(s) else None for s in sets], pa.int64()),
+                pa.ListArray.from_arrays(pa.array(offsets), pa.array(np.concatenate(windows))),
+                pa.array([packed(sketch(s)) for s in sets], pa.binary()),
+            ]
+            yield pa.RecordBatch.from_arrays(columns, ["doc_id", "t", "n", "c", "home", "win", "sk"])
+
+    rows = docs.select("doc_id", F.xxhash64("text").alias("t"), "text")
+    return rows.mapInArrow(run, "doc_id long, t long, n long, c binary, home long, win array<long>, sk binary")
 
 
 def fetch_sets(docs: DataFrame, wanted: DataFrame, k: int, extra: str = "") -> DataFrame:
-    """Sets of the wanted classes (rep, k, c, ...), computed again from the text of the document rep."""
+    """Sets of the wanted classes (rep, rep_t, k, c, ...), computed again from the text of the row (rep, rep_t).
+
+    Rows that repeat both id and text come once a task.
+    """
     names = [x.split()[0] for x in extra.split(",") if x]
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        seen: set[tuple] = set()
         for rows, texts in batched(batches):
-            sets = shingle_sets(texts, k)
-            keep = [i for i, (s, c) in enumerate(zip(sets, rows.column("c").to_pylist(), strict=True)) if digest(s) == c]
+            sets, keep = shingle_sets(texts, k), []
+            key = list(zip(rows.column("k").to_pylist(), *(rows.column(x).to_pylist() for x in names), strict=True))
+            for i, (s, c) in enumerate(zip(sets, rows.column("c").to_pylist(), strict=True)):
+                if key[i] not in seen and digest(s) == c:
+                    seen.add(key[i])
+                    keep.append(i)
             if keep:
                 own = rows.take(pa.array(keep))
                 yield pa.RecordBatch.from_arrays([own.column("k"), pa.array([sets[i].tobytes() for i in keep], pa.binary()), *[own.column(x) for x in names]], ["k", "set", *names])
 
-    texts = docs.select("doc_id", "text").join(bounded_broadcast(wanted), F.expr("doc_id <=> rep"))
+    texts = docs.select(F.col("doc_id").alias("own"), F.xxhash64("text").alias("t"), "text").join(bounded_broadcast(wanted), F.expr("own <=> rep AND t = rep_t"))
     return texts.select("text", "k", "c", *names).mapInArrow(run, "k long, set binary" + (", " + extra if extra else ""))
 
 
@@ -156,10 +242,11 @@ class _Forest:
             self.up[max(a, b)] = min(a, b)
 
 
-def pivot_join(sets: list[np.ndarray], percent: int, labels: list[int] | None = None, pivots: int = 12) -> list[int]:
-    """Local component (index of its first member) of each set: recursive pivots, triangle windows, exact overlaps.
+def pivot_join(sets: list[np.ndarray], percent: int, labels: list[int] | None = None, pivots: int = 8, leaf: int = 64) -> list[int]:
+    """Local component (index of its first member) of each set: pivots, Voronoi regions, triangle windows, exact overlaps.
 
-    Sets of equal labels, if given, are in one component already.
+    Sets of equal labels, if given, are in one component already. A region that no pivots make smaller, or of at most
+    `leaf` sets, compares the pairs in its windows.
     """
     m = len(sets)
     size = np.array([len(s) for s in sets], np.int64)
@@ -171,51 +258,63 @@ def pivot_join(sets: list[np.ndarray], percent: int, labels: list[int] | None =
     for i, x in enumerate(labels or ()):
         forest.join(first.setdefault(x, i), i)
     radius = (100 - percent) / 100
+    counts = np.stack([sketch(s, 128) for s in sets]).astype(np.int16)
 
     def overlaps(p: int, others: np.ndarray) -> np.ndarray:
         mine = codes[begins[p] : ends[p]]
         mark[mine] = True
         n = size[others]
-        at = np.repeat(begins[others] - np.concatenate([[0], np.cumsum(n)[:-1]]), n) + np.arange(n.sum())
-        out = np.add.reduceat(mark[codes[at]], np.concatenate([[0], np.cumsum(n)[:-1]]), dtype=np.int64)
+        before = np.concatenate([[0], np.cumsum(n)[:-1]])
+        at = np.repeat(begins[others] - before, n) + np.arange(n.sum())
+        out = np.add.reduceat(mark[codes[at]], before, dtype=np.int64)
         mark[mine] = False
         return out
 
-    everyone, done = np.arange(m), np.zeros(m, bool)
-    windows: list[np.ndarray] = []
-    for _ in range(min(pivots, m - 1)):
-        p = int(np.flatnonzero(~done)[0])  # the next pivot: the first set that no ball holds
-        both = overlaps(p, everyone)
-        union = size[p] + size - both
-        windows.append(1 - both / union)
-        ball = np.flatnonzero(100 * both >= percent * union)
-        done[ball] = done[p] = True
-        for x in ball.tolist():
-            forest.join(p, x)
-        if done.all():
-            break
-    distance = np.stack(windows)
-    root = np.array([forest.find(i) for i in range(m)])
-    counts = np.stack([sketch(s, 128) for s in sets]).astype(np.int16)
-    order = np.argsort(size, kind="stable")
-    for at, x in enumerate(order.tolist()):
-        others = order[at + 1 :]
-        others = others[: np.searchsorted(size[others], size[x] * 100 // percent, "right")]
-        others = others[root[others] != root[x]]
-        if len(others):
-            others = others[(np.abs(distance[:, others] - distance[:, x : x + 1]) <= radius + 1e-9).all(axis=0)]
-        if len(others):
-            gap = np.abs(counts[others] - counts[x]).sum(axis=1)
-            others = others[(100 + percent) * gap.astype(np.int64) <= (100 - percent) * (size[others] + size[x])]
-        if len(others):
-            both = overlaps(x, others)
-            near = others[100 * both >= percent * (size[x] + size[others] - both)]
-            if len(near):
-                for y in near.tolist():
+    def compare(own: np.ndarray, distance: np.ndarray) -> None:
+        """Link all pairs of `own` that sizes, windows and sketches leave; distance: rows for pivots, columns as own."""
+        root = np.array([forest.find(i) for i in own.tolist()])
+        if (root == root[0]).all():
+            return
+        order = np.argsort(size[own], kind="stable")
+        own, root, distance = own[order], root[order], distance[:, order]
+        n = size[own]
+        for i, x in enumerate(own.tolist()):
+            stop = int(np.searchsorted(n, n[i] * 100 // percent, "right"))
+            at = i + 1 + np.flatnonzero(root[i + 1 : stop] != root[i])
+            if len(at) and len(distance):
+                at = at[(np.abs(distance[:, at] - distance[:, i : i + 1]) <= radius + 1e-9).all(axis=0)]
+            if len(at):
+                gap = np.abs(counts[own[at]] - counts[x]).sum(axis=1)
+                at = at[(100 + percent) * gap.astype(np.int64) <= (100 - percent) * (n[at] + n[i])]
+            if len(at):
+                both = overlaps(x, own[at])
+                near = at[100 * both >= percent * (n[i] + n[at] - both)]
+                for y in own[near].tolist():
                     forest.join(x, y)
-                roots = {r: forest.find(r) for r in set(root[near].tolist()) | {int(root[x])}}
-                low = min(roots.values())
-                root[np.isin(root, list(roots))] = low
+                if len(near):
+                    met = np.unique(np.append(root[near], root[i]))
+                    root[np.isin(root, met)] = forest.find(x)
+
+    regions = [np.arange(m)]
+    while regions:
+        own = regions.pop()
+        held, rows = np.zeros(len(own), bool), []
+        while len(own) > leaf and len(rows) < pivots and not held.all():
+            at = int(np.flatnonzero(~held)[0])  # the next pivot: the first set that no ball holds
+            both = overlaps(int(own[at]), own)
+            union = size[own[at]] + size[own] - both
+            rows.append(1 - both / union)
+            ball = 100 * both >= percent * union
+            held |= ball
+            held[at] = True
+            for x in own[ball].tolist():
+                forest.join(int(own[at]), x)
+        distance = np.stack(rows) if rows else np.zeros((0, len(own)))
+        near = distance <= distance.min(axis=0) + 2 * radius + 1e-9 if rows else np.zeros((0, 0), bool)
+        if len(rows) > 1 and near.sum(axis=1).max() <= 0.8 * len(own):
+            regions += [own[r] for r in near if r.sum() > 1]
+        else:
+            compare(own, distance)
     return [forest.find(i) for i in range(m)]
 
 
@@ -241,72 +340,127 @@ def _groups(batches: Iterator[pa.RecordBatch], keys: list[str]) -> Iterator[pa.T
     trim()
 
 
-def components(spark: SparkSession, docs: DataFrame, k: int = 3, percent: int = 90) -> DataFrame:
-    """(doc_id, n_shingles, component_id) for every row of docs."""
+def _in_blocks(rows: DataFrame, key: str, sizes: DataFrame) -> DataFrame:
+    """rows of keys that several have, dealt to blocks: sizes(key, m, nb) over all keys; adds nb and b < nb.
+
+    The crowded keys (nb > 1: few, as each has a block's rows or bytes) meet the rows in memory, so none is one task's work.
+    """
+    crowded = bounded_broadcast(sizes.where("nb > 1").select(key, "nb"))
+    few = sizes.where("nb = 1 AND m > 1").select(key)
+    hot = rows.join(crowded, key)
+    rest = rows.join(crowded, key, "left_anti").join(few, key, "left_semi").withColumn("nb", F.lit(1))
+    return hot.select(*rows.columns, "nb").unionByName(rest).withColumn("b", F.pmod(F.xxhash64("k"), F.col("nb")).cast("int"))
+
+
+def _blocks_of(m: Column, n: Column, rows: int) -> Column:
+    """Blocks that m rows with n shingles in all need."""
+    return F.greatest(F.ceil(m / F.lit(rows)), F.ceil(n * 8 / F.lit(BLOCK_BYTES))).cast("int")
+
+
+def _regions(spark: SparkSession, named: DataFrame, percent: int) -> DataFrame:
+    """(anchor, k, label, n): members of each region of singleton pivots, crowded ones by pivots of more shingles; only
+    regions with several components, each named by its smallest member."""
+    window = F.floor(F.col("n") * (100 - percent) / 100).cast("int")
+    entries = named.select("k", "label", "n", "win", F.posexplode(F.slice("win", F.lit(1), window + 1)).alias("at", "s")).select("s", "k", "label", "n", "win", "at")
+    out, steps = None, DEPTH if percent == 100 else min(DEPTH, -(-percent // (100 - percent)) - 1)
+    for depth in range(steps + 1):
+        slim = entries.select("s", "k", "label", "n")
+        cells = slim.groupBy("s").agg(F.min("k").alias("anchor"), F.min("label").alias("low"), F.max("label").alias("high"), F.count("*").alias("m"))
+        cells = materialise(spark, cells.where("low <> high").select("s", "anchor", (F.col("m") > BLOCK_ROWS).alias("crowded")), "cells")
+        crowded = None
+        if depth < steps and cells.where("crowded").limit(1).count():
+            own = slim.join(bounded_broadcast(cells.where("crowded").select("s")), "s").groupBy("s", "label").agg(F.count("*").alias("m"))
+            crowded = materialise(spark, own.groupBy("s").agg((F.sum("m") - F.max("m")).alias("outside")).where(F.col("outside") > BLOCK_ROWS).select("s"), "crowded")
+            cells = cells.join(bounded_broadcast(crowded), "s", "left_anti")
+        found = slim.join(bounded_broadcast(cells.select("s", "anchor")), "s").select("anchor", "k", "label", "n")
+        out = found if out is None else out.unionByName(found)
+        if crowded is None or not crowded.limit(1).count():
+            break
+        more = entries.join(bounded_broadcast(crowded), "s").where("n > at + 1")
+        nexts = more.select("s", "k", "label", "n", "win", "at", F.posexplode(F.slice("win", F.col("at") + 2, window + F.lit(depth + 1) - F.col("at"))).alias("step", "next"))
+        entries = materialise(spark, nexts.select(F.xxhash64("s", "next").alias("s"), "k", "label", "n", "win", (F.col("at") + F.col("step") + 1).alias("at")), "entries")
+    return materialise(spark, out.groupBy("anchor", "k").agg(F.first("label").alias("label"), F.first("n").alias("n")), "anchored")
+
+
+def _tasks(anchored: DataFrame) -> DataFrame:
+    """(task, k, side, cross): what is compared together. A region within a block is a task; in a larger one every member is
+    on a row side and those outside its prevailing component are dealt to each block on the column side too."""
+    per = anchored.groupBy("anchor", "label").agg(F.count("*").alias("m"), F.sum("n").alias("n"))
+    whole = per.groupBy("anchor").agg(F.sum("m").alias("m"), F.sum("n").alias("n"), F.max(F.struct("m", "n", "label")).alias("top"))
+    sized = whole.withColumn("nb", _blocks_of(F.col("m"), F.col("n"), BLOCK_ROWS))
+    large = sized.where("nb > 1").select("anchor", "nb", F.col("top.label").alias("most"), _blocks_of(F.col("m") - F.col("top.m"), F.col("n") - F.col("top.n"), BLOCK_ROWS).alias("no"))
+    rows = anchored.join(bounded_broadcast(large), "anchor", "left").select("anchor", "k", "label", F.coalesce("nb", F.lit(1)).alias("nb"), F.coalesce("no", F.lit(1)).alias("no"), "most")
+    block = lambda n, salt: F.pmod(F.xxhash64("k", F.lit(salt)), F.col(n)).cast("int")
+    upto = lambda n: F.sequence(F.lit(0), F.col(n) - 1)
+    task = F.xxhash64("anchor", "i", "j").alias("task")
+    across = rows.select("anchor", "k", "nb", block("nb", "row").alias("i"), F.explode(upto("no")).alias("j")).select(task, "k", F.lit(0).alias("side"), (F.col("nb") > 1).alias("cross"))
+    down = rows.where("nb > 1 AND label <> most").select("anchor", "k", F.explode(upto("nb")).alias("i"), block("no", "column").alias("j")).select(task, "k", F.lit(1).alias("side"), F.lit(True).alias("cross"))
+    return across.unionByName(down)
+
+
+def grouped(spark: SparkSession, docs: DataFrame, k: int = 3, percent: int = 90) -> DataFrame:
+    """(doc_id, t, n, c, component_id) for every row of docs: hash of the text, set size, digest of the set, component."""
     wide = scratch_path(spark, "signatures")
-    signatures(docs, k, percent).write.parquet(wide)
+    signatures(docs, k, percent, frequent(docs, k)).write.parquet(wide)
     signed = spark.read.parquet(wide)
-    one = signed.where("n > 0").groupBy("c").agg(F.min("doc_id").alias("rep"), F.first("n").alias("n"), F.first("win").alias("win"), F.first("sk").alias("sk"))
-    classes = materialise(spark, one.withColumn("k", F.monotonically_increasing_id()), "classes")
-    signed = materialise(spark, signed.select("doc_id", "n", "c"), "documents")
+    row = F.min(F.struct(F.col("doc_id").isNull(), F.col("doc_id"), F.col("t"))).alias("row")
+    one = signed.where("n > 0").groupBy("c").agg(row, *[F.first(x).alias(x) for x in ("n", "home", "win", "sk")])
+    classes = materialise(spark, one.select("c", F.col("row.doc_id").alias("rep"), F.col("row.t").alias("rep_t"), "n", "home", "win", "sk").withColumn("k", F.monotonically_increasing_id()), "classes")
+    signed = materialise(spark, signed.select("doc_id", "t", "n", "c"), "documents")
     remove(spark, wide)
 
-    # Home cells: every class is in one, together with all others whose first shingle is the same.
-    home = classes.select("k", "c", "rep", F.element_at("win", 1).alias("home"))
-    shared = home.groupBy("home").agg(F.count("*").alias("m")).where("m > 1")
-    homes = materialise(spark, home.join(shared, "home").select("k", "c", "rep", F.xxhash64("home", F.pmod(F.xxhash64("k"), F.ceil(F.col("m") / F.lit(REGION_ROWS)))).alias("region")), "homes")
+    # Every class meets all others of the same least hash, in blocks.
+    home = classes.select("k", "c", "rep", "rep_t", "home")
+    sizes = materialise(spark, classes.groupBy("home").agg(F.count("*").alias("m"), F.sum("n").alias("n")).where("m > 1").select("home", "m", _blocks_of(F.col("m"), F.col("n"), REGION_ROWS).alias("nb")), "homes")
+    homes = materialise(spark, _in_blocks(home, "home", sizes).select("k", "c", "rep", "rep_t", F.xxhash64("home", "b").alias("region")), "regions")
 
     def regional(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for t in _groups(batches, ["region"]):
-            sets = [np.frombuffer(s, np.int64) for s in t.column("set").to_pylist()]
+            ids, first = np.unique(t.column("k").to_numpy(), return_index=True)
+            raw = t.column("set").to_pylist()
+            sets = [np.frombuffer(raw[i], np.int64) for i in first.tolist()]
             if len(sets) > 1:
-                ids = t.column("k").to_pylist()
                 up = pivot_join(sets, percent)
-                rows = [(a, ids[r]) for i, (a, r) in enumerate(zip(ids, up, strict=True)) if r != i]
+                rows = [(int(ids[i]), int(ids[r])) for i, r in enumerate(up) if r != i]
                 yield pa.RecordBatch.from_arrays([pa.array([x[0] for x in rows], pa.int64()), pa.array([x[1] for x in rows], pa.int64())], ["k", "label"])
 
     local = fetch_sets(docs, homes, k, "region long").repartition("region").sortWithinPartitions("region").mapInArrow(regional, "k long, label long")
-    labels = materialise(spark, local.groupBy("k").agg(F.min("label").alias("label")), "labels")
-    links = connected(spark, labels.select(F.col("k").alias("a"), F.col("label").alias("b"))) if _repeated(labels) else labels.select(F.col("k").alias("id"), F.col("label").alias("root"))
-
-    # Closing pass: cells of the boundary windows that hold more than one component.
-    named = classes.join(bounded_broadcast(links), F.col("k") == F.col("id"), "left").select("k", "c", "rep", "n", "sk", "win", F.coalesce("root", "k").alias("label"))
-    cell = Window.partitionBy("s")
-    cells = named.select(F.explode("win").alias("s"), "k", "label").select("k", F.min("k").over(cell).alias("anchor"), (F.min("label").over(cell) != F.max("label").over(cell)).alias("mixed")).where("mixed")
-    anchored = materialise(spark, cells.select("anchor", "k").distinct(), "anchored")
-    sized = anchored.join(anchored.groupBy("anchor").agg(F.count("*").alias("m")), "anchor").withColumn("nb", F.ceil(F.col("m") / F.lit(BLOCK_ROWS)).cast("int")).withColumn("b", F.pmod(F.xxhash64("k"), F.col("nb")).cast("int"))
-    blocks = sized.select("anchor", "k", "b", F.explode(F.sequence(F.lit(0), F.col("nb") - 1)).alias("j")).select("anchor", "k", "b", F.least("b", "j").alias("lo"), F.greatest("b", "j").alias("hi"))
-    slim = blocks.select(F.xxhash64("anchor", "lo", "hi").alias("task"), "k", "b", (F.col("lo") != F.col("hi")).alias("cross"))
-    tasks = slim.join(named.select("k", F.col("n").cast("int").alias("n"), "sk", "label"), "k").repartition("task").sortWithinPartitions("task", "n")
+    links = materialise(spark, local, "labels")
+    named = classes.join(bounded_broadcast(links.withColumnRenamed("k", "id")), F.col("k") == F.col("id"), "left").select("k", "c", "rep", "rep_t", "n", "sk", "win", F.coalesce("label", "k").alias("label"))
+
+    # Closing pass: regions of the boundary windows that hold more than one component.
+    anchored = _regions(spark, named, percent)
+    slim = named.select("k", F.col("n").cast("int").alias("n"), "sk", "label")
+    tasks = _tasks(anchored).join(slim, "k").repartition("task").sortWithinPartitions("task", "n")
 
     def close(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for t in _groups(batches, ["task"]):
-            n, ids, label, b = (t.column(x).to_numpy() for x in ("n", "k", "label", "b"))
+            n, ids, label, side = (t.column(x).to_numpy() for x in ("n", "k", "label", "side"))
             n = n.astype(np.int64)
             counts, near = Sketches(t.column("sk").to_pylist()), _Forest(len(n))
             cross, hit = t.column("cross")[0].as_py(), np.zeros(len(n), bool)
             for i in range(len(n) - 1):
                 stop = np.searchsorted(n, n[i] * 100 // percent, "right")
                 others = np.arange(i + 1, stop)
-                others = others[(label[others] != label[i]) & ((b[others] != b[i]) | (not cross))]
+                others = others[(label[others] != label[i]) & ((side[others] != side[i]) | (not cross))]
                 if len(others):
                     others = others[(100 + percent) * counts.gaps(i, others) <= (100 - percent) * (n[others] + n[i])]
                 for x in others.tolist():
                     near.join(i, x)
                 hit[others] = True
                 hit[i] |= len(others) > 0
-            groups: dict[int, list[int]] = {}
+            groups: dict[int, set[int]] = {}
             for i in np.flatnonzero(hit).tolist():
-                groups.setdefault(near.find(i), []).append(int(ids[i]))
+                groups.setdefault(near.find(i), set()).add(int(ids[i]))
             if groups:
                 lists = [sorted(x) for x in groups.values()]
                 names = [int.from_bytes(hashlib.blake2b(np.array(x).tobytes(), digest_size=8).digest(), "little", signed=True) for x in lists]
                 yield pa.RecordBatch.from_arrays([pa.array(names, pa.int64()), pa.array(lists, pa.list_(pa.int64()))], ["region", "ks"])
 
     # What may still be linked forms regions again, each of which joins by pivots on whole sets; a region that several
-    # cells find is joined once.
+    # tasks find is joined once.
     last = materialise(spark, tasks.mapInArrow(close, "region long, ks array<long>").groupBy("region").agg(F.first("ks").alias("ks")), "last-regions")
-    members = materialise(spark, last.select("region", F.explode("ks").alias("k")).join(named.select("k", "c", "rep", "label"), "k"), "members")
+    members = materialise(spark, last.select("region", F.explode("ks").alias("k")).join(named.select("k", "c", "rep", "rep_t", "label"), "k"), "members")
 
     def rejoin(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for t in _groups(batches, ["region"]):
@@ -322,27 +476,39 @@ def components(spark: SparkSession, docs: DataFrame, k: int = 3, percent: int =
     final = named.select("c", "rep", "label").join(bounded_broadcast(roots), F.col("label") == F.col("id"), "left").select("c", "rep", F.coalesce("root", "label").alias("root"))
     final = materialise(spark, final, "final")
     names = final.groupBy("root").agg(F.min("rep").alias("component_id"))
-    return signed.select("doc_id", "n", "c").join(final.join(names, "root").select("c", "component_id"), "c", "left").select("doc_id", F.col("n").alias("n_shingles"), F.when(F.col("n") == 0, F.col("doc_id")).otherwise(F.col("component_id")).alias("component_id"))
+    whole = final.join(names, "root").select("c", "root", "component_id")
+    out = signed.join(whole, "c", "left")
+    return out.select("doc_id", "t", "n", "c", "root", F.when(F.col("n") == 0, F.col("doc_id")).otherwise(F.col("component_id")).alias("component_id"))
 
 
-def _repeated(labels: DataFrame) -> bool:
-    """Whether some label is itself labelled, which only rows that repeat a class can bring about."""
-    return bool(labels.select("label").distinct().join(labels.select(F.col("k").alias("label")), "label").limit(1).count())
+def components(spark: SparkSession, docs: DataFrame, k: int = 3, percent: int = 90) -> DataFrame:
+    """(doc_id, n_shingles, component_id) for every row of docs."""
+    return grouped(spark, docs, k, percent).select("doc_id", F.col("n").alias("n_shingles"), "component_id")
 
 
 def one_of_each(spark: SparkSession, docs: DataFrame, k: int = 5, percent: int = 80) -> DataFrame:
-    """docs without all but one row (that of the smallest doc_id) of each component; columns as they were.
+    """docs with one row of each component, columns as they were: that of the smallest doc_id (a null one only if there is no
+    other), of rows that repeat it that of the least text hash.
 
-    Where no doc_id repeats, the dropped ids are taken out with an anti-join; else repeated rows are dropped too.
+    Decisions are on rows (doc_id and text), not on ids: of two rows that repeat an id each stays or goes by its own
+    component. Rows without words are all kept.
     """
-    groups = materialise(spark, components(spark, docs, k, percent), "groups")
-    drop = materialise(spark, groups.where("component_id <> doc_id").select("doc_id").distinct(), "drop")
-    kept = docs.join(bounded_broadcast(drop), "doc_id", "left_anti").select(*docs.columns)
-    n, distinct, null = groups.where("component_id = doc_id or doc_id is null").agg(F.count("*"), F.countDistinct("doc_id"), F.count(F.when(F.col("doc_id").isNull(), 1))).first()
-    return kept.dropDuplicates(["doc_id", "text"]) if n - null > distinct or null else kept
+    rows = materialise(spark, grouped(spark, docs, k, percent).where("n > 0").select("doc_id", "t", "root"), "groups")
+    first = rows.groupBy("root").agg(F.min(F.struct(F.col("doc_id").isNull(), F.col("doc_id"), F.col("t"))).alias("x"))
+    kept = first.select(F.col("root").alias("of"), F.col("x.doc_id").alias("first_id"), F.col("x.t").alias("first_t"))
+    judged = rows.join(kept, F.col("root") == F.col("of")).select("doc_id", "t", F.expr("doc_id <=> first_id AND t = first_t").alias("stays"))
+    # Repeats of a row that stays are told from it by nothing, so its repeats are dropped by their columns.
+    verdict = judged.groupBy("doc_id", "t").agg(F.bool_and("stays").alias("stays"), F.count("*").alias("m")).where("NOT stays OR m > 1")
+    verdict = materialise(spark, verdict.select(F.col("doc_id").alias("_id"), F.col("t").alias("_t"), F.col("stays").alias("_stays")), "verdict")
+    same = F.expr("doc_id <=> _id AND xxhash64(text) = _t")
+    out = docs.join(bounded_broadcast(verdict), same, "left_anti").select(*docs.columns)
+    if verdict.where("_stays").limit(1).count():
+        out = out.unionByName(docs.join(bounded_broadcast(verdict.where("_stays")), same, "left_semi").select(*docs.columns).dropDuplicates(["doc_id", "text"]))
+    return out
 
 
 def op6_ngram_jaccard_join(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Components of all documents: three-word shingles, Jaccard of 0.9 or more."""
     return components(spark, spark.read.parquet(f"{sf_dir}/documents.parquet"), 3, 90)
 
 
