@@ -6,7 +6,8 @@ union of all languages' n-grams as one ascending array of 64-bit hashes, with a
 column for each language; a second array holds the back-off weights of contexts. A text is scored over its whole length:
 one look-up a character, lower orders only where the n-gram is in no language. The language of lowest length-normalised
 cross-entropy wins; its score is a softmax of the cross-entropies whose sharpness is calibrated on sample rows that
-counting left out, and rejection thresholds come from the same rows.
+counting left out, and rejection thresholds come from the same rows. A symbol has 16 bits, which hold every letter of the
+scripts in use (65,533; were a sample to have more, the rarest would count as one). `order` is 4 at most.
 
 `und` and score 0 for a null text or one without a letter, and for all texts where no labelled row exists. Repeated rows
 are predicted alike. Ties between languages fall to the first in alphabetical order.
@@ -26,7 +27,9 @@ from cutstream.llm.common import batched, mix
 
 ORDER = 4
 PER_LANGUAGE = 400
-PAD, BLANK, OTHER = 0, 1, 255
+#: Symbols are 16 bits wide, so ORDER of them fill a 64-bit code: letters that counting saw are 2 and up, others are OTHER.
+BITS = 16
+PAD, BLANK, OTHER = 0, 1, (1 << BITS) - 1
 UNDETERMINED = "und"
 
 
@@ -86,7 +89,7 @@ class Model:
     def symbols(self) -> np.ndarray:
         if self._symbol is None:
             letters = np.fromiter((chr(i).isalpha() for i in range(0x110000)), bool, 0x110000)
-            table = np.where(letters, OTHER, BLANK).astype(np.uint8)
+            table = np.where(letters, OTHER, BLANK).astype(np.uint16)
             table[[ord(c) for c in self.alphabet]] = np.arange(2, 2 + len(self.alphabet))
             table[0] = PAD
             self._symbol = table
@@ -130,8 +133,8 @@ class Model:
                 out[miss] = self.logp[0][-1]  # the row of a symbol that no language has
             else:
                 own = codes[miss]
-                weight = self.backoff[order - 1][self.contexts[order - 1].find(own >> np.uint64(8))]
-                out[miss] = weight + self._logp(own & np.uint64((1 << 8 * (order - 1)) - 1), order - 1)
+                weight = self.backoff[order - 1][self.contexts[order - 1].find(own >> np.uint64(BITS))]
+                out[miss] = weight + self._logp(own & np.uint64((1 << BITS * (order - 1)) - 1), order - 1)
         return out
 
     def predict(self, texts: list[str]) -> tuple[list[str], np.ndarray, np.ndarray]:
@@ -147,11 +150,11 @@ class Model:
 
 
 def _codes(sym: np.ndarray, at: np.ndarray, order: int) -> np.ndarray:
-    """The last `order` symbols up to each place, packed one a byte, the newest lowest."""
+    """The last `order` symbols up to each place, packed BITS each, the newest lowest."""
     wide = sym.astype(np.uint64)
     code = wide.copy()
     for j in range(1, order):
-        code[j:] |= wide[:-j] << np.uint64(8 * j)
+        code[j:] |= wide[:-j] << np.uint64(BITS * j)
     return code[at]
 
 
@@ -162,6 +165,8 @@ def _lookup(sorted_codes: np.ndarray, wanted: np.ndarray) -> np.ndarray:
 
 def fit(samples: dict[str, list[str]], order: int = ORDER) -> Model:
     """Fit on texts by language; every fifth text calibrates scores and thresholds instead of being counted."""
+    if order * BITS > 64:
+        raise ValueError("a code holds four symbols at most")
     languages = sorted(samples)
     model = Model(languages, order)
     if not languages:
@@ -179,7 +184,7 @@ def fit(samples: dict[str, list[str]], order: int = ORDER) -> Model:
         codes, n = np.unique(_codes(sym, np.flatnonzero(sym != PAD), order), return_counts=True)
         own = [(codes, n)]
         for m in range(order - 1, 0, -1):
-            own.insert(0, np.unique(own[0][0] & np.uint64((1 << 8 * m) - 1), return_counts=True))
+            own.insert(0, np.unique(own[0][0] & np.uint64((1 << BITS * m) - 1), return_counts=True))
         tables.append(own)
 
     width = len(languages)
@@ -187,19 +192,19 @@ def fit(samples: dict[str, list[str]], order: int = ORDER) -> Model:
     symbols = len(model.alphabet) + 2  # the blank and all other letters
     for m in range(1, order + 1):
         union = np.unique(np.concatenate([t[m - 1][0] for t in tables]))
-        contexts = np.unique(union >> np.uint64(8))
+        contexts = np.unique(union >> np.uint64(BITS))
         p = np.zeros((len(union), width))
         weight = np.ones((len(contexts), width))
         for j, t in enumerate(tables):
             codes, n = t[m - 1]
             once, twice = (n == 1).sum(), (n == 2).sum()
             d = min(0.95, max(0.1, once / max(1, once + 2 * twice)))
-            of, inverse = np.unique(codes >> np.uint64(8), return_inverse=True)
+            of, inverse = np.unique(codes >> np.uint64(BITS), return_inverse=True)
             total = np.bincount(inverse, n)
             weight[np.searchsorted(contexts, of), j] = d * np.bincount(inverse) / total
             p[np.searchsorted(union, codes), j] = np.maximum(n - d, 0) / total[inverse]
-        w = weight[np.searchsorted(contexts, union >> np.uint64(8))]
-        lower = np.full((len(union), width), 1 / symbols) if m == 1 else below[_lookup(below_codes, union & np.uint64((1 << 8 * (m - 1)) - 1))]
+        w = weight[np.searchsorted(contexts, union >> np.uint64(BITS))]
+        lower = np.full((len(union), width), 1 / symbols) if m == 1 else below[_lookup(below_codes, union & np.uint64((1 << BITS * (m - 1)) - 1))]
         p += w * lower
         below, below_codes = p, union
         grams, at = HashArray.of(union)
@@ -280,5 +285,6 @@ def keep_identified(spark: SparkSession, docs: DataFrame, train: DataFrame) -> D
 
 
 def op10_language_id(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Language of every document, learned from the training fold."""
     docs = spark.read.parquet(f"{sf_dir}/documents.parquet")
     return identify(spark, docs, docs.where(~held_out()))
