@@ -31,6 +31,7 @@ from __future__ import annotations
 
 import hashlib
 from collections.abc import Iterator
+from functools import reduce
 
 import numpy as np
 import pyarrow as pa
@@ -42,7 +43,7 @@ from cutstream.llm.common import BROADCAST_ROWS, batched, bounded_broadcast, con
 #: Least number of classes of a sketch (a large set has one for each four to eight shingles), and the largest count it keeps.
 CLASSES, MOST = 64, 15
 #: Rows and bytes of sets that one task joins at once: of equal least hashes, and of a region's block.
-REGION_ROWS, BLOCK_ROWS, BLOCK_BYTES = 8192, 1024, 1 << 26
+REGION_ROWS, BLOCK_ROWS, BLOCK_BYTES = 512, 1024, 1 << 26
 #: Further shingles that pivots of a crowded region get.
 DEPTH = 1
 #: The commonest shingles, which are ordered last. Any list gives right results; it only makes regions even.
@@ -340,7 +341,7 @@ def _groups(batches: Iterator[pa.RecordBatch], keys: list[str]) -> Iterator[pa.T
     trim()
 
 
-def _in_blocks(rows: DataFrame, key: str, sizes: DataFrame) -> DataFrame:
+def _in_blocks(rows: DataFrame, key: str, sizes: DataFrame, salt: int) -> DataFrame:
     """rows of keys that several have, dealt to blocks: sizes(key, m, nb) over all keys; adds nb and b < nb.
 
     The crowded keys (nb > 1: few, as each has a block's rows or bytes) meet the rows in memory, so none is one task's work.
@@ -349,7 +350,7 @@ def _in_blocks(rows: DataFrame, key: str, sizes: DataFrame) -> DataFrame:
     few = sizes.where("nb = 1 AND m > 1").select(key)
     hot = rows.join(crowded, key)
     rest = rows.join(crowded, key, "left_anti").join(few, key, "left_semi").withColumn("nb", F.lit(1))
-    return hot.select(*rows.columns, "nb").unionByName(rest).withColumn("b", F.pmod(F.xxhash64("k"), F.col("nb")).cast("int"))
+    return hot.select(*rows.columns, "nb").unionByName(rest).withColumn("b", F.pmod(F.xxhash64("k", F.lit(salt)), F.col("nb")).cast("int"))
 
 
 def _blocks_of(m: Column, n: Column, rows: int) -> Column:
@@ -398,21 +399,13 @@ def _tasks(anchored: DataFrame) -> DataFrame:
     return across.unionByName(down)
 
 
-def grouped(spark: SparkSession, docs: DataFrame, k: int = 3, percent: int = 90) -> DataFrame:
-    """(doc_id, t, n, c, component_id) for every row of docs: hash of the text, set size, digest of the set, component."""
-    wide = scratch_path(spark, "signatures")
-    signatures(docs, k, percent, frequent(docs, k)).write.parquet(wide)
-    signed = spark.read.parquet(wide)
-    row = F.min(F.struct(F.col("doc_id").isNull(), F.col("doc_id"), F.col("t"))).alias("row")
-    one = signed.where("n > 0").groupBy("c").agg(row, *[F.first(x).alias(x) for x in ("n", "home", "win", "sk")])
-    classes = materialise(spark, one.select("c", F.col("row.doc_id").alias("rep"), F.col("row.t").alias("rep_t"), "n", "home", "win", "sk").withColumn("k", F.monotonically_increasing_id()), "classes")
-    signed = materialise(spark, signed.select("doc_id", "t", "n", "c"), "documents")
-    remove(spark, wide)
+def _settled(spark: SparkSession, docs: DataFrame, classes: DataFrame, k: int, percent: int) -> DataFrame:
+    """(k, label) of classes that meet a near one among those of the same least hash, in blocks.
 
-    # Every class meets all others of the same least hash, in blocks.
-    home = classes.select("k", "c", "rep", "rep_t", "home")
-    sizes = materialise(spark, classes.groupBy("home").agg(F.count("*").alias("m"), F.sum("n").alias("n")).where("m > 1").select("home", "m", _blocks_of(F.col("m"), F.col("n"), REGION_ROWS).alias("nb")), "homes")
-    homes = materialise(spark, _in_blocks(home, "home", sizes).select("k", "c", "rep", "rep_t", F.xxhash64("home", "b").alias("region")), "regions")
+    Where one least hash fills several blocks, one member of each component goes to the next round, until one block holds
+    them or a round leaves more than half. This only saves work: what is not joined here is left to the closing pass.
+    """
+    home = classes.select("k", "c", "rep", "rep_t", "home", "n")
 
     def regional(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for t in _groups(batches, ["region"]):
@@ -424,8 +417,40 @@ def grouped(spark: SparkSession, docs: DataFrame, k: int = 3, percent: int = 90)
                 rows = [(int(ids[i]), int(ids[r])) for i, r in enumerate(up) if r != i]
                 yield pa.RecordBatch.from_arrays([pa.array([x[0] for x in rows], pa.int64()), pa.array([x[1] for x in rows], pa.int64())], ["k", "label"])
 
-    local = fetch_sets(docs, homes, k, "region long").repartition("region").sortWithinPartitions("region").mapInArrow(regional, "k long, label long")
-    links = materialise(spark, local, "labels")
+    rounds: list[DataFrame] = []
+    while True:
+        sizes = home.groupBy("home").agg(F.count("*").alias("m"), F.sum("n").alias("n")).where("m > 1")
+        sizes = materialise(spark, sizes.select("home", "m", _blocks_of(F.col("m"), F.col("n"), REGION_ROWS).alias("nb")), "homes")
+        dealt = _in_blocks(home.drop("n"), "home", sizes, len(rounds))
+        wanted = materialise(spark, dealt.select("k", "c", "rep", "rep_t", F.xxhash64("home", "b").alias("region")), "regions")
+        found = fetch_sets(docs, wanted, k, "region long").repartition("region").sortWithinPartitions("region").mapInArrow(regional, "k long, label long")
+        rounds.append(materialise(spark, found, "labels"))
+        crowded = sizes.where("nb > 1").select("home")
+        if not crowded.limit(1).count() or not rounds[-1].limit(1).count():
+            break
+        before = home.join(bounded_broadcast(crowded), "home", "left_semi")
+        left = before.join(bounded_broadcast(rounds[-1].select("k")), "k", "left_anti")
+        home = materialise(spark, left.select("k", "c", "rep", "rep_t", "home", "n"), "roots")
+        if 2 * home.count() > before.count():
+            break
+    if len(rounds) == 1:
+        return rounds[0]
+    links = reduce(DataFrame.unionByName, rounds)
+    return materialise(spark, connected(spark, links.select(F.col("k").alias("a"), F.col("label").alias("b"))).select(F.col("id").alias("k"), F.col("root").alias("label")), "labels")
+
+
+def grouped(spark: SparkSession, docs: DataFrame, k: int = 3, percent: int = 90) -> DataFrame:
+    """(doc_id, t, n, c, component_id) for every row of docs: hash of the text, set size, digest of the set, component."""
+    wide = scratch_path(spark, "signatures")
+    signatures(docs, k, percent, frequent(docs, k)).write.parquet(wide)
+    signed = spark.read.parquet(wide)
+    row = F.min(F.struct(F.col("doc_id").isNull(), F.col("doc_id"), F.col("t"))).alias("row")
+    one = signed.where("n > 0").groupBy("c").agg(row, *[F.first(x).alias(x) for x in ("n", "home", "win", "sk")])
+    classes = materialise(spark, one.select("c", F.col("row.doc_id").alias("rep"), F.col("row.t").alias("rep_t"), "n", "home", "win", "sk").withColumn("k", F.monotonically_increasing_id()), "classes")
+    signed = materialise(spark, signed.select("doc_id", "t", "n", "c"), "documents")
+    remove(spark, wide)
+
+    links = _settled(spark, docs, classes, k, percent)
     named = classes.join(bounded_broadcast(links.withColumnRenamed("k", "id")), F.col("k") == F.col("id"), "left").select("k", "c", "rep", "rep_t", "n", "sk", "win", F.coalesce("label", "k").alias("label"))
 
     # Closing pass: regions of the boundary windows that hold more than one component.
