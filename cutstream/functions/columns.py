@@ -23,6 +23,21 @@ def mix31(column: str, seed: int = 0) -> Column:
     return F.expr(mix31_sql(f"CAST({column} AS BIGINT)", seed))
 
 
+def cut_number(column: str, cuts) -> Column:
+    """Number of ascending cut points at or below a whole number, by a binary search in the plan."""
+    if not len(cuts):
+        return F.lit(0)
+    table = F.from_json(F.lit(str([int(x) for x in cuts])), "array<bigint>")
+    start = F.struct(F.lit(0).alias("lo"), F.lit(len(cuts)).alias("hi"))
+
+    def halve(at: Column, _: Column) -> Column:
+        middle = F.shiftright(at["lo"] + at["hi"], 1)
+        below, open_ = F.get(table, middle) <= F.col(column), at["lo"] < at["hi"]
+        return F.struct(F.when(open_ & below, middle + 1).otherwise(at["lo"]).alias("lo"), F.when(open_ & ~below, middle).otherwise(at["hi"]).alias("hi"))
+
+    return F.aggregate(F.array(*[F.lit(0)] * len(cuts).bit_length()), start, halve, lambda at: at["lo"])
+
+
 def penalty_expr(load: Column, alpha: float, gamma: float = 1.5) -> Column:
     """Marginal load penalty alpha * gamma * load^(gamma - 1)."""
     root = F.sqrt(load) if gamma == 1.5 else F.pow(load, F.lit(gamma - 1))

@@ -13,13 +13,15 @@ class PartitionParams:
 
     model: 'basic' ignores later neighbours, 'extended' folds them into buffer vertices. x: coarsest-size factor.
     objective: 'penalty_gain' (connection minus convex load penalty) or 'capacity_discount' (connection times free share).
+    budget: if given, a buffer closes when the sum of 1 + degree passes it, whatever delta says (a hub fills one by itself).
     alpha_basis: 'count' takes vertex and edge counts, 'weight' their weights. tie: 'random' (seeded) or 'lowest'.
-    engine: 'fold', 'driver_loop', 'lanes' (of `lanes` concurrent buffers).
+    engine: 'fold', 'driver_loop', 'lanes' (of `lanes` concurrent buffers), 'distributed' (coarsened by DataFrame rounds).
     """
 
     k: int
     eps: float = 0.03
     delta: int | None = 32768
+    budget: int | None = None
     model: str = "extended"
     x: int = 4
     coarsen_rounds: int = 5
@@ -41,7 +43,7 @@ class PartitionParams:
     def __post_init__(self):
         if self.k < 1 or self.eps < 0 or (self.delta is not None and self.delta < 1):
             raise ValueError("k and delta must be positive and eps not negative")
-        for name, allowed in (("model", ("basic", "extended")), ("objective", ("penalty_gain", "capacity_discount")), ("tie", ("random", "lowest")), ("engine", ("fold", "driver_loop", "lanes")), ("power", ("exact", "table")), ("initial", ("greedy", "recursive_bisection")), ("order", ("natural", "degree", "random"))):
+        for name, allowed in (("model", ("basic", "extended")), ("objective", ("penalty_gain", "capacity_discount")), ("tie", ("random", "lowest")), ("engine", ("fold", "driver_loop", "lanes", "distributed")), ("power", ("exact", "table")), ("initial", ("greedy", "recursive_bisection")), ("order", ("natural", "degree", "random"))):
             if getattr(self, name) not in allowed:
                 raise ValueError(f"{name} must be one of {allowed}")
 

@@ -31,7 +31,7 @@ def partition_distributed(g: Graph, p: PartitionParams, limit: int = TASK_VERTIC
             break
         maps.append(materialise(labels.join(coarse.nodes.select(F.col("key").alias("label"), F.col("pos").alias("coarse")), "label").select("pos", "coarse"), "level-map"))
         level = coarse
-    out = E.partition_buffered(level, p.with_(delta=None, passes=1, alpha=E.scale_of(g, p)[0] if p.alpha is None else p.alpha))
+    out = E.partition_buffered(level, p.with_(delta=None, passes=1, engine="fold", alpha=E.scale_of(g, p)[0] if p.alpha is None else p.alpha))
     blocks = out.assignment
     for m in reversed(maps):
         blocks = materialise(m.join(blocks.select(F.col("pos").alias("coarse"), "block", "batch_id", "fits"), "coarse").select("pos", "block", "batch_id", "fits"), "assignment")

@@ -19,6 +19,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from cutstream import scratch
+from cutstream.functions.columns import cut_number
 from cutstream.params import PartitionParams, alpha, lmax
 from cutstream.plans import kernel
 from cutstream.plans.graph import Graph
@@ -28,6 +29,8 @@ ASSIGNMENT = "pos long, block int, batch_id long, fits boolean"
 #: Kinds of a buffer's rows: vertices, edges inside, edges to later vertices, edges to vertices outside that have blocks.
 NODE, INTRA, LATER, PLACED = range(4)
 ROWS = 1 << 16
+#: Bytes of a part of a serialised model; a single binary value holds less than 2 GB.
+CHUNK = 1 << 28
 
 
 @dataclass
@@ -38,6 +41,33 @@ class PartitionResult:
     seconds: dict[str, float]
 
 
+@dataclass(frozen=True)
+class Buffers:
+    """Buffers of delta vertices, or from each of the cut positions on (and from 0)."""
+
+    delta: int
+    cuts: tuple[int, ...] = ()
+
+    def column(self, position: str):
+        return cut_number(position, self.cuts).cast("long") if self.cuts else F.floor(F.col(position) / F.lit(self.delta)).cast("long")
+
+    def first(self, batch: int) -> int:
+        return (0, *self.cuts)[batch] if self.cuts else batch * self.delta
+
+    def count(self, n: int) -> int:
+        return len(self.cuts) + 1 if self.cuts else -(-n // self.delta)
+
+
+def buffers_of(g: Graph, p: PartitionParams) -> Buffers:
+    """Buffers as the parameters say: by count, or by space (one position a buffer comes to the driver)."""
+    if p.budget is None:
+        return Buffers(p.delta or max(1, g.n))
+    from cutstream.operators.stream_order import assign_batches_by_budget
+
+    found = assign_batches_by_budget(g, p.budget).groupBy("batch_id").agg(F.min("pos").alias("first")).collect()
+    return Buffers(max(1, g.n), tuple(sorted(r.first for r in found))[1:])
+
+
 def scale_of(g: Graph, p: PartitionParams) -> tuple[float, float]:
     """(alpha, largest load) of a graph."""
     n, m = (g.n, g.m) if p.alpha_basis == "count" else (g.node_weight, g.edge_weight)
@@ -62,12 +92,12 @@ def runs(batches: Iterator[pa.RecordBatch], key: str) -> Iterator[tuple[int, pa.
         yield int(last), pa.Table.from_batches(held)
 
 
-def buffer_rows(g: Graph, delta: int, previous: DataFrame | None = None) -> DataFrame:
+def buffer_rows(g: Graph, buffers: Buffers, previous: DataFrame | None = None) -> DataFrame:
     """Everything a buffer's model needs, (batch, kind, a, b, w, c): an edge's row goes to at most two buffers.
 
     c is the vertex weight of NODE rows and of the later end of LATER rows; previous gives NODE rows a block in b.
     """
-    batch = lambda x: F.floor(F.col(x) / F.lit(delta)).cast("long")
+    batch = buffers.column
     edges = g.edges.withColumn("ba", batch("src")).withColumn("bb", batch("dst"))
     weighted = g.node_weight != g.n
     if weighted:
@@ -99,14 +129,15 @@ def fold_ghosts(a: np.ndarray, ghost: np.ndarray, w: np.ndarray, c: np.ndarray,
     return weight, rep[other], a[other], w[other] * 0.5
 
 
-def coarsen_rows(rows: DataFrame, p: PartitionParams, delta: int, most: float, again: bool, parts: int) -> DataFrame:
-    """(batch, blob, stats, weight of the model) from the rows of buffer_rows: one group of rows is one buffer's whole model."""
+def coarsen_rows(rows: DataFrame, p: PartitionParams, buffers: Buffers, most: float, again: bool, parts: int) -> DataFrame:
+    """(batch, part, parts, blob, stats, weight of the model) from the rows of buffer_rows: one group of rows is one buffer's
+    whole model. A model is dealt to parts of at most CHUNK bytes; stats and weight stand on the first."""
     extended = p.model == "extended" and not again
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch, t in runs(batches, "batch"):
             kind, a, b, w, c = (t.column(x).to_numpy() for x in ("kind", "a", "b", "w", "c"))
-            first = batch * delta
+            first = buffers.first(batch)
             node = kind == NODE
             own = np.argsort(a[node])
             true, before = c[node][own].astype(np.float64), b[node][own]
@@ -119,34 +150,31 @@ def coarsen_rows(rows: DataFrame, p: PartitionParams, delta: int, most: float, a
             levels, maps = kernel.coarsen(fine, p, most, before if again else None)
             sizes = ",".join(f"{x.n}:{len(x.adj) // 2}" for x in levels)
             blob = pickle.dumps((first, true, levels, maps, (a[out] - first, b[out], w[out]), before), protocol=5)
-            yield pa.RecordBatch.from_arrays([pa.array([batch], pa.int64()), pa.array([blob], pa.binary()), pa.array([sizes]), pa.array([float(weight.sum())])], ["batch", "blob", "stats", "weight"])
+            chunks = -(-len(blob) // CHUNK)
+            for i in range(chunks):  # a row each, so that no Arrow column holds more than a part
+                own = blob[i * CHUNK : (i + 1) * CHUNK]
+                yield pa.RecordBatch.from_arrays([pa.array([batch], pa.int64()), pa.array([i], pa.int32()), pa.array([chunks], pa.int32()), pa.array([own], pa.binary()), pa.array([None if i else sizes], pa.string()), pa.array([None if i else float(weight.sum())], pa.float64())], ["batch", "part", "parts", "blob", "stats", "weight"])
 
-    return rows.repartition(parts, "batch").sortWithinPartitions("batch", "kind", "a", "b").mapInArrow(run, "batch long, blob binary, stats string, weight double")
+    return rows.repartition(parts, "batch").sortWithinPartitions("batch", "kind", "a", "b").mapInArrow(run, "batch long, part int, parts int, blob binary, stats string, weight double")
 
 
-def coarsened(g: Graph, p: PartitionParams, previous: DataFrame | None = None) -> DataFrame:
+def coarsened(g: Graph, p: PartitionParams, previous: DataFrame | None = None, buffers: Buffers | None = None) -> DataFrame:
     """Each buffer's model, its coarser levels, and its edges to placed vertices; all buffers at once, written once."""
-    delta, (_, most) = p.delta or max(1, g.n), scale_of(g, p)
-    parts = max(1, min(-(-g.n // delta), int(g.nodes.sparkSession.conf.get("spark.sql.shuffle.partitions"))))
-    return materialise(coarsen_rows(buffer_rows(g, delta, previous), p, delta, most, previous is not None, parts), "coarse")
+    buffers, (_, most) = buffers or buffers_of(g, p), scale_of(g, p)
+    parts = max(1, min(buffers.count(g.n), int(g.nodes.sparkSession.conf.get("spark.sql.shuffle.partitions"))))
+    return materialise(coarsen_rows(buffer_rows(g, buffers, previous), p, buffers, most, previous is not None, parts), "coarse")
 
 
 def place_buffer(blob: bytes, state: kernel.Blocks, block_of: np.ndarray, p: PartitionParams, first: int = 0) -> tuple[int, np.ndarray, bool]:
     """Choose a buffer's blocks given all earlier ones in block_of; state takes the true weights. (first, blocks, fits)."""
     start, true, levels, maps, (a, b, w), before = pickle.loads(blob)
-    conn: list[dict[int, float]] = [{} for _ in range(len(true))]
-    placed = block_of[b]
-    for u, i, x in zip(a.tolist(), placed.tolist(), w.tolist(), strict=True):
-        if i >= 0:
-            conn[u][i] = conn[u].get(i, 0.0) + x
+    conn = kernel.connections(len(true), a, block_of[b], w, p.k)
     again = len(before) and before[0] >= 0
     if again:
-        for i, c in zip(before.tolist(), true.tolist(), strict=True):
-            state.add(i, -c)
-    model = kernel.Blocks(p, state.scale / p.gamma, state.most, state.load)
+        state.add_all(before, -true)
+    model = kernel.Blocks(p, state.alpha, state.most, state.load)
     block, fits = kernel.multilevel(levels, maps, conn, model, p, before if again else None)
-    for i, c in zip(block.tolist(), true.tolist(), strict=True):
-        state.add(i, c)
+    state.add_all(block, true)
     return start, block, fits
 
 
@@ -170,76 +198,87 @@ def fold(g: Graph, p: PartitionParams, coarse: DataFrame, previous: DataFrame |
     """One ordered task over the coarsened buffers. Its state is 4 bytes a vertex and k loads."""
     scale, most = scale_of(g, p)
     n = g.n
-    rows = coarse.select("batch", "blob")
+    rows = coarse.select("batch", "part", "parts", "blob")
     if previous is not None:
-        rows = _packed(previous.join(g.nodes.select("pos", "weight"), "pos").select("pos", "block", "weight")).unionByName(rows)
+        one = _packed(previous.join(g.nodes.select("pos", "weight"), "pos").select("pos", "block", "weight"))
+        rows = one.select("batch", F.lit(0).alias("part"), F.lit(1).alias("parts"), "blob").unionByName(rows)
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        block_of, state = np.full(n, -1, np.int32), kernel.Blocks(p, scale, most)
+        block_of, state, held = np.full(n, -1, np.int32), kernel.Blocks(p, scale, most), []
         for b in batches:
-            for batch, blob in zip(b.column("batch").to_pylist(), b.column("blob").to_pylist(), strict=True):
+            for batch, parts, blob in zip(*(b.column(x).to_pylist() for x in ("batch", "parts", "blob")), strict=True):
                 if batch < 0:
                     pos, block, weight = pickle.loads(blob)
                     block_of[pos] = block
-                    for i, c in enumerate(np.bincount(block, weight, minlength=p.k).tolist()):
-                        if c:
-                            state.add(i, c)
+                    state.add_all(block, weight)
+                    continue
+                held.append(blob)
+                if len(held) < parts:
                     continue
-                start, block, fits = place_buffer(blob, state, block_of, p)
+                start, block, fits = place_buffer(b"".join(held), state, block_of, p)
+                held = []
                 block_of[start : start + len(block)] = block
                 yield from _assigned(start, block, batch, fits)
 
-    return rows.repartition(1).sortWithinPartitions("batch").mapInArrow(run, ASSIGNMENT)
+    return rows.repartition(1).sortWithinPartitions("batch", "part").mapInArrow(run, ASSIGNMENT)
 
 
-def driver_loop(g: Graph, p: PartitionParams, coarse: DataFrame) -> DataFrame:
+def driver_loop(g: Graph, p: PartitionParams, coarse: DataFrame, buffers: Buffers) -> DataFrame:
     """One job for each step of `lanes` buffers; assignment and loads live in tables.
 
     A lane sees the snapshot before its step, so edges between the step's buffers count for nothing in it, and each lane has
-    an equal share of each block's free room, so no block overflows; p.lanes = 1 gives the same result as the fold. The
-    blocks of earlier neighbours are joined for the step's buffers only and summed before they reach Python.
+    an equal share of each block's free room, so no block overflows; p.lanes = 1 gives the same result as the fold.
+    Decisions are pushed forward: a step's new blocks meet the edges that leave its own buffers (a partition of its own), and
+    what later buffers need of them, summed by block, is appended to those buffers' partitions. So a step reads its own
+    partitions only, and each edge is read and shuffled once a pass.
     """
     spark = g.nodes.sparkSession
-    (scale, most), delta = scale_of(g, p), p.delta or max(1, g.n)
-    buffers = -(-g.n // delta)
-    weight = {r.batch: r.weight for r in coarse.select("batch", "weight").collect()}  # a number for each buffer
-    at = scratch.path(spark, "assigned")
+    scale, most = scale_of(g, p)
+    count = buffers.count(g.n)
+    weight = {r.batch: r.weight for r in coarse.where("part = 0").select("batch", "weight").collect()}  # a number for each buffer
+    at, pushed, forward = scratch.path(spark, "assigned"), scratch.path(spark, "pushed"), scratch.path(spark, "forward")
     loads = np.zeros(p.k)
-    kind = "pos long, block int, batch_id long, fits boolean, weight double"
-    back = materialise(g.edges.select(F.floor(F.col("dst") / delta).cast("long").alias("batch"), F.col("dst").alias("a"), F.col("src").alias("b"), F.col("weight").alias("w")).where(F.col("batch") > F.floor(F.col("b") / delta)), "backward")
+    kind, near = ASSIGNMENT + ", weight double", "batch long, a long, block int, w double"
+    leaving = g.edges.select(buffers.column("src").alias("source"), F.col("src").alias("pos"), buffers.column("dst").alias("target"), F.col("dst").alias("a"), F.col("weight").alias("w")).where("source < target")
+    leaving.repartition("source").write.partitionBy("source").parquet(forward)
+    edges = spark.read.schema("source long, pos long, target long, a long, w double").parquet(forward) if count > 1 else None
     low = 0
-    while low < buffers:
-        lanes = min(p.lanes, buffers - low)
+    while low < count:
+        lanes = min(p.lanes, count - low)
         while lanes > 1 and np.floor(np.maximum(most - loads, 0) / lanes).sum() < max(weight[b] for b in range(low, low + lanes)):
             lanes -= 1  # a lane's share of the free room must hold its model, ghosts included
         high = low + lanes - 1
-        conn = None
-        if low:
-            done = spark.read.schema(kind).parquet(at).select(F.col("pos").alias("b"), "block")
-            conn = back.where(F.col("batch").between(low, high)).join(done, "b").groupBy("batch", "a", "block").agg(F.sum("w").alias("w"))
+        known = [x for b in range(low, high + 1) if scratch.exists(spark, x := f"{pushed}/target={b}")]
+        conn = spark.read.schema(near).parquet(*known).groupBy("batch", "a", "block").agg(F.sum("w").alias("w")) if known else None
         placed = place_step(coarse.where(F.col("batch").between(low, high)), conn, loads, lanes, p, scale, most)
-        placed.write.mode("append").partitionBy("batch_id").parquet(at)
-        for r in spark.read.schema(kind).parquet(at).where(F.col("batch_id").between(low, high)).groupBy("block").agg(F.sum("weight").alias("c")).collect():  # k rows
+        placed.write.parquet(f"{at}/step={low}")
+        done = spark.read.schema(kind).parquet(f"{at}/step={low}")
+        for r in done.groupBy("block").agg(F.sum("weight").alias("c")).collect():  # k rows
             loads[r.block] += r.c
+        if high + 1 < count:
+            out = edges.where(F.col("source").between(low, high) & (F.col("target") > high)).join(done.select("pos", "block"), "pos")
+            out = out.groupBy("target", "a", "block").agg(F.sum("w").alias("w"))
+            out.select(F.col("target").alias("batch"), "a", "block", "w", "target").write.mode("append").partitionBy("target").parquet(pushed)
         low = high + 1
-    return spark.read.schema(kind).parquet(at).select("pos", "block", "batch_id", "fits") if buffers else spark.createDataFrame([], ASSIGNMENT)
+    if not count:
+        return spark.createDataFrame([], ASSIGNMENT)
+    return spark.read.schema(kind).option("recursiveFileLookup", "true").parquet(at).select("pos", "block", "batch_id", "fits")
 
 
 def place_step(coarse: DataFrame, conn: DataFrame | None, loads: np.ndarray, lanes: int, p: PartitionParams, scale: float, most: float) -> DataFrame:
-    """Blocks of a step's buffers, a group each: coarse(batch, blob), conn(batch, a, block, w) to placed vertices."""
-    rows = coarse.select("batch", F.lit(-1).cast("long").alias("a"), F.lit(-1).alias("block"), F.lit(0.0).alias("w"), "blob")
+    """Blocks of a step's buffers, a group each: coarse(batch, part, blob), conn(batch, a, block, w) to placed vertices."""
+    rows = coarse.select("batch", F.lit(-1).cast("long").alias("a"), F.col("part").alias("block"), F.lit(0.0).alias("w"), "blob")
     if conn is not None:
         rows = rows.unionByName(conn.withColumn("blob", F.lit(None).cast("binary")))
     now = loads.copy()
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch, t in runs(batches, "batch"):
-            blob = next(x for x in t.column("blob").to_pylist() if x is not None)
+            blob = b"".join(x for x in t.column("blob").to_pylist() if x is not None)
             start, true, levels, maps, _, _ = pickle.loads(blob)
-            near: list[dict[int, float]] = [{} for _ in range(len(true))]
-            for u, i, x in zip(*(t.column(c).to_pylist() for c in ("a", "block", "w")), strict=True):
-                if u >= 0:
-                    near[u - start][i] = x
+            a, block, w = (t.column(c).to_numpy() for c in ("a", "block", "w"))
+            other = a >= 0
+            near = kernel.connections(len(true), a[other] - start, block[other], w[other], p.k)
             block, fits = kernel.multilevel(levels, maps, near, _Lane(p, scale, most, now, lanes), p)
             for out, weight in zip(_assigned(start, block, batch, fits), (true[i : i + ROWS] for i in range(0, len(true), ROWS)), strict=True):
                 yield out.append_column("weight", pa.array(weight))
@@ -273,10 +312,15 @@ class _Lane(kernel.Blocks):
 
 def partition_buffered(g: Graph, p: PartitionParams) -> PartitionResult:
     """Buffered multilevel partitioning, p.passes passes."""
+    if p.engine == "distributed":
+        from cutstream.plans.distributed import partition_distributed
+
+        return partition_distributed(g, p)
     began = time.time()
-    coarse = coarsened(g, p)
+    buffers = buffers_of(g, p)
+    coarse = coarsened(g, p, buffers=buffers)
     middle = time.time()
-    out = materialise(fold(g, p, coarse) if p.engine == "fold" else driver_loop(g, p if p.engine == "lanes" else p.with_(lanes=1), coarse), "assignment")
+    out = materialise(fold(g, p, coarse) if p.engine == "fold" else driver_loop(g, p if p.engine == "lanes" else p.with_(lanes=1), coarse, buffers), "assignment")
     seconds = {"coarsen": middle - began, "place": time.time() - middle}
     for _ in range(1, p.passes):
         again = repartition_buffered(g, out, p)

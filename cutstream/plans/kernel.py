@@ -62,46 +62,65 @@ def contract(g: Level, labels: np.ndarray) -> tuple[Level, np.ndarray]:
     return Level.of(np.bincount(to, g.weight), to[a], to[b], w), to
 
 
+def tie_seed(seed: int, turn: int) -> int:
+    """Seed of a round's random ties, so that a tie is broken anew in each."""
+    return seed + 131 * turn
+
+
 def label_propagation(g: Level, rounds: int, most: float, seed: int, tie: str = "random", within: np.ndarray | None = None) -> np.ndarray:
     """Size-constrained clusters: in natural order, each vertex joins the strongest adjacent cluster that has room.
 
-    within: vertices of different values there never share a cluster. Stops when a round moves nothing.
+    Equally strong ones, the present one included, are told apart by a keyed number of the round (`random`) or by label.
+    within: vertices of different values there never share a cluster. Stops when a round moves nothing. After the first
+    round only vertices are looked at whose choice may differ: those next to a vertex that moved since, those that met a tie
+    (for random ones) and those for which a stronger cluster had no room.
     """
     label, size, weight = list(range(g.n)), g.weight.tolist(), g.weight.tolist()
     ptr, adj, w = g.ptr.tolist(), g.adj.tolist(), g.w.tolist()
     own = within.tolist() if within is not None else None
-    for _ in range(rounds):
-        moved = 0
+    due = [True] * g.n
+    for turn in range(rounds):
+        moved, keyed = 0, tie_seed(seed, turn)
         for u in range(g.n):
-            lo, hi = ptr[u], ptr[u + 1]
-            if lo == hi:
+            if not due[u]:
                 continue
+            due[u] = False
             votes: dict[int, float] = {}
             if own is None:
-                for e in range(lo, hi):
+                for e in range(ptr[u], ptr[u + 1]):
                     x = label[adj[e]]
-                    votes[x] = votes.get(x, 0.0) + w[e]
+                    votes[x] = votes[x] + w[e] if x in votes else w[e]
             else:
-                for e in range(lo, hi):
+                for e in range(ptr[u], ptr[u + 1]):
                     if own[adj[e]] == own[u]:
                         x = label[adj[e]]
-                        votes[x] = votes.get(x, 0.0) + w[e]
-            now, c = label[u], weight[u]
+                        votes[x] = votes[x] + w[e] if x in votes else w[e]
+            if not votes:
+                continue
+            now, room = label[u], most - weight[u]
             best, strength, rank = now, votes.get(now, 0.0), None
             for x, v in votes.items():
-                if v >= strength and x != now and size[x] + c <= most:
-                    if v > strength:
-                        best, strength, rank = x, v, None
-                    else:
-                        key = (lambda y: mix31(u * 1_000_003 + y, seed)) if tie == "random" else (lambda y: y)
-                        rank = key(best) if rank is None else rank
-                        if key(x) < rank:
-                            best, rank = x, key(x)
+                if v < strength or x == now:
+                    continue
+                if size[x] > room:
+                    due[u] = True
+                elif v > strength:
+                    best, strength, rank = x, v, None
+                elif tie == "random":
+                    due[u] = True
+                    rank = mix31(u * 1_000_003 + best, keyed) if rank is None else rank
+                    other = mix31(u * 1_000_003 + x, keyed)
+                    if other < rank:
+                        best, rank = x, other
+                elif x < best:
+                    best = x
             if best != now:
-                size[now] -= c
-                size[best] += c
+                size[now] -= weight[u]
+                size[best] += weight[u]
                 label[u] = best
                 moved += 1
+                for e in range(ptr[u], ptr[u + 1]):
+                    due[adj[e]] = True
         if not moved:
             break
     return np.array(label, np.int64)
@@ -134,7 +153,7 @@ class Blocks:
     """
 
     def __init__(self, p: PartitionParams, scale: float, most: float, loads=None):
-        self.p, self.scale, self.most = p, scale * p.gamma, most
+        self.p, self.alpha, self.scale, self.most = p, scale, scale * p.gamma, most
         self.load = [0.0] * p.k if loads is None else [float(x) for x in loads]
         self.table = (self.scale * np.power(np.arange(4096) * (most / 4095), p.gamma - 1)).tolist() if p.power == "table" else None
         self.discount, self.root = p.objective == "capacity_discount", p.gamma == 1.5 and p.power == "exact"
@@ -161,6 +180,12 @@ class Blocks:
         if len(self.heap) > 8 * self.p.k + 64:
             self._fill()
 
+    def add_all(self, blocks: np.ndarray, c: np.ndarray) -> None:
+        """add for many vertices."""
+        total = np.bincount(blocks, c, self.p.k)
+        for i in np.unique(blocks).tolist():
+            self.add(i, float(total[i]))
+
     def score(self, conn: float, c: float, i: int) -> float:
         return conn * self.penalty[i] if self.discount else conn - c * self.penalty[i]
 
@@ -184,6 +209,16 @@ class Blocks:
         return best
 
 
+def connections(n: int, a: np.ndarray, block: np.ndarray, w: np.ndarray, k: int) -> list[dict[int, float]]:
+    """For each of n vertices, the weight of its edges to each block: edge by edge its end a, the other end's block, weight."""
+    out: list[dict[int, float]] = [{} for _ in range(n)]
+    placed = block >= 0
+    key, at = np.unique(a[placed] * k + block[placed], return_inverse=True)
+    for u, i, x in zip((key // k).tolist(), (key % k).tolist(), np.bincount(at, w[placed], len(key)).tolist(), strict=True):
+        out[u][i] = x
+    return out
+
+
 def first_blocks(g: Level, conn: list[dict[int, float]], state: Blocks, start: np.ndarray | None = None) -> np.ndarray:
     """Greedy blocks in natural order over all k; -1 where no block has room. start: vertices that have a block already."""
     out = [-1] * g.n if start is None else start.tolist()
@@ -224,31 +259,51 @@ def bisected(g: Level, state: Blocks) -> np.ndarray:
     return out
 
 
+def adjacent(g: Level, block: np.ndarray, conn: list[dict[int, float]], k: int) -> list[dict[int, float] | None]:
+    """Weight of each vertex to each block next to it, outside ones in conn included; None where only its own block is."""
+    u = np.repeat(np.arange(g.n), np.diff(g.ptr))
+    of = block[g.adj]
+    near = of >= 0
+    key, at = np.unique(u[near] * k + of[near], return_inverse=True)
+    total = np.bincount(at, g.w[near], len(key))
+    own = key // k
+    foreign = np.zeros(g.n, bool)
+    foreign[own[key % k != block[own]]] = True
+    out: list[dict[int, float] | None] = [None] * g.n
+    for v, c in enumerate(conn):
+        if c and (foreign[v] or len(c) > 1 or block[v] not in c):
+            foreign[v] = True
+    for v in np.flatnonzero(foreign).tolist():
+        out[v] = dict(conn[v])
+    use = foreign[own]
+    for v, i, x in zip(own[use].tolist(), (key[use] % k).tolist(), total[use].tolist(), strict=True):
+        c = out[v]
+        c[i] = c[i] + x if i in c else x
+    return out
+
+
 def refine(g: Level, block: np.ndarray, conn: list[dict[int, float]], state: Blocks, rounds: int, trace: list | None = None) -> np.ndarray:
-    """Local search: take a vertex out, put it to the adjacent block of the best score that has room; it may stay."""
+    """Local search: take a vertex out, put it to the adjacent block of the best score that has room; it may stay.
+
+    The weights to adjacent blocks are kept for vertices at a border and changed with each move; others need no look.
+    """
     out = block.tolist()
     ptr, adj, w, weight = g.ptr.tolist(), g.adj.tolist(), g.w.tolist(), g.weight.tolist()
+    near = adjacent(g, np.asarray(block), conn, state.p.k)
     for _ in range(rounds):
         moved = 0
         for u in range(g.n):
-            now = out[u]
-            if now < 0:
-                continue
-            c = dict(conn[u])
-            for e in range(ptr[u], ptr[u + 1]):
-                i = out[adj[e]]
-                if i >= 0:
-                    c[i] = c.get(i, 0.0) + w[e]
-            if not c or (len(c) == 1 and now in c):
+            c, now = near[u], out[u]
+            if c is None or now < 0 or not c or (len(c) == 1 and now in c):
                 continue
             x = weight[u]
             state.add(now, -x)
             best, score = now, state.score(c.get(now, 0.0), x, now)
-            stay = score
-            for i in sorted(c):
-                if i != now and state.load[i] + x <= state.most:
+            stay, room = score, state.most - x
+            for i in sorted(c) if len(c) > 2 else c:
+                if i != now and state.load[i] <= room:
                     s = state.score(c[i], x, i)
-                    if s > score or (s == score and best != now and state.load[i] < state.load[best]):
+                    if s > score or (s == score and best != now and (state.load[i], i) < (state.load[best], best)):
                         best, score = i, s
             state.add(best, x)
             if best != now:
@@ -256,6 +311,21 @@ def refine(g: Level, block: np.ndarray, conn: list[dict[int, float]], state: Blo
                 moved += 1
                 if trace is not None:
                     trace.append((u, now, best, stay, score))
+                for e in range(ptr[u], ptr[u + 1]):
+                    v = adj[e]
+                    d = near[v]
+                    if d is None:  # all its weight was to its own block
+                        d = near[v] = dict(conn[v])
+                        for f in range(ptr[v], ptr[v + 1]):
+                            if (i := out[adj[f]]) >= 0:
+                                d[i] = d.get(i, 0.0) + w[f]
+                        continue
+                    left = d[now] - w[e]
+                    if left > 1e-9:
+                        d[now] = left
+                    else:
+                        del d[now]
+                    d[best] = d.get(best, 0.0) + w[e]
         if not moved:
             break
     return np.array(out, np.int64)
@@ -284,8 +354,7 @@ def multilevel(levels: list[Level], maps: list[np.ndarray], conn: list[dict[int,
             up = np.zeros(level.n, np.int64)
             up[to] = block
             block = up
-        for i, c in zip(block.tolist(), levels[-1].weight.tolist(), strict=True):
-            state.add(i, c)
+        state.add_all(block, levels[-1].weight)
     elif p.initial == "recursive_bisection":
         block = bisected(levels[-1], state)
     else:

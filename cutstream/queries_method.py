@@ -10,8 +10,10 @@ from cutstream.operators import measures as M
 from cutstream.operators import models as B
 from cutstream.params import PartitionParams, alpha
 from cutstream.plans import engine as E
+from cutstream.operators.stream_order import degrees
 from cutstream.plans.graph import Graph
 from cutstream.queries_graph import graph_cte
+from cutstream.twins import multilevel_sql
 
 DELTA, K = 64, 4
 SEED = 42
@@ -175,6 +177,16 @@ def _bmp(graph, k=8, unit=True, **changes):
     return run
 
 
+def _blocks(k=8, unit=True, graph="docline", **changes):
+    """Blocks of every vertex."""
+
+    def run(s, d):
+        g = Graph.load(s, d, graph, unit)
+        return E.partition_buffered(g, PartitionParams(k=k, **({"delta": max(64, g.n // 8)} | changes))).assignment.select("pos", "block")
+
+    return run
+
+
 def bmp_invariants(s, d):
     """Each is true for every engine, model and pass count: all vertices once, balanced, loads add up, cut counted two ways."""
     out = None
@@ -190,14 +202,21 @@ def bmp_invariants(s, d):
     return out
 
 
-def engines_agree(s, d):
-    """The driver loop (with one lane) gives the fold's blocks; more lanes stay feasible."""
+def bmp_budget(s, d):
+    """Buffers by space: no buffer but that of one vertex takes more than the budget, all vertices once, balanced."""
     g = _docline(s, d)
-    p = PartitionParams(k=8, delta=64)
-    one = E.partition_buffered(g, p).assignment.select("pos", F.col("block").alias("a"))
-    two = E.partition_buffered(g, p.with_(engine="driver_loop")).assignment.select("pos", F.col("block").alias("b"))
-    three = E.partition_buffered(g, p.with_(engine="lanes", lanes=2)).assignment
-    return one.join(two, "pos").agg((F.count_if(F.col("a") != F.col("b")) == 0).alias("same")).crossJoin(M.balance(g.nodes, three, 8, 0.03, g.n).select(F.col("feasible").alias("lanes_feasible")))
+    p = PartitionParams(k=8, budget=600)
+    a = E.partition_buffered(g, p).assignment
+    cost = a.join(degrees(g.edges), "pos", "left").groupBy("batch_id").agg(F.sum(1 + F.coalesce("degree", F.lit(0))).alias("cost"), F.count("*").alias("n"), F.max(1 + F.coalesce("degree", F.lit(0))).alias("top"))
+    within = cost.agg(F.bool_and(F.col("cost") - F.col("top") <= p.budget).alias("within"))
+    return within.crossJoin(M.balance(g.nodes, a, 8, 0.03, g.n).select("feasible")).crossJoin(a.agg((F.countDistinct("pos") == g.n).alias("covers")))
+
+
+def lanes_feasible(s, d):
+    """Two lanes against a snapshot: all vertices once, no block above its capacity."""
+    g = _docline(s, d)
+    a = E.partition_buffered(g, PartitionParams(k=8, delta=64, engine="lanes", lanes=2)).assignment
+    return M.balance(g.nodes, a, 8, 0.03, g.n).select("feasible").crossJoin(a.agg((F.countDistinct("pos") == g.n).alias("covers")))
 
 
 def bmp_distributed(s, d):
@@ -278,9 +297,15 @@ QUERIES = {
     "pgg_tradeflow": _greedy("tradeflow", 4, unit=False),
     "bmp_delta1_docline": bmp_delta1_docline,
     "initial_tiny": initial_tiny,
-    "bmp_docline": _bmp("docline"),
-    "bmp_docline_basic": _bmp("docline", model="basic"),
-    "bmp_docline_internal": _bmp("docline", delta=None),
+    "bmp_docline": _blocks(),
+    "bmp_docline_basic": _blocks(model="basic"),
+    "bmp_docline_internal": _blocks(delta=None),
+    "bmp_docline_discount": _blocks(objective="capacity_discount"),
+    "bmp_docline_lowest_ties": _blocks(tie="lowest", delta=None),
+    "bmp_docline_restreamed": _blocks(passes=2),
+    "bmp_docline_driver_loop": _blocks(engine="driver_loop"),
+    "bmp_docline_budget": bmp_budget,
+    "bmp_docline_k4": _blocks(k=4, x=2, refine_rounds=2, coarsen_rounds=3),
     "bmp_fkforest": _bmp("fkforest", 32),
     "bmp_fkforest_restreamed": _bmp("fkforest", 32, passes=3),
     "bmp_fkforest_discount": _bmp("fkforest", 32, objective="capacity_discount"),
@@ -294,7 +319,7 @@ QUERIES = {
     "bmp_bisected_start": _bmp("docline", initial="recursive_bisection"),
     "bmp_distributed": bmp_distributed,
     "bmp_invariants": bmp_invariants,
-    "engines_agree": engines_agree,
+    "lanes_feasible": lanes_feasible,
     "hierarchy_stats": hierarchy,
     "control_runs": control_runs,
     "improvement_tbl": lambda s, d: _r(C.improvement(control_runs(s, d), "hash"), "improvement"),
@@ -382,6 +407,9 @@ _RUNS = f"WITH runs AS ({_runs_sql()})"
 _PUB = ", ".join(f"('{g}', '{a}', {v})" for g, *vs in C.PUBLISHED_K32 for a, v in zip(C.PUBLISHED_ALGS, vs, strict=True) if v is not None)
 _VARIANTS = ", ".join(f"('{g}', '{x}', true, true, true, true, true)" for g in ("docline", "fkforest", "rgg", "convchain") for x in ("extended", "basic", "restreamed", "internal", "discount"))
 
+#: Buffers of the twins: an eighth of the vertices, 64 at least.
+_EIGHTH = "greatest(64, n // 8)"
+
 ORACLES = {
     "cut_hash_by_k": " UNION ALL ".join(
         f"(WITH {graph_cte(n)} SELECT '{n}' AS graph, k.k, count(*) FILTER (WHERE {_hash_sql('src')} % k <> {_hash_sql('dst')} % k) AS cut, count(*) AS m, round(100 * count(*) FILTER (WHERE {_hash_sql('src')} % k <> {_hash_sql('dst')} % k) / count(*), 6) AS cut_pct FROM g, (VALUES (2), (4), (8), (16), (32)) k(k) GROUP BY k.k)"
@@ -413,7 +441,16 @@ ORACLES = {
     "bmp_delta1_docline": greedy_sql(_D, 8),
     "initial_tiny": greedy_sql(_TINY, K, eps="1.5", weight="size"),
     "bmp_invariants": f"SELECT * FROM (VALUES {_VARIANTS}) t(graph, variant, covers, in_range, feasible, loads_add_up, cut_twice)",
-    "engines_agree": "SELECT true AS same, true AS lanes_feasible",
+    "bmp_docline": multilevel_sql(_D, 8, _EIGHTH),
+    "bmp_docline_basic": multilevel_sql(_D, 8, _EIGHTH, "basic"),
+    "bmp_docline_internal": multilevel_sql(_D, 8, "n"),
+    "bmp_docline_discount": multilevel_sql(_D, 8, _EIGHTH, objective="capacity_discount"),
+    "bmp_docline_lowest_ties": multilevel_sql(_D, 8, "n", tie="lowest"),
+    "bmp_docline_restreamed": multilevel_sql(_D, 8, _EIGHTH, after=multilevel_sql(_D, 8, _EIGHTH)),
+    "bmp_docline_driver_loop": multilevel_sql(_D, 8, _EIGHTH),
+    "bmp_docline_k4": multilevel_sql(_D, 4, _EIGHTH, x=2, refine=2, rounds=3),
+    "lanes_feasible": "SELECT true AS feasible, true AS covers",
+    "bmp_docline_budget": "SELECT true AS within, true AS feasible, true AS covers",
     "control_runs": f"{_RUNS} SELECT * FROM runs",
     "improvement_tbl": f"{_RUNS} SELECT a.alg, graph, k, round((b.score / a.score - 1) * 100, 6) AS improvement FROM runs a JOIN runs b USING (graph, k) WHERE b.alg = 'hash'",
     "relative_tbl": f"{_RUNS} SELECT a.alg, graph, k, round(a.score / b.score, 6) AS relative FROM runs a JOIN runs b USING (graph, k) WHERE b.alg = 'hash'",

@@ -2,14 +2,13 @@
 
 from __future__ import annotations
 
-from pyspark.sql import functions as F
-
 from cutstream import scratch
 from cutstream.operators import measures as M
 from cutstream.params import PartitionParams
-from cutstream.plans import engine as E
 from cutstream.plans.graph import Graph
+from cutstream.queries_graph import graph_cte
 from cutstream.streaming import live
+from cutstream.twins import multilevel_sql
 
 
 def _live(s, d, graph="docline", k=8, delta=128):
@@ -20,11 +19,9 @@ def _live(s, d, graph="docline", k=8, delta=128):
     return g, p, live.partition_stream(s, live.stream_vertices(s, at), g.n, g.m, p, scratch.path(s, "mark"))
 
 
-def stream_equals_batch(s, d):
-    """The live partitioner gives each vertex the block that the batch engine gives it."""
-    g, p, out = _live(s, d)
-    batch = E.partition_buffered(g, p).assignment.select("pos", F.col("block").alias("b"))
-    return batch.join(out, "pos", "left").agg((F.count_if(~F.col("block").eqNullSafe(F.col("b"))) == 0).alias("same"), (F.count("*") == g.n).alias("covers"))
+def stream_docline(s, d):
+    """Blocks that the live partitioner gives; its twin is that of the batch method."""
+    return _live(s, d)[2].select("pos", "block")
 
 
 def stream_partition(s, d):
@@ -38,7 +35,7 @@ QUERIES = {
     "stream_sessions": live.sessions,
     "stream_dedup": live.deduplicated,
     "stream_lane_buffers": live.lane_buffers,
-    "stream_equals_batch": stream_equals_batch,
+    "stream_docline": stream_docline,
     "stream_partition": stream_partition,
 }
 ORACLES = {
@@ -47,5 +44,5 @@ ORACLES = {
     "stream_sessions": "WITH g AS (SELECT *, CASE WHEN ts - lag(ts) OVER w < INTERVAL 30 MINUTE THEN 0 ELSE 1 END AS new FROM events WINDOW w AS (PARTITION BY user_id ORDER BY ts, event_id)), s AS (SELECT *, sum(new) OVER (PARTITION BY user_id ORDER BY ts, event_id ROWS UNBOUNDED PRECEDING) AS sid FROM g) SELECT epoch_us(min(ts)) AS start, user_id, count(*) AS n FROM s GROUP BY user_id, sid",
     "stream_dedup": "SELECT DISTINCT user_id, event_type FROM events",
     "stream_lane_buffers": "SELECT lane, unnest(range(n // 500)) AS flush, CAST(500 AS BIGINT) AS rows FROM (SELECT user_id % 4 AS lane, count(*) AS n FROM events GROUP BY 1)",
-    "stream_equals_batch": "SELECT true AS same, true AS covers",
+    "stream_docline": multilevel_sql(graph_cte("docline"), 8, "128"),
 }

@@ -11,6 +11,8 @@ from pyspark.sql import DataFrame, SparkSession
 def shared_dir(spark: SparkSession) -> str:
     found = spark.conf.get("spark.checkpoint.dir", None) or spark.sparkContext.getConf().get("spark.checkpoint.dir")
     if not found:
+        if not spark.sparkContext.master.startswith("local"):  # a temporary folder is this machine's own
+            raise ValueError("spark.checkpoint.dir must name a folder that the driver and all executors share")
         found = "file://" + tempfile.mkdtemp(prefix="cutstream-")
         spark.conf.set("spark.checkpoint.dir", found)
     return found.rstrip("/")
@@ -26,3 +28,9 @@ def materialise(df: DataFrame, tag: str) -> DataFrame:
     at = path(spark, tag)
     df.write.parquet(at)
     return spark.read.schema(df.schema).parquet(at)
+
+
+def exists(spark: SparkSession, at: str) -> bool:
+    """Whether a path is there, through Spark's own file system layer."""
+    p = spark.sparkContext._jvm.org.apache.hadoop.fs.Path(at)
+    return p.getFileSystem(spark.sparkContext._jsc.hadoopConfiguration()).exists(p)

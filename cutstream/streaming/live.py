@@ -55,7 +55,7 @@ def partition_stream(spark: SparkSession, vertices: DataFrame, n: int, m: int, p
         inside = half.where(F.col("b").between(first, last) & (F.col("a") < F.col("b"))).select("batch", F.lit(E.INTRA).alias("kind"), "a", "b", "w", "c")
         later = half.where(F.col("b") > last).select("batch", F.lit(E.LATER).alias("kind"), "a", "b", "w", "c")
         nodes = own.select("batch", F.lit(E.NODE).alias("kind"), F.col("pos").alias("a"), F.lit(-1).cast("long").alias("b"), F.lit(0.0).alias("w"), F.col("weight").alias("c"))
-        coarse = E.coarsen_rows(nodes.unionByName(inside).unionByName(later), p, delta, most, False, 1)
+        coarse = E.coarsen_rows(nodes.unionByName(inside).unionByName(later), p, E.Buffers(delta), most, False, 1)
         done = s.read.schema(kind).parquet(at).where(F.col("batch_id") < batch)
         loads = np.zeros(p.k)
         for r in done.groupBy("block").agg(F.sum("weight").alias("c")).collect():  # k rows
