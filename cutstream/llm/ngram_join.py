@@ -35,7 +35,7 @@ from functools import reduce
 
 import numpy as np
 import pyarrow as pa
-from pyspark.sql import Column, DataFrame, SparkSession
+from pyspark.sql import Column, DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
 from cutstream.llm.common import BROADCAST_ROWS, batched, bounded_broadcast, connected, joined, materialise, mix, remove, scratch_path, trim, utf8, word_hashes, words_of
@@ -44,7 +44,7 @@ from cutstream.llm.common import BROADCAST_ROWS, batched, bounded_broadcast, con
 CLASSES, MOST = 64, 15
 #: Rows and bytes of sets that one task joins at once: of equal least hashes, and of a region's block.
 REGION_ROWS, BLOCK_ROWS, BLOCK_BYTES = 512, 1024, 1 << 26
-#: Further shingles that pivots of a crowded region get.
+#: Further shingles that pivots of a crowded region get (0 or 1).
 DEPTH = 1
 #: The commonest shingles, which are ordered last. Any list gives right results; it only makes regions even.
 COMMON, COMMON_OF_TASK, COMMON_ROWS = 1 << 16, 1 << 14, 16
@@ -358,38 +358,51 @@ def _blocks_of(m: Column, n: Column, rows: int) -> Column:
     return F.greatest(F.ceil(m / F.lit(rows)), F.ceil(n * 8 / F.lit(BLOCK_BYTES))).cast("int")
 
 
-def _regions(spark: SparkSession, named: DataFrame, percent: int) -> DataFrame:
-    """(anchor, k, label, n): members of each region of singleton pivots, crowded ones by pivots of more shingles; only
+def _mixed(spark: SparkSession, entries: DataFrame, labels: DataFrame) -> DataFrame:
+    """(s, k, label, anchor, m) of the regions s that hold several components; entries(s, k), labels(k, label) of some.
+
+    Most regions have one member. Two narrow columns are shuffled to find the others, whose labels then join.
+    """
+    cell = Window.partitionBy("s")
+    shared = materialise(spark, entries.select("s", "k", F.count("*").over(cell).alias("m")).where("m > 1").select("s", "k"), "shared")
+    named = shared.join(bounded_broadcast(labels), "k", "left").select("s", "k", F.coalesce("label", "k").alias("label"))
+    wide = named.select("s", "k", "label", F.min("k").over(cell).alias("anchor"), F.count("*").over(cell).alias("m"), F.min("label").over(cell).alias("low"), F.max("label").over(cell).alias("high"))
+    return materialise(spark, wide.where("low <> high").select("s", "k", "label", "anchor", "m"), "mixed")
+
+
+def _regions(spark: SparkSession, classes: DataFrame, labels: DataFrame, percent: int) -> DataFrame:
+    """(anchor, k, label): members of each region of singleton pivots, crowded ones by pivots of more shingles; only
     regions with several components, each named by its smallest member."""
     window = F.floor(F.col("n") * (100 - percent) / 100).cast("int")
-    entries = named.select("k", "label", "n", "win", F.posexplode(F.slice("win", F.lit(1), window + 1)).alias("at", "s")).select("s", "k", "label", "n", "win", "at")
+    entries = classes.select("k", F.explode(F.slice("win", F.lit(1), window + 1)).alias("s"))
     out, steps = None, DEPTH if percent == 100 else min(DEPTH, -(-percent // (100 - percent)) - 1)
     for depth in range(steps + 1):
-        slim = entries.select("s", "k", "label", "n")
-        cells = slim.groupBy("s").agg(F.min("k").alias("anchor"), F.min("label").alias("low"), F.max("label").alias("high"), F.count("*").alias("m"))
-        cells = materialise(spark, cells.where("low <> high").select("s", "anchor", (F.col("m") > BLOCK_ROWS).alias("crowded")), "cells")
+        mixed = _mixed(spark, entries, labels)
+        large = mixed.where(F.col("m") > BLOCK_ROWS)
         crowded = None
-        if depth < steps and cells.where("crowded").limit(1).count():
-            own = slim.join(bounded_broadcast(cells.where("crowded").select("s")), "s").groupBy("s", "label").agg(F.count("*").alias("m"))
+        if depth < steps and large.limit(1).count():
+            own = large.groupBy("s", "label").agg(F.count("*").alias("m"))
             crowded = materialise(spark, own.groupBy("s").agg((F.sum("m") - F.max("m")).alias("outside")).where(F.col("outside") > BLOCK_ROWS).select("s"), "crowded")
-            cells = cells.join(bounded_broadcast(crowded), "s", "left_anti")
-        found = slim.join(bounded_broadcast(cells.select("s", "anchor")), "s").select("anchor", "k", "label", "n")
+        found = mixed if crowded is None else mixed.join(bounded_broadcast(crowded), "s", "left_anti")
+        found = found.select("anchor", "k", "label")
         out = found if out is None else out.unionByName(found)
         if crowded is None or not crowded.limit(1).count():
             break
-        more = entries.join(bounded_broadcast(crowded), "s").where("n > at + 1")
-        nexts = more.select("s", "k", "label", "n", "win", "at", F.posexplode(F.slice("win", F.col("at") + 2, window + F.lit(depth + 1) - F.col("at"))).alias("step", "next"))
-        entries = materialise(spark, nexts.select(F.xxhash64("s", "next").alias("s"), "k", "label", "n", "win", (F.col("at") + F.col("step") + 1).alias("at")), "entries")
-    return materialise(spark, out.groupBy("anchor", "k").agg(F.first("label").alias("label"), F.first("n").alias("n")), "anchored")
+        more = large.join(bounded_broadcast(crowded), "s").select("s", "k").join(classes.select("k", "n", "win"), "k")
+        # The last pivot shingle's place in the window; further ones stand behind it.
+        at = F.array_position("win", F.col("s")).cast("int")
+        nexts = more.select("s", "k", F.explode(F.slice("win", at + 1, F.greatest(F.lit(0), window + 2 - at))).alias("next"))
+        entries = materialise(spark, nexts.select(F.xxhash64("s", "next").alias("s"), "k"), "entries")
+    return materialise(spark, out.groupBy("anchor", "k").agg(F.first("label").alias("label")), "anchored")
 
 
 def _tasks(anchored: DataFrame) -> DataFrame:
     """(task, k, side, cross): what is compared together. A region within a block is a task; in a larger one every member is
     on a row side and those outside its prevailing component are dealt to each block on the column side too."""
-    per = anchored.groupBy("anchor", "label").agg(F.count("*").alias("m"), F.sum("n").alias("n"))
-    whole = per.groupBy("anchor").agg(F.sum("m").alias("m"), F.sum("n").alias("n"), F.max(F.struct("m", "n", "label")).alias("top"))
-    sized = whole.withColumn("nb", _blocks_of(F.col("m"), F.col("n"), BLOCK_ROWS))
-    large = sized.where("nb > 1").select("anchor", "nb", F.col("top.label").alias("most"), _blocks_of(F.col("m") - F.col("top.m"), F.col("n") - F.col("top.n"), BLOCK_ROWS).alias("no"))
+    blocks = lambda m: F.ceil(m / F.lit(BLOCK_ROWS)).cast("int")
+    per = anchored.groupBy("anchor", "label").agg(F.count("*").alias("m"))
+    whole = per.groupBy("anchor").agg(F.sum("m").alias("m"), F.max(F.struct("m", "label")).alias("top"))
+    large = whole.where(F.col("m") > BLOCK_ROWS).select("anchor", blocks(F.col("m")).alias("nb"), F.col("top.label").alias("most"), blocks(F.col("m") - F.col("top.m")).alias("no"))
     rows = anchored.join(bounded_broadcast(large), "anchor", "left").select("anchor", "k", "label", F.coalesce("nb", F.lit(1)).alias("nb"), F.coalesce("no", F.lit(1)).alias("no"), "most")
     block = lambda n, salt: F.pmod(F.xxhash64("k", F.lit(salt)), F.col(n)).cast("int")
     upto = lambda n: F.sequence(F.lit(0), F.col(n) - 1)
@@ -451,10 +464,11 @@ def grouped(spark: SparkSession, docs: DataFrame, k: int = 3, percent: int = 90)
     remove(spark, wide)
 
     links = _settled(spark, docs, classes, k, percent)
-    named = classes.join(bounded_broadcast(links.withColumnRenamed("k", "id")), F.col("k") == F.col("id"), "left").select("k", "c", "rep", "rep_t", "n", "sk", "win", F.coalesce("label", "k").alias("label"))
+    named = classes.select("k", "c", "rep", "rep_t", "n", "sk").join(bounded_broadcast(links), "k", "left")
+    named = materialise(spark, named.withColumn("label", F.coalesce("label", "k")), "named")
 
     # Closing pass: regions of the boundary windows that hold more than one component.
-    anchored = _regions(spark, named, percent)
+    anchored = _regions(spark, classes.select("k", "n", "win"), links, percent)
     slim = named.select("k", F.col("n").cast("int").alias("n"), "sk", "label")
     tasks = _tasks(anchored).join(slim, "k").repartition("task").sortWithinPartitions("task", "n")
 
