@@ -533,9 +533,10 @@ def one_of_each(spark: SparkSession, docs: DataFrame, k: int = 5, percent: int =
     component. Rows without words are all kept.
     """
     rows = materialise(spark, grouped(spark, docs, k, percent).where("n > 0").select("doc_id", "t", "root"), "groups")
-    first = rows.groupBy("root").agg(F.min(F.struct(F.col("doc_id").isNull(), F.col("doc_id"), F.col("t"))).alias("x"))
-    kept = first.select(F.col("root").alias("of"), F.col("x.doc_id").alias("first_id"), F.col("x.t").alias("first_t"))
-    judged = rows.join(kept, F.col("root") == F.col("of")).select("doc_id", "t", F.expr("doc_id <=> first_id AND t = first_t").alias("stays"))
+    # Only components of several rows are judged; most have one.
+    first = rows.groupBy("root").agg(F.min(F.struct(F.col("doc_id").isNull(), F.col("doc_id"), F.col("t"))).alias("x"), F.count("*").alias("m")).where("m > 1")
+    kept = materialise(spark, first.select(F.col("root").alias("of"), F.col("x.doc_id").alias("first_id"), F.col("x.t").alias("first_t")), "kept")
+    judged = rows.join(bounded_broadcast(kept), F.col("root") == F.col("of")).select("doc_id", "t", F.expr("doc_id <=> first_id AND t = first_t").alias("stays"))
     # Repeats of a row that stays are told from it by nothing, so its repeats are dropped by their columns.
     verdict = judged.groupBy("doc_id", "t").agg(F.bool_and("stays").alias("stays"), F.count("*").alias("m")).where("NOT stays OR m > 1")
     verdict = materialise(spark, verdict.select(F.col("doc_id").alias("_id"), F.col("t").alias("_t"), F.col("stays").alias("_stays")), "verdict")
