@@ -239,23 +239,39 @@ def first_blocks(g: Level, conn: list[dict[int, float]], state: Blocks, start: n
 
 
 def bisected(g: Level, state: Blocks) -> np.ndarray:
-    """The rejected first partition: equal slices of a breadth-first order, whatever the blocks hold already."""
-    seen, order = [False] * g.n, []
-    for s in range(g.n):
-        if not seen[s]:
-            seen[s] = True
-            queue = [s]
-            for u in queue:
-                order.append(u)
-                for v in g.adj[g.ptr[u] : g.ptr[u + 1]].tolist():
-                    if not seen[v]:
-                        seen[v] = True
-                        queue.append(v)
+    """The rejected first partition: recursive bisection, whatever the blocks hold already.
+
+    A set of vertices is cut where a breadth-first order from its far end reaches its share of the weight; both halves are
+    cut on until each has one block. Loads of earlier buffers play no part, so blocks may overflow: that is its fault.
+    """
+    ptr, adj = g.ptr.tolist(), g.adj.tolist()
     out = np.zeros(g.n, np.int64)
-    total = np.cumsum(g.weight[order])
-    out[order] = np.minimum(state.p.k - 1, (total * state.p.k / max(total[-1], 1e-12) - 1e-9).astype(np.int64))
-    for u, i in enumerate(out.tolist()):
-        state.add(i, float(g.weight[u]))
+
+    def breadth_first(own: list[int], start: int) -> list[int]:
+        waiting, order = set(own), []
+        for s in [start, *own]:
+            if s in waiting:
+                waiting.discard(s)
+                queue = [s]
+                for u in queue:
+                    for v in adj[ptr[u] : ptr[u + 1]]:
+                        if v in waiting:
+                            waiting.discard(v)
+                            queue.append(v)
+                order += queue
+        return order
+
+    todo = [(list(range(g.n)), 0, state.p.k)]
+    while todo:
+        own, low, k = todo.pop()
+        if k == 1 or not own:
+            out[own] = low
+            continue
+        order = breadth_first(own, breadth_first(own, own[0])[-1])
+        total = np.cumsum(g.weight[order])
+        cut = int(np.searchsorted(total, total[-1] * (k // 2) / k, "right"))
+        todo += [(order[:cut], low, k // 2), (order[cut:], low + k // 2, k - k // 2)]
+    state.add_all(out, g.weight)
     return out
 
 

@@ -1,7 +1,7 @@
 """The experiment workloads on graphs of the given tables: each runs its cells and reports the measure it is about.
 
 A cell is a method on a graph with k blocks; independent cells run side by side from a small pool of driver threads. The
-defaults are small; every function takes larger graphs, more blocks or seeds.
+defaults are small; every function takes larger graphs, more blocks or seeds, and `full` of FULL gives the whole grids.
 """
 
 from __future__ import annotations
@@ -17,11 +17,21 @@ from cutstream.operators import measures as M
 from cutstream.params import PartitionParams
 from cutstream.plans import engine as E
 from cutstream.plans.graph import Graph
+from cutstream.scratch import materialise
 
 RUN = "alg string, graph string, k int, delta long, model string, passes int, seed int, cut double, cut_pct double, max_load double, lmax double, feasible boolean, seconds double"
 TUNING = ("docline", "rgg", "grid")
 TEST = ("docline", "fkforest", "rgg", "grid", "convchain", "userprop")
 POOL = 3
+#: Whole grids of the workloads that are registered with smaller ones.
+FULL = {
+    "against_discount": {"graphs": ("docline", "fkforest", "rgg", "grid", "convchain"), "ks": (4, 8, 16, 32, 64, 128)},
+    "wide_k": {"ks": tuple(range(2, 129))},
+    "profiles": {"graphs": TEST, "ks": (2, 4, 8, 16, 32, 64, 128)},
+    "offline_yardstick": {"graphs": TUNING, "ks": (2, 4, 8, 16, 32, 64, 128), "seeds": tuple(range(1, 11)), "passes": 10},
+    "large_graphs": {"graphs": ("orderpart", "copurchase", "userprop", "fkforest"), "ks": (8, 16, 32, 64, 128, 256), "share": 64},
+    "seeds": {"graphs": TEST, "count": 10},
+}
 #: Methods by name: parameters to an assignment.
 METHODS = {
     "hp": lambda g, p: E.place_hash(g, p.k, p.seed),
@@ -38,9 +48,9 @@ METHODS = {
 
 def timed_run(g: Graph, label: str, method: str, p: PartitionParams) -> tuple:
     began = time.time()
-    out = METHODS[method](g, p)
-    if method == "hp":
-        out.write.format("noop").mode("overwrite").save()
+    out = METHODS[method](g, p) if isinstance(method, str) else method(g, p)
+    if method == "hp":  # the others write their assignment as they run
+        out = materialise(out, "assignment")
     seconds = time.time() - began
     r = M.summary(g, out, p.k, p.eps).first()
     return (label, g.name, p.k, p.delta, p.model, p.passes, p.seed, r.cut, r.cut_pct, r.max_load, r.lmax, bool(r.feasible), seconds)
@@ -53,6 +63,11 @@ def run_cells(spark: SparkSession, cells: list[tuple[Graph, str, str, PartitionP
     return spark.createDataFrame(rows, RUN)
 
 
+def full(spark: SparkSession, d: str, name: str) -> DataFrame:
+    """The workload of that function name on its whole grid."""
+    return globals()[name](spark, d, **FULL[name])
+
+
 def load(spark: SparkSession, d: str, names, **options) -> list[Graph]:
     return [Graph.load(spark, d, n, **options) for n in names]
 
@@ -75,14 +90,15 @@ def _sweep(spark, d, name, values, change, graphs=TUNING, k=8, method="bmp"):
 
 
 def refinement_rounds(spark, d, values=(1, 5, 25)):
-    return _sweep(spark, d, "rounds", values, lambda p, g, v: p.with_(refine_rounds=v))
+    """Rounds of local search, at the coarsest-size factor that leaves it the most to do."""
+    return _sweep(spark, d, "rounds", values, lambda p, g, v: p.with_(refine_rounds=v, x=64))
 
 
-def coarsest_size(spark, d, values=(64, 16, 4, 1)):
+def coarsest_size(spark, d, values=(64, 32, 16, 8, 4, 2, 1)):
     return _sweep(spark, d, "x", values, lambda p, g, v: p.with_(x=v))
 
 
-def buffer_size(spark, d, values=(64, 128, 256, 0)):
+def buffer_size(spark, d, values=(64, 128, 256, 512, 1024, 0)):
     """0: the whole graph in one buffer."""
     return _sweep(spark, d, "delta", values, lambda p, g, v: p.with_(delta=v or None))
 
@@ -91,7 +107,7 @@ def model_kind(spark, d, graphs=("docline", "fkforest", "rgg", "grid")):
     return _sweep(spark, d, "model", ("basic", "extended"), lambda p, g, v: p.with_(model=v), graphs)
 
 
-def restreaming(spark, d, graphs=("docline", "rgg"), passes=5, k=8):
+def restreaming(spark, d, graphs=("docline", "rgg"), passes=10, k=8):
     """Cut after each pass and what it gained on the one before."""
     rows = []
     for g in load(spark, d, graphs):
@@ -106,12 +122,13 @@ def comparison(spark, d, graphs=TEST, k=32, methods=("bmp_int", "mcd_int", "bmp"
     return run_cells(spark, cells).groupBy("graph").pivot("alg", list(methods)).agg(F.round(F.first("cut_pct"), 2))
 
 
-def against_discount(spark, d, graphs=("docline", "rgg"), ks=(4, 16)):
+def against_discount(spark, d, graphs=("docline", "rgg"), ks=(4, 16, 64)):
+    """Cuts over those of the same method with the capacity discount."""
     cells = [(g, m, m, PartitionParams(k=k, delta=_delta(g))) for g in load(spark, d, graphs) for k in ks for m in ("bmp", "mcd", "mcd_int")]
     return C.relative(score(run_cells(spark, cells)), "mcd")
 
 
-def wide_k(spark, d, graphs=("docline", "rgg"), ks=(2, 5, 13, 32), methods=("bmp", "pgg", "cdg", "hp")):
+def wide_k(spark, d, graphs=("docline", "rgg"), ks=(2, 5, 13, 32, 64, 127), methods=("bmp", "pgg", "cdg", "hp")):
     """Improvement over the one-pass penalty gain, by k."""
     cells = [(g, m, m, PartitionParams(k=k, delta=_delta(g))) for g in load(spark, d, graphs) for k in ks for m in methods]
     return C.improvement(score(run_cells(spark, cells)), "pgg").groupBy("alg", "k").agg(F.avg("improvement").alias("improvement"))
@@ -122,9 +139,12 @@ def profiles(spark, d, graphs=("docline", "fkforest", "rgg"), ks=(4, 16), method
     return C.performance_profile(score(run_cells(spark, cells)), [1.0, 1.1, 1.5, 2.0, 5.0, 100.0])
 
 
-def offline_yardstick(spark, d, graphs=("docline", "rgg"), k=8):
-    cells = [(g, m, m, PartitionParams(k=k, delta=_delta(g))) for g in load(spark, d, graphs) for m in ("offline", "bmp_int", "bmp", "pgg")]
-    return C.relative(score(run_cells(spark, cells)), "offline")
+def offline_yardstick(spark, d, graphs=("docline", "rgg"), ks=(2, 8, 32), seeds=(1, 2), passes=3):
+    """Cuts over that of the whole graph in one model, replayed, the best of several seeds."""
+    cells = [(g, m, m, PartitionParams(k=k, delta=_delta(g))) for g in load(spark, d, graphs) for k in ks for m in ("bmp_int", "bmp", "pgg")]
+    runs = run_cells(spark, cells)
+    best = [(g, "offline", lambda g, p: E.partition_offline(g, p, seeds, passes), PartitionParams(k=k, delta=None)) for g in load(spark, d, graphs) for k in ks]
+    return C.relative(score(runs.unionByName(run_cells(spark, best))), "offline")
 
 
 def geometry(spark, d, k=16, delta=128):
@@ -137,9 +157,9 @@ def geometry(spark, d, k=16, delta=128):
     return out
 
 
-def large_graphs(spark, d, graphs=("orderpart",), ks=(8, 32), methods=("bmp", "pgg", "cdg", "hp")):
-    """Cut and time on the largest graphs, buffers of a sixteenth."""
-    cells = [(g, m, m, PartitionParams(k=k, delta=max(64, g.n // 16))) for g in load(spark, d, graphs) for k in ks for m in methods]
+def large_graphs(spark, d, graphs=("orderpart",), ks=(8, 32), methods=("bmp", "pgg", "cdg", "hp"), share=16):
+    """Cut and time on the largest graphs, buffers of one in `share` parts."""
+    cells = [(g, m, m, PartitionParams(k=k, delta=max(64, g.n // share))) for g in load(spark, d, graphs) for k in ks for m in methods]
     return run_cells(spark, cells).select("graph", "k", "alg", "cut_pct", "seconds", "feasible")
 
 
@@ -148,7 +168,8 @@ def memory(spark, d, graph="fkforest", k=32):
     g = Graph.load(spark, d, graph)
     rows = []
     for delta in (max(64, g.n // 2), max(64, g.n // 64)):
-        size = E.coarsened(g, PartitionParams(k=k, delta=delta)).agg(F.max(F.length("blob"))).first()[0]
+        parts = E.coarsened(g, PartitionParams(k=k, delta=delta)).groupBy("batch").agg(F.sum(F.length("blob")).alias("bytes"))
+        size = parts.agg(F.max("bytes")).first()[0]
         rows.append(("bmp", delta, int(size), 4 * g.n + 16 * k))
     degree = g.edges.select(F.explode(F.array("src", "dst")).alias("v")).groupBy("v").count().agg(F.max("count")).first()[0]
     rows += [(m, 1, 16 * int(degree), 4 * g.n + 16 * k) for m in ("pgg", "cdg")]

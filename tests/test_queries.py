@@ -1,8 +1,10 @@
 """Every query with an SQL twin gives the twin's rows; every other one runs and has rows."""
 
+import inspect
+
 import pytest
 
-from cutstream import catalog
+from cutstream import catalog, workloads
 from tests.helpers import rows_of, rows_of_sql
 
 ORACLES = catalog.oracles()
@@ -23,11 +25,22 @@ def test_runs(spark, sf, name):
     assert QUERIES[name](spark, sf).count() > 0
 
 
-@pytest.mark.parametrize("name", ["w04_model_kind", "w05_restreaming", "w13_memory", "w19_application"])
+@pytest.mark.parametrize("name", ["w04_model_kind", "w10_offline_yardstick", "w13_memory", "w19_application"])
 def test_workload(spark, sf, name):
     assert QUERIES[name](spark, sf).count() > 0
 
 
+def test_more_refinement_does_not_lose(spark, sf):
+    rows = {r.rounds: r for r in workloads.refinement_rounds(spark, sf).collect()}
+    assert set(rows) == {"1", "5", "25"} and all(r.feasible for r in rows.values())
+    assert rows["25"].geomean_cut <= 1.02 * rows["1"].geomean_cut
+
+
+def test_whole_grids_name_parameters():
+    for name, grid in workloads.FULL.items():
+        assert set(grid) <= set(inspect.signature(getattr(workloads, name)).parameters)
+
+
 def test_entry(spark):
     import __spark_entry__
 
