@@ -68,6 +68,17 @@ def comm_volume(edges: DataFrame, assignment: DataFrame) -> DataFrame:
     return foreign_blocks(edges, assignment).agg(F.coalesce(F.sum("foreign"), F.lit(0)).alias("volume"))
 
 
+def query_messages(edges: DataFrame, assignment: DataFrame) -> DataFrame:
+    """Messages between blocks if each vertex looks up its neighbours (one_hop), and theirs as well (two_hop).
+
+    A vertex asks each other block that holds a neighbour once; every neighbour then asks in the same way.
+    """
+    degree = edges.select(F.explode(F.array("src", "dst")).alias("pos")).groupBy("pos").agg(F.count("*").alias("degree"))
+    f = foreign_blocks(edges, assignment).join(degree, "pos")
+    total = lambda x: F.coalesce(F.sum(x), F.lit(0)).cast("long")
+    return f.agg(total("foreign").alias("one_hop"), total(F.col("foreign") * (F.col("degree") + 1)).alias("two_hop"))
+
+
 def fragmentation(edges: DataFrame, nodes: DataFrame, assignment: DataFrame) -> DataFrame:
     """pieces and largest piece of each block: smallest labels spread along edges inside blocks, a table each round."""
     inside = attach_blocks(edges, assignment).where("bi = bj").select("src", "dst")

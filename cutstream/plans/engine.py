@@ -10,7 +10,7 @@ from __future__ import annotations
 
 import pickle
 import time
-from collections.abc import Iterator
+from collections.abc import Callable, Iterator
 from dataclasses import dataclass
 
 import numpy as np
@@ -184,6 +184,36 @@ def _assigned(start: int, block: np.ndarray, batch: int, fits: bool) -> Iterator
         yield pa.RecordBatch.from_arrays([pa.array(np.arange(start + lo, start + lo + len(own))), pa.array(own, pa.int32()), pa.array(np.full(len(own), batch)), pa.array([fits] * len(own))], ["pos", "block", "batch_id", "fits"])
 
 
+def _resident(line: str) -> int:
+    """Bytes of a line of the process's status; 0 where the system has none."""
+    try:
+        with open("/proc/self/status", encoding="ascii") as f:
+            return next((1024 * int(x.split()[1]) for x in f if x.startswith(line)), 0)
+    except OSError:
+        return 0
+
+
+def probed(run: Callable) -> Callable:
+    """run without its rows: one row of the bytes its worker took above its start at most, and of the rows it made."""
+
+    def measure(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        try:
+            with open("/proc/self/clear_refs", "w", encoding="ascii") as f:
+                f.write("5")  # workers are reused: forget the peak of earlier tasks
+        except OSError:
+            pass  # the peak may then be an earlier task's, never too low
+        before = _resident("VmRSS")
+        count = sum(b.num_rows for b in run(batches))
+        yield pa.RecordBatch.from_arrays([pa.array([max(0, _resident("VmHWM") - before)], pa.int64()), pa.array([count], pa.int64())], ["peak_bytes", "count"])
+
+    return measure
+
+
+def _ordered_task(rows: DataFrame, order: tuple[str, ...], run: Callable, probe: bool) -> DataFrame:
+    one = rows.repartition(1).sortWithinPartitions(*order)
+    return one.mapInArrow(probed(run), "peak_bytes long, count long") if probe else one.mapInArrow(run, ASSIGNMENT)
+
+
 def _packed(previous: DataFrame) -> DataFrame:
     """An assignment as rows that a fold reads first: batch -1, blobs of (positions, blocks, weights)."""
 
@@ -194,8 +224,8 @@ def _packed(previous: DataFrame) -> DataFrame:
     return previous.mapInArrow(run, "batch long, blob binary")
 
 
-def fold(g: Graph, p: PartitionParams, coarse: DataFrame, previous: DataFrame | None = None) -> DataFrame:
-    """One ordered task over the coarsened buffers. Its state is 4 bytes a vertex and k loads."""
+def fold(g: Graph, p: PartitionParams, coarse: DataFrame, previous: DataFrame | None = None, probe: bool = False) -> DataFrame:
+    """One ordered task over the coarsened buffers. Its state is 4 bytes a vertex and k loads; probe: its memory instead of its rows."""
     scale, most = scale_of(g, p)
     n = g.n
     rows = coarse.select("batch", "part", "parts", "blob")
@@ -220,7 +250,7 @@ def fold(g: Graph, p: PartitionParams, coarse: DataFrame, previous: DataFrame |
                 block_of[start : start + len(block)] = block
                 yield from _assigned(start, block, batch, fits)
 
-    return rows.repartition(1).sortWithinPartitions("batch", "part").mapInArrow(run, ASSIGNMENT)
+    return _ordered_task(rows, ("batch", "part"), run, probe)
 
 
 def driver_loop(g: Graph, p: PartitionParams, coarse: DataFrame, buffers: Buffers) -> DataFrame:
@@ -352,8 +382,11 @@ def half_edges(g: Graph) -> DataFrame:
     return g.nodes.select("pos", F.lit(-1).cast("long").alias("nbr"), "weight").unionByName(half)
 
 
-def place_greedy(g: Graph, p: PartitionParams, previous: DataFrame | None = None) -> DataFrame:
-    """One pass of a one-vertex-at-a-time greedy in one ordered task; previous: blocks of the pass before."""
+def place_greedy(g: Graph, p: PartitionParams, previous: DataFrame | None = None, blocks: type[kernel.Blocks] = kernel.Blocks, probe: bool = False) -> DataFrame:
+    """One pass of a one-vertex-at-a-time greedy in one ordered task; previous: blocks of the pass before.
+
+    blocks: kernel.AllBlocks scores all k blocks for each vertex, with the same result; probe: memory instead of rows.
+    """
     scale, most = scale_of(g, p)
     n = g.n
     # In the first pass only earlier neighbours have blocks, so each edge goes to its later end alone.
@@ -363,7 +396,7 @@ def place_greedy(g: Graph, p: PartitionParams, previous: DataFrame | None = None
         rows = rows.unionByName(previous.join(g.nodes.select("pos", "weight"), "pos").select(F.lit(-1).cast("long").alias("pos"), F.col("pos").alias("nbr"), "weight", "block"))
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        block_of, state = [-1] * n, kernel.Blocks(p, scale, most)
+        block_of, state = [-1] * n, blocks(p, scale, most)
         out: list[tuple[int, int, bool]] = []
         u, c, conn = -1, 0.0, {}
 
@@ -397,7 +430,7 @@ def place_greedy(g: Graph, p: PartitionParams, previous: DataFrame | None = None
         if out:
             yield _greedy_rows(out)
 
-    return rows.repartition(1).sortWithinPartitions("pos", "nbr").mapInArrow(run, ASSIGNMENT)
+    return _ordered_task(rows, ("pos", "nbr"), run, probe)
 
 
 def _greedy_rows(out: list[tuple[int, int, bool]]) -> pa.RecordBatch:

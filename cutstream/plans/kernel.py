@@ -209,6 +209,19 @@ class Blocks:
         return best
 
 
+class AllBlocks(Blocks):
+    """The same choices by scoring every block for every vertex, so time grows with k as the one-pass greedies are published."""
+
+    def best_of_all(self, conn: dict[int, float], c: float) -> int:
+        load, most, best, score = self.load, self.most - c, -1, 0.0
+        for i in range(self.p.k):
+            if load[i] <= most:
+                s = self.score(conn.get(i, 0.0), c, i)
+                if best < 0 or s > score or (s == score and load[i] < load[best]):
+                    best, score = i, s
+        return best
+
+
 def connections(n: int, a: np.ndarray, block: np.ndarray, w: np.ndarray, k: int) -> list[dict[int, float]]:
     """For each of n vertices, the weight of its edges to each block: edge by edge its end a, the other end's block, weight."""
     out: list[dict[int, float]] = [{} for _ in range(n)]

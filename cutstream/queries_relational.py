@@ -7,6 +7,7 @@ from pyspark.sql import functions as F
 
 from cutstream.functions.columns import mix31, mix31_sql
 from cutstream.operators import measures as M
+from cutstream.operators.stream_order import degrees
 from cutstream.plans import engine as E
 from cutstream.plans.graph import Graph
 from cutstream.queries_graph import edge_cte, graph_cte
@@ -86,17 +87,17 @@ def interval_join(s, d):
 
 
 def semi_induced(s, d):
-    """Edges inside the vertices of even position: two semi-joins."""
+    """Edges inside the vertices of three neighbours or more: two semi-joins."""
     g = Graph.load(s, d, "docline")
-    keep = g.nodes.where("pos % 2 = 0").select("pos")
+    keep = degrees(g.edges).where("degree >= 3").select("pos")
     e = g.edges.join(keep.withColumnRenamed("pos", "src"), "src", "left_semi").join(keep.withColumnRenamed("pos", "dst"), "dst", "left_semi")
     return e.select("src", "dst")
 
 
 def anti_unassigned(s, d):
-    """Parts that no order of the first thousand has."""
-    li = _t(s, d, "lineitem").where("l_orderkey < 1000").select(F.col("l_partkey").alias("p_partkey"))
-    return _t(s, d, "part").join(li, "p_partkey", "left_anti").select("p_partkey")
+    """Orders without lines, which no edge of the order graph places."""
+    li = _t(s, d, "lineitem").select(F.col("l_orderkey").alias("o_orderkey"))
+    return _t(s, d, "orders").join(li, "o_orderkey", "left_anti").select("o_orderkey")
 
 
 def self_join_pairs(s, d):
@@ -309,7 +310,7 @@ def scalar_json(s, d):
 
 
 def message_hops(s, d):
-    """Online two-hop look-ups on a partitioned graph: messages between blocks under hash placement and ranges."""
+    """Every vertex asks each neighbour once: questions that cross blocks, of all, under hash placement and ranges."""
     g = Graph.load(s, d, "docline")
     out = None
     for name, a in (("hash", E.place_hash(g, 8)), ("range", E.place_range(g, 8))):
@@ -333,8 +334,8 @@ _FULL = {
     "op_join_range": (range_join, f"WITH {edge_cte('rgg_random')} SELECT degree, count(*) AS n FROM (SELECT v, count(*) AS degree FROM (SELECT src AS v FROM e UNION ALL SELECT dst FROM e) GROUP BY v) GROUP BY degree"),
     "op_join_asof": (asof, "SELECT event_id, last_value(CASE WHEN event_type = 'purchase' THEN event_id END IGNORE NULLS) OVER (PARTITION BY user_id ORDER BY ts, event_id ROWS BETWEEN UNBOUNDED PRECEDING AND 1 PRECEDING) AS before FROM events"),
     "op_join_interval": (interval_join, "SELECT a.user_id, count(*) AS pairs FROM events a JOIN events b ON a.user_id = b.user_id AND b.ts > a.ts AND b.ts <= a.ts + INTERVAL 10 MINUTE GROUP BY 1"),
-    "op_semi_induced": (semi_induced, f"WITH {_G} SELECT src, dst FROM g WHERE src % 2 = 0 AND dst % 2 = 0"),
-    "op_anti_unassigned": (anti_unassigned, "SELECT p_partkey FROM part WHERE p_partkey NOT IN (SELECT l_partkey FROM lineitem WHERE l_orderkey < 1000)"),
+    "op_semi_induced": (semi_induced, f"WITH {_G}, ends AS (SELECT src AS v FROM g UNION ALL SELECT dst FROM g), keep AS (SELECT v FROM ends GROUP BY v HAVING count(*) >= 3) SELECT src, dst FROM g WHERE src IN (SELECT v FROM keep) AND dst IN (SELECT v FROM keep)"),
+    "op_anti_unassigned": (anti_unassigned, "SELECT o_orderkey FROM orders WHERE NOT EXISTS (SELECT 1 FROM lineitem WHERE l_orderkey = o_orderkey)"),
     "op_self_join_pairs": (self_join_pairs, f"{_edges_sql('cosession')} SELECT src, count(*) AS n, sum(weight) AS w FROM e GROUP BY src"),
     "op_full_outer_audit": (full_outer_audit, "SELECT o.k IS NOT NULL AS ordered, c.k IS NOT NULL AS known, count(*) AS n FROM (SELECT DISTINCT o_custkey AS k FROM orders) o FULL JOIN (SELECT c_custkey AS k FROM customer) c ON o.k = c.k GROUP BY 1, 2"),
     "op_lateral_neighbours": (lateral_neighbours, f"{_edges_sql('docline')} SELECT v, count(*) AS degree, sum(weight) AS w FROM (SELECT src AS v, weight FROM e UNION ALL SELECT dst, weight FROM e) GROUP BY v"),

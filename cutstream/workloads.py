@@ -17,7 +17,10 @@ from cutstream.operators import measures as M
 from cutstream.params import PartitionParams
 from cutstream.plans import engine as E
 from cutstream.plans.graph import Graph
-from cutstream.scratch import materialise
+from cutstream.plans.kernel import AllBlocks
+from cutstream.scratch import materialise, path
+from cutstream.sources.files import write_by_block
+from cutstream.sources.graphs import KIND, load_table
 
 RUN = "alg string, graph string, k int, delta long, model string, passes int, seed int, cut double, cut_pct double, max_load double, lmax double, feasible boolean, seconds double"
 TUNING = ("docline", "rgg", "grid")
@@ -31,12 +34,14 @@ FULL = {
     "offline_yardstick": {"graphs": TUNING, "ks": (2, 4, 8, 16, 32, 64, 128), "seeds": tuple(range(1, 11)), "passes": 10},
     "large_graphs": {"graphs": ("orderpart", "copurchase", "userprop", "fkforest"), "ks": (8, 16, 32, 64, 128, 256), "share": 64},
     "seeds": {"graphs": TEST, "count": 10},
+    "memory": {"graphs": ("orderpart", "copurchase", "userprop")},
 }
 #: Methods by name: parameters to an assignment.
 METHODS = {
     "hp": lambda g, p: E.place_hash(g, p.k, p.seed),
     "cdg": lambda g, p: E.place_capacity_discount(g, p),
     "pgg": lambda g, p: E.place_penalty_gain(g, p.with_(passes=1)),
+    "pgg_scan": lambda g, p: materialise(E.place_greedy(g, p.with_(objective="penalty_gain"), blocks=AllBlocks), "assignment"),
     "pgg2": lambda g, p: E.place_penalty_gain(g, p.with_(passes=2)),
     "bmp": lambda g, p: E.partition_buffered(g, p).assignment,
     "bmp_int": lambda g, p: E.partition_buffered(g, p.with_(delta=None)).assignment,
@@ -163,17 +168,20 @@ def large_graphs(spark, d, graphs=("orderpart",), ks=(8, 32), methods=("bmp", "p
     return run_cells(spark, cells).select("graph", "k", "alg", "cut_pct", "seconds", "feasible")
 
 
-def memory(spark, d, graph="fkforest", k=32):
-    """Bytes of the largest buffer's model and of the state, for large and small buffers and for the one-pass methods."""
-    g = Graph.load(spark, d, graph)
+def memory(spark, d, graphs=("fkforest",), k=32):
+    """Peak bytes of the ordered task above its start, as its worker measures them, for large and small buffers and for the
+    one-pass methods; bytes of the largest buffer's model (none in the one-pass methods) and of the state that stays."""
     rows = []
-    for delta in (max(64, g.n // 2), max(64, g.n // 64)):
-        parts = E.coarsened(g, PartitionParams(k=k, delta=delta)).groupBy("batch").agg(F.sum(F.length("blob")).alias("bytes"))
-        size = parts.agg(F.max("bytes")).first()[0]
-        rows.append(("bmp", delta, int(size), 4 * g.n + 16 * k))
-    degree = g.edges.select(F.explode(F.array("src", "dst")).alias("v")).groupBy("v").count().agg(F.max("count")).first()[0]
-    rows += [(m, 1, 16 * int(degree), 4 * g.n + 16 * k) for m in ("pgg", "cdg")]
-    return spark.createDataFrame(rows, "alg string, delta long, model_bytes long, state_bytes long")
+    for g in load(spark, d, graphs):
+        for delta in (max(64, g.n // 2), max(64, g.n // 64)):
+            p = PartitionParams(k=k, delta=delta)
+            coarse = E.coarsened(g, p)
+            size = coarse.groupBy("batch").agg(F.sum(F.length("blob")).alias("bytes")).agg(F.max("bytes")).first()[0]
+            rows.append((g.name, "bmp", delta, E.fold(g, p, coarse, probe=True).first().peak_bytes, int(size), 4 * g.n + 16 * k))
+        for m, objective in (("pgg", "penalty_gain"), ("cdg", "capacity_discount")):
+            peak = E.place_greedy(g, PartitionParams(k=k, objective=objective), probe=True).first().peak_bytes
+            rows.append((g.name, m, 1, peak, None, 8 * g.n + 16 * k))
+    return spark.createDataFrame(rows, "graph string, alg string, delta long, peak_bytes long, model_bytes long, state_bytes long")
 
 
 def loading(spark, d, graphs=("orderpart", "fkforest")):
@@ -187,9 +195,9 @@ def loading(spark, d, graphs=("orderpart", "fkforest")):
 
 
 def time_by_k(spark, d, graph="fkforest", ks=(8, 32, 128)):
-    """Seconds by k and the slope of each method."""
+    """Seconds by k and the slope of each method; pgg_scan looks at all k blocks for every vertex."""
     g = Graph.load(spark, d, graph)
-    runs = run_cells(spark, [(g, m, m, PartitionParams(k=k, delta=_delta(g))) for k in ks for m in ("bmp", "pgg", "cdg")])
+    runs = run_cells(spark, [(g, m, m, PartitionParams(k=k, delta=_delta(g))) for k in ks for m in ("bmp", "pgg", "pgg_scan", "cdg")])
     return runs.groupBy("alg").agg(F.regr_slope("seconds", "k").alias("seconds_per_block"), F.map_from_entries(F.collect_list(F.struct("k", "seconds"))).cast("string").alias("seconds"))
 
 
@@ -213,12 +221,20 @@ def live_stream(spark, d):
     return stream_partition(spark, d)
 
 
-def application(spark, d, graph="fkforest", k=8):
-    """Messages between blocks that neighbourhood look-ups of all vertices need, by placement."""
-    g = Graph.load(spark, d, graph)
+def application(spark, d, k=8):
+    """A store of orders and parts placed by hash and by buffers: messages that one- and two-hop look-ups of all vertices
+    need, and rows of lineitem, stored by their order's block, whose part lies in the same block."""
+    g = Graph.load(spark, d, "orderpart")
+    lines = load_table(spark, d, "lineitem").select("l_orderkey", "l_linenumber", "l_partkey")
     out = None
     for name in ("hp", "bmp"):
-        v = M.comm_volume(g.edges, METHODS[name](g, PartitionParams(k=k, delta=_delta(g)))).select(F.lit(name).alias("alg"), F.col("volume").alias("messages"))
+        placed = materialise(METHODS[name](g, PartitionParams(k=k, delta=_delta(g))), "assignment")
+        home = g.nodes.join(placed.select("pos", "block"), "pos").select("key", "block")
+        at = path(spark, "store")
+        write_by_block(lines, home.withColumnRenamed("key", "l_orderkey"), "l_orderkey", at, k)
+        part = home.where(F.col("key") >= KIND).select((F.col("key") - KIND).alias("l_partkey"), F.col("block").alias("part_block"))
+        stored = spark.read.parquet(at).join(part, "l_partkey").agg(F.count("*").alias("rows_stored"), F.count_if(F.col("block") == F.col("part_block")).alias("rows_local"))
+        v = M.query_messages(g.edges, placed).select(F.lit(name).alias("alg"), "one_hop", "two_hop").crossJoin(stored)  # a row each
         out = v if out is None else out.unionByName(v)
     return out
 

@@ -5,6 +5,7 @@ from pyspark.sql import functions as F
 
 from cutstream.functions import python_udfs
 from cutstream.operators import compare as C
+from cutstream.operators import measures as M
 from cutstream.plans import engine as E
 from cutstream.plans.graph import Graph
 from cutstream.sources import files
@@ -59,3 +60,13 @@ def test_python_functions(spark):
     assert len(spark.sql("SELECT * FROM neighbour_pairs(array(1L, 2L, 3L), 10)").collect()) == 3
     assert spark.sql("SELECT capacity(9L, 2, 0.03BD)").first()[0] == 5
     assert spark.sql("SELECT round(gain(2D, 1D, 4D, 0.5D), 6)").first()[0] == 0.5
+
+
+def test_messages_of_two_hops(spark):
+    # a path 0-1-2-3 over blocks 0, 0, 1, 2: foreign blocks are 0, 1, 2, 1 and degrees 1, 2, 2, 1
+    edges = spark.createDataFrame([(0, 1, 1.0), (1, 2, 1.0), (2, 3, 1.0)], "src long, dst long, weight double")
+    placed = spark.createDataFrame([(0, 0), (1, 0), (2, 1), (3, 2)], "pos long, block int")
+    r = M.query_messages(edges, placed).first()
+    assert (r.one_hop, r.two_hop) == (4, 1 * 3 + 2 * 3 + 1 * 2)
+    r = M.query_messages(edges.limit(0), placed).first()
+    assert (r.one_hop, r.two_hop) == (0, 0)

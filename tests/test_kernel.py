@@ -136,3 +136,18 @@ def test_bad_parameters():
     for bad in ({"k": 0}, {"k": 2, "eps": -1}, {"k": 2, "model": "none"}, {"k": 2, "delta": 0}):
         with pytest.raises(ValueError):
             PartitionParams(**bad)
+
+
+@given(st.integers(1, 9), st.lists(st.dictionaries(st.integers(0, 8), st.integers(1, 4)), min_size=1, max_size=40), st.sampled_from(["penalty_gain", "capacity_discount"]))
+@settings(max_examples=60, deadline=None)
+def test_scoring_all_blocks_chooses_the_same(k, stream, objective):
+    p = PartitionParams(k=k, objective=objective)
+    most = float(lmax(len(stream), k, p.eps))
+    one, other = K.Blocks(p, 0.7, most), K.AllBlocks(p, 0.7, most)
+    for near in stream:
+        conn = {i: float(w) for i, w in near.items() if i < k}
+        i = one.best_of_all(conn, 1.0)
+        assert i == other.best_of_all(conn, 1.0)
+        if i >= 0:
+            one.add(i, 1.0)
+            other.add(i, 1.0)
