@@ -8,6 +8,8 @@ loads, or the driver runs one job for each step of `lanes` buffers against a sna
 
 from __future__ import annotations
 
+import ctypes
+import gc
 import pickle
 import time
 from collections.abc import Callable, Iterator
@@ -193,15 +195,26 @@ def _resident(line: str) -> int:
         return 0
 
 
+def _release_free_memory() -> None:
+    """Free memory of earlier tasks goes back to the system, or a reused worker would seem to need none."""
+    gc.collect()
+    pa.default_memory_pool().release_unused()
+    try:
+        ctypes.CDLL(None).malloc_trim(0)
+    except (AttributeError, OSError):
+        pass  # not the GNU allocator
+
+
 def probed(run: Callable) -> Callable:
     """run without its rows: one row of the bytes its worker took above its start at most, and of the rows it made."""
 
     def measure(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        _release_free_memory()
         try:
             with open("/proc/self/clear_refs", "w", encoding="ascii") as f:
                 f.write("5")  # workers are reused: forget the peak of earlier tasks
         except OSError:
-            pass  # the peak may then be an earlier task's, never too low
+            pass  # the peak may then be an earlier task's
         before = _resident("VmRSS")
         count = sum(b.num_rows for b in run(batches))
         yield pa.RecordBatch.from_arrays([pa.array([max(0, _resident("VmHWM") - before)], pa.int64()), pa.array([count], pa.int64())], ["peak_bytes", "count"])
